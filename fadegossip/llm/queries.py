@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from fadegossip.llm.digest import op5_digest
 from fadegossip.llm.simhash import op3_simhash
+from fadegossip.llm.substrings import op4_substrings
 
-QUERIES = {"op3_simhash": op3_simhash}
+QUERIES = {"op3_simhash": op3_simhash, "op4_substrings": op4_substrings, "op5_digest": op5_digest}
 
 ORACLES: dict[str, str] = {}
