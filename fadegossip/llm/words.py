@@ -102,10 +102,10 @@ def span_hashes(codes: np.ndarray, base: np.uint64, start: np.ndarray, end: np.n
 class Words:
     """The words of a chunk of documents: byte ranges, document of each word, first word of each document."""
 
-    def __init__(self, texts: pa.Array, lower: bool = False):
+    def __init__(self, texts: pa.Array, lower: bool = False, space: np.ndarray = SPACE):
         body, self.offsets = raw(texts)
         self.body = LOWER[body] if lower else body
-        inside = ~SPACE[self.body]
+        inside = ~space[self.body]
         n = len(body)
         edge = self.offsets[:-1][self.offsets[:-1] < n]
         before = np.zeros(n, bool)
