@@ -6,9 +6,11 @@ from fadegossip.llm.digest import op5_digest
 from fadegossip.llm.mixing import op10_mixing
 from fadegossip.llm.pages import op2_pages
 from fadegossip.llm.pieces import op1_pieces
+from fadegossip.llm.quality import op6_quality
 from fadegossip.llm.simhash import op3_simhash
 from fadegossip.llm.substrings import op4_substrings
+from fadegossip.llm.toxicity import op7_toxicity
 
-QUERIES = {"op1_pieces": op1_pieces, "op2_pages": op2_pages, "op3_simhash": op3_simhash, "op4_substrings": op4_substrings, "op5_digest": op5_digest, "op10_mixing": op10_mixing}
+QUERIES = {"op1_pieces": op1_pieces, "op2_pages": op2_pages, "op3_simhash": op3_simhash, "op4_substrings": op4_substrings, "op5_digest": op5_digest, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op10_mixing": op10_mixing}
 
 ORACLES: dict[str, str] = {}
