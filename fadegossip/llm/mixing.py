@@ -131,7 +131,7 @@ def _cut_at(positions: DataFrame, room: dict[int, float], low: float, high: floa
 
 
 def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: int = MOST) -> DataFrame:
-    """(doc_id, source, size, source_size, target, rate, copies, taken), a row for each row of docs (doc_id, text, source).
+    """(doc_id, h, source, size, source_size, target, rate, copies, taken), a row for each row of docs (doc_id, text, source); h is a hash of id and text.
 
     Sources are in order of code points, the null source last. A source without words has target 0 and takes
     nothing; empty texts get no copy. Repeated rows are separate documents with equal positions. An empty table
@@ -151,7 +151,7 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
     z = F.col("lam") * F.col("size") / F.col("mean")
     rate = F.when((F.col("size") == 0) | (F.col("target") <= 0), F.lit(0.0)).when(F.col("lam").isNull(), F.lit(float(most))).when(z < -700, F.lit(0.0)).when(z > 700, F.lit(float(most))).otherwise(most / (1 + F.exp(-z)))
     dither = F.col("h").bitwiseAND(F.lit((1 << 52) - 1)) / float(1 << 52)
-    rated = cut(rows.join(params, "k").select("doc_id", "source", "k", "size", "source_size", "target", rate.alias("rate"), dither.alias("u")))
+    rated = cut(rows.join(params, "k").select("doc_id", "h", "source", "k", "size", "source_size", "target", rate.alias("rate"), dither.alias("u")))
     place = lambda c: F.lit(float(c)) - F.col("rate") - F.col("u")
     positions = rated.where("size > 0 and target > 0").select("k", "size", F.explode(F.array(*[place(c) for c in range(1, most + 1)])).alias("t"))
     cuts: list[tuple[dict[int, float], dict[int, float]]] = []
@@ -171,7 +171,15 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
     steps = _params(spark, [(k, [c.get(k) for c, _ in cuts], [f.get(k) for _, f in cuts]) for k in goal], "k int, cuts array<double>, fits array<double>")
     took = lambda c: F.exists(F.arrays_zip("cuts", "fits"), lambda x: (place(c) < x.cuts) & (F.col("size") <= x.fits)).cast("int")
     copies = F.when((F.col("size") == 0) | (F.col("target") <= 0), F.lit(0)).otherwise(sum((F.coalesce(took(c), F.lit(0)) for c in range(2, most + 1)), F.coalesce(took(1), F.lit(0))))
-    return rated.join(steps, "k").withColumn("copies", copies).select("doc_id", "source", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).cast("long").alias("taken"))
+    return rated.join(steps, "k").withColumn("copies", copies).select("doc_id", "h", "source", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).cast("long").alias("taken"))
+
+
+def mixed(docs: DataFrame, **how) -> DataFrame:
+    """The rows of docs, with all columns, each as often as mix() gives it copies."""
+    copies = mix(docs, **how).where("copies > 0").select(F.col("doc_id").alias("_id"), F.col("h").alias("_h"), F.col("copies").alias("_copies")).distinct()
+    own = F.xxhash64("doc_id", "text")
+    found = docs.join(copies, F.col("doc_id").eqNullSafe(F.col("_id")) & (own == F.col("_h")))
+    return found.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

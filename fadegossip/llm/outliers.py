@@ -23,9 +23,9 @@ from fadegossip.llm.words import BYTE_BASE, BYTE_CODE, WORD_BASE, Words, chunked
 
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_distinct", "n_upper", "n_digits", "n_chars")
 #: Statistics and the least standard deviation each is given.
-FLOORS = {"length": 0.6, "width": 0.12, "symbols": 0.5, "upper": 0.3, "digits": 0.5, "variety": 0.06, "repeats": 0.6}
+FLOORS = {"length": 0.6, "width": 0.12, "symbols": 0.4, "upper": 0.3, "digits": 1.2, "variety": 0.06, "repeats": 1.5}
 #: Share of a group that is concentrated on, steps, rows under which a group is pooled, and tail of the chi-square law that is rejected.
-SHARE, STEPS, LEAST_ROWS, TAIL = 0.75, 6, 100, 1e-9
+SHARE, STEPS, LEAST_ROWS, TAIL = 0.75, 6, 100, 1e-4
 #: Groups up to which their estimates are broadcast (about 500 bytes each); beyond, Spark joins by shuffle.
 BROADCAST_GROUPS = 20_000
 RUN = 8
@@ -145,7 +145,7 @@ def _with(rows: DataFrame, estimates: DataFrame, groups: int) -> DataFrame:
 
 
 def estimate(rows: DataFrame, names: list[str], groups: int, share: float = SHARE, steps: int = STEPS) -> DataFrame:
-    """rows (gid, statistics) -> (gid, mean, inverse, scale): the scatter's inverse, scaled so that the median distance is that of the chi-square law."""
+    """rows (gid, statistics) -> (gid, mean, inverse, scale): the scatter's inverse, scaled so that the median distance is at most that of the chi-square law."""
     p = len(names)
     pairs = [(i, j) for i in range(p) for j in range(i, p)]
     floor2 = np.diag([FLOORS[n] ** 2 for n in names])
@@ -172,7 +172,7 @@ def estimate(rows: DataFrame, names: list[str], groups: int, share: float = SHAR
         # eigenvalues below zero are rounding
         value, vector = np.linalg.eigh(scatter)
         scatter = (vector * np.maximum(value, 0)) @ vector.T + floor2
-        return pa.table({"gid": [t["gid"][0]], "mean": [mean.tolist()], "inverse": [np.linalg.inv(scatter).ravel().tolist()], "scale": [float(max(scale, 1e-6))]})
+        return pa.table({"gid": [t["gid"][0]], "mean": [mean.tolist()], "inverse": [np.linalg.inv(scatter).ravel().tolist()], "scale": [float(max(scale, 1.0))]})
 
     for step in range(steps + 1):
         binned = _with(rows, now.select("gid", "mean", "inverse"), groups).withColumn("bin", _bin(_distance(names))).groupBy("gid", "bin").agg(F.count(F.lit(1)).alias("n"), *sums)

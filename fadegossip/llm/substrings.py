@@ -20,8 +20,10 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from fadegossip.llm.frames import table
 from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Words, chunked, span_hashes, strings, to_strings
@@ -120,18 +122,15 @@ def _split(values: np.ndarray, keys: np.ndarray, blocks: int):
     return full, [values[bounds[i] : bounds[i + 1]] for i in full.tolist()]
 
 
-def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS, text_out: bool = True) -> DataFrame:
-    """docs (doc_id, text) -> (doc_id, n_words, n_removed, spans, kept_text), one row for each row.
+def _parsed(docs: DataFrame, window: int, gram: int, group_rows: int, untouched: bool) -> DataFrame:
+    """docs -> (row, n_words, n_removed, spans, kept_text); row is a struct of all columns but the text.
 
-    spans are [from, to) word ranges covered by windows of `window` words whose sequence also starts elsewhere
-    in `docs` (before any removal); kept_text has the other words joined by one space. Null texts have no word;
-    repeated rows are each other's repeats; null ids are carried.
+    untouched: kept_text of a row that loses nothing is its text as it was, not its words.
     """
-    spark = docs.sparkSession
     groups = max(1, -(-docs.count() // group_rows))
     blocks = max(64, groups // 16)
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)).alias("g"), "doc_id", "text")
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"])
+    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)).alias("g"), row.alias("row"), "text")
     by_group = dealt.groupBy("g")
 
     def send_anchors(key, members):
@@ -187,16 +186,35 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, grou
             np.add.at(depth, hit, 1)
             np.add.at(depth, hit + window, -1)
             gone = np.cumsum(depth[:n]) > 0
-            tables.append(_cleaned(part, words, gone, text_out, kind_of(members)))
+            tables.append(_cleaned(part, words, gone, untouched))
         return pa.concat_tables(tables) if tables else None
 
-    kind_of = lambda members: members.column("doc_id").type
+    schema = T.StructType([dealt.schema["row"], *T._parse_datatype_string("n_words long, n_removed long, spans array<struct<from:long,to:long>>, kept_text string").fields])
     told = by_group.applyInArrow(send_anchors, "b long, g long, items binary").groupBy("b").applyInArrow(answer_anchors, "g long, b long, items binary")
     checked = by_group.cogroup(told.groupBy("g")).applyInArrow(send_windows, "b long, g long, items binary").groupBy("b").applyInArrow(answer_windows, "g long, b long, items binary")
-    return by_group.cogroup(told.union(checked).groupBy("g")).applyInArrow(remove, f"doc_id {kind}, n_words long, n_removed long, spans array<struct<from:long,to:long>>, kept_text string")
+    return by_group.cogroup(told.union(checked).groupBy("g")).applyInArrow(remove, schema)
+
+
+def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS) -> DataFrame:
+    """docs (doc_id, text) -> (doc_id, n_words, n_removed, spans, kept_text), one row for each row.
+
+    spans are [from, to) word ranges covered by windows of `window` words whose sequence also starts elsewhere
+    in `docs` (before any removal); kept_text has the other words joined by one space. Null texts have no word;
+    repeated rows are each other's repeats; null ids are carried.
+    """
+    return _parsed(docs.select("doc_id", "text"), window, gram, group_rows, False).select("row.doc_id", "n_words", "n_removed", "spans", "kept_text")
+
+
+def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS) -> DataFrame:
+    """The rows of docs, with all columns, without the words of repeated_spans(); n_chars, if there, follows.
+
+    A text that loses words has the others joined by one space, any other text stays as it is (null: empty).
+    """
+    found = _parsed(docs, window, gram, group_rows, True)
+    return found.select(*[F.col("kept_text").alias("text") if c == "text" else F.length("kept_text").cast("long").alias(c) if c == "n_chars" else F.col(f"row.`{c}`") for c in docs.columns])
 
 
-def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, text_out: bool, kind: pa.DataType) -> pa.Table:
+def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, untouched: bool) -> pa.Table:
     n_docs = len(words.count)
     removed = np.bincount(words.doc[gone], minlength=n_docs)
     before = np.zeros(len(gone), bool)
@@ -209,8 +227,11 @@ def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, text_out: bool, kin
         pa.array(np.searchsorted(words.doc[begin], np.arange(n_docs + 1)), pa.int32()),
         pa.StructArray.from_arrays([pa.array(begin - base), pa.array(end - base)], ["from", "to"]),
     )
-    text = to_strings(*words.joined(~gone)).cast(pa.string()) if text_out else pa.nulls(n_docs, pa.string())
-    return pa.table({"doc_id": part.column("doc_id"), "n_words": pa.array(words.count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "spans": spans, "kept_text": text})
+    text = to_strings(*words.joined(~gone))
+    if untouched:
+        text = pc.if_else(pa.array(removed > 0), text, strings(part.column("text")))
+    text = text.cast(pa.string())
+    return pa.table({"row": part.column("row"), "n_words": pa.array(words.count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "spans": spans, "kept_text": text})
 
 
 def op4_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
