@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from fadegossip import methods
+
 
 def queries() -> dict:
-    return {}
+    return dict(methods.QUERIES)
 
 
-def oracles() -> dict:
-    return {}
+def oracles() -> dict[str, str]:
+    return dict(methods.ORACLES)
