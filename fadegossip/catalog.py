@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from fadegossip import methods
+from fadegossip import experiments, methods
 
 
 def queries() -> dict:
-    return dict(methods.QUERIES)
+    return methods.QUERIES | experiments.QUERIES
 
 
 def oracles() -> dict[str, str]:
-    return dict(methods.ORACLES)
+    return methods.ORACLES | experiments.ORACLES

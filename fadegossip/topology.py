@@ -49,7 +49,7 @@ def hashed_uniform_graph(spark: SparkSession, sites: int, q: float, seed: int =
     return pair.union(pair.select("dst", "src"))
 
 
-def preferential_graph(spark: SparkSession, sites: int, links: int = 3, seed: int = 0) -> DataFrame:
+def preferential_pairs(sites: int, links: int, seed: int) -> np.ndarray:
     """Each new site links to `links` different older ones, chosen in proportion to their degree."""
     rng, ends, pairs = np.random.default_rng([seed, 2]), [], []
     for new in range(1, sites):
@@ -63,7 +63,11 @@ def preferential_graph(spark: SparkSession, sites: int, links: int = 3, seed: in
         for old in sorted(chosen):
             pairs.append((old, new))
             ends += [old, new]
-    return _edges(spark, np.array(pairs, int).reshape(-1, 2))
+    return np.array(pairs, int).reshape(-1, 2)
+
+
+def preferential_graph(spark: SparkSession, sites: int, links: int = 3, seed: int = 0) -> DataFrame:
+    return _edges(spark, preferential_pairs(sites, links, seed))
 
 
 def complete_graph(spark: SparkSession, sites: int) -> DataFrame:
