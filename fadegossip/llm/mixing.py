@@ -26,6 +26,8 @@ from fadegossip.llm.words import SPACE, chunked, raw, strings
 
 WEIGHTS, SHARE, MOST = (3.0, 1.0, 2.0), 1.5, 2
 BINS, NARROWINGS, FILLS, STEPS = 1024, 3, 3, 60
+#: Sources whose parameters are broadcast (under 200 bytes each).
+BROADCAST_SOURCES = 50_000
 
 
 def sized(docs: DataFrame) -> DataFrame:
@@ -67,9 +69,10 @@ def targets(sizes: list[int], weights: tuple[float, ...] = WEIGHTS, share: float
     return out
 
 
-def _params(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
-    """A row for each source. Spark broadcasts it below its own threshold and joins by shuffle above."""
-    return spark.createDataFrame(rows, schema)
+def _params(spark: SparkSession, rows: list[tuple], schema: str | T.StructType) -> DataFrame:
+    """A row for each source, broadcast up to BROADCAST_SOURCES of them and joined by shuffle beyond."""
+    df = spark.createDataFrame(rows, schema)
+    return F.broadcast(df) if len(rows) <= BROADCAST_SOURCES else df
 
 
 def multipliers(counts: DataFrame, goal: dict[int, float], total: dict[int, int], docs: dict[int, int], most: int = MOST) -> dict[int, float]:
@@ -143,7 +146,7 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
     found.sort(key=lambda x: (x.source is None, (x.source or "").encode()))
     goals = targets([x.size for x in found], weights, share, most)
     goal, total, number = ({k: v for k, v in enumerate(vs)} for vs in (goals, [x.size for x in found], [x.n for x in found]))
-    named = spark.createDataFrame([(k, x.source, x.size, goals[k]) for k, x in enumerate(found)], T.StructType([T.StructField("k", T.IntegerType()), T.StructField("name", T.StringType()), T.StructField("source_size", T.LongType()), T.StructField("target", T.DoubleType())]))
+    named = _params(spark, [(k, x.source, x.size, goals[k]) for k, x in enumerate(found)], T.StructType([T.StructField("k", T.IntegerType()), T.StructField("name", T.StringType()), T.StructField("source_size", T.LongType()), T.StructField("target", T.DoubleType())]))
     rows = base.join(named, F.col("source").eqNullSafe(F.col("name"))).drop("name")
     counts = cut(rows.where("size > 0").groupBy("k", "size").agg(F.count(F.lit(1)).alias("n")))
     tilt = multipliers(counts, goal, total, number, most)
