@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 from fadegossip import experiments, methods
+from fadegossip.streaming import queries as streams
 
 
 def queries() -> dict:
-    return methods.QUERIES | experiments.QUERIES
+    return methods.QUERIES | experiments.QUERIES | streams.QUERIES
 
 
 def oracles() -> dict[str, str]:
-    return methods.ORACLES | experiments.ORACLES
+    return methods.ORACLES | experiments.ORACLES | streams.ORACLES
