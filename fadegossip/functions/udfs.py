@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
 from fadegossip import planner
 from fadegossip.hashing import HashFamily
@@ -29,6 +30,9 @@ class HashRows:
             yield r, (a * (key % 2147483647) + b) % 2147483647 % width
 
 
+CELL = StructType([StructField("i1", LongType()), StructField("f1", DoubleType()), StructField("i2", LongType()), StructField("f2", DoubleType())])
+
+
 def _fold(keys, xs) -> dict:
     k, f = [None, None], [0.0, 0.0]
     for key, x in zip(keys, xs):
@@ -45,7 +49,7 @@ def _fold(keys, xs) -> dict:
     return {"i1": k[0], "f1": f[0], "i2": k[1], "f2": f[1]}
 
 
-@pandas_udf("i1 long, f1 double, i2 long, f2 double")
+@pandas_udf(CELL)
 def fold_udf(keys: pd.Series, xs: pd.Series) -> pd.DataFrame:
     """Cells of ordered arrays of keys and weights; the native fold is cells.fold."""
     return pd.DataFrame([_fold(k, x) for k, x in zip(keys, xs)]).astype({"i1": "Int64", "i2": "Int64"})

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.types import LongType
 
 from fadegossip.sources.streams import days_since, fingerprint
 from fadegossip.sources.tables import read_table
@@ -47,13 +51,9 @@ def zipf_stream(spark: SparkSession, sf_dir: str, rho: float, universe: int = JO
 
 
 def _rank_udf(rho: float, universe: int):
-    import numpy as np
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
     edges = np.array([round(x * 2**32) for x in zipf_cdf(rho, universe)], np.int64)
 
-    @pandas_udf("long")
+    @F.pandas_udf(LongType())
     def rank(u: pd.Series) -> pd.Series:
         return pd.Series(np.searchsorted(edges, u.to_numpy(), "right") + 1)
 
@@ -89,9 +89,6 @@ class _ZipfReader(DataSourceReader):
         return [_Share(i, edge[i], edge[i + 1]) for i in range(self.parts)]
 
     def read(self, partition):
-        import numpy as np
-        import pyarrow as pa
-
         edges = np.array(zipf_cdf(self.rho, self.universe))
         rng = np.random.default_rng([self.seed, partition.number])
         for at in range(partition.begin, partition.end, 65536):
