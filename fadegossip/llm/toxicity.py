@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from fadegossip.llm.frames import held_out, table
 from fadegossip.llm.quality import sample_labels
-from fadegossip.llm.words import BYTE_CODE, BYTE_BASE, Words, chunked, span_hashes, strings
+from fadegossip.llm.words import BYTE_BASE, BYTE_CODE, Words, chunked, raw, span_hashes, strings, to_strings
 
 #: Labelled rows that are learnt from at most (half of them toxic), and entries of the lexicon at most.
 SAMPLE, LEXICON = 4096, 2000
@@ -37,7 +37,22 @@ WINDOW = 6
 REPORTING = frozenset("said says say saying called calls wrote writes quoted quotes quote term word phrase reported alleged claimed dit disait écrit appelé mot terme citation dice dijo llamó escribió palabra término cita sagte sagt schrieb nannte wort begriff zitat".split())
 #: Bytes between tokens: everything in ASCII but letters and digits.
 BETWEEN = np.array([b < 128 and not chr(b).isalnum() for b in range(256)])
-_TOKEN = re.compile(r"[0-9a-z\x80-\U0010ffff]+|[\"“”„«»]")
+# letters and digits in any script, or a quotation mark; U+0080-U+00BF and U+2000-U+207F are punctuation
+_TOKEN = re.compile(r"[0-9a-z\u00c0-\u1fff\u2080-\U0010ffff]+|[\"“”„«»]")
+
+
+def _without_marks(texts: pa.Array) -> pa.Array:
+    """The texts with a space for each byte of the punctuation beyond ASCII."""
+    body, offsets = raw(texts)
+    wide = np.flatnonzero(body == 0xE2)
+    wide = wide[(body[wide + 1] | 1) == 0x81]
+    narrow = np.flatnonzero(body == 0xC2)
+    if not len(wide) and not len(narrow):
+        return texts
+    body = body.copy()
+    for at in (wide, wide + 1, wide + 2, narrow, narrow + 1):
+        body[at] = 0x20
+    return to_strings(body, offsets)
 
 
 def trie(words: list[str]) -> dict:
@@ -151,7 +166,7 @@ class Lexicon:
     def hits(self, texts: pa.Array) -> np.ndarray:
         """Numbers of plain, misspelled and quoted hits of each text."""
         lowered = pc.utf8_lower(texts)
-        words = Words(lowered, space=BETWEEN)
+        words = Words(_without_marks(lowered), space=BETWEEN)
         out = np.zeros((len(texts), 3))
         first, which = self.halves.passes(words)
         real = np.zeros(len(first), bool)
