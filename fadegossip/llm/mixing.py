@@ -180,9 +180,9 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
 def mixed(docs: DataFrame, **how) -> DataFrame:
     """The rows of docs, with all columns, each as often as mix() gives it copies."""
     copies = mix(docs, **how).where("copies > 0").select(F.col("doc_id").alias("_id"), F.col("h").alias("_h"), F.col("copies").alias("_copies")).distinct()
-    own = F.xxhash64("doc_id", "text")
-    found = docs.join(copies, F.col("doc_id").eqNullSafe(F.col("_id")) & (own == F.col("_h")))
-    return found.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))  # one name, whatever docs has
+    found = rows.join(copies, F.col("row.doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("row.doc_id", "row.text") == F.col("_h")))
+    return found.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[F.col(f"row.`{c}`") for c in docs.columns])
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
