@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from fadegossip.llm.frames import table
-from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Words, chunked, span_hashes, strings, to_strings
+from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Words, chunked, mix, span_hashes, strings, to_strings
 
 WINDOW, GRAM = 35, 8
 #: Documents of a group; about a MB of text.
@@ -59,8 +59,9 @@ class Windows:
         at = words.starts_of(gram)
         grams[at] = span_hashes(self.hashes, WORD_BASE, at, at + gram)
         self.place = least_in_windows(grams, window - gram + 1)[self.start] if len(self.start) else self.start
-        self.anchor = grams[self.place]
-        self.grams = grams
+        # least hashes crowd near zero; scrambled, they spread evenly over the blocks
+        self.names = mix(grams)
+        self.anchor = self.names[self.place]
 
 
 def block_of(h: np.ndarray, blocks: int) -> np.ndarray:
@@ -76,7 +77,7 @@ def _tables(table: pa.Table, window: int, gram: int):
 
 def anchors_of(table: pa.Table, window: int, gram: int) -> np.ndarray:
     """Distinct anchors of a group, the last bit set on those it holds at two places or more."""
-    found = [x.grams[np.unique(x.place)] for _, _, x in _tables(table, window, gram)]
+    found = [x.names[np.unique(x.place)] for _, _, x in _tables(table, window, gram)]
     value, count = np.unique(np.concatenate(found) >> np.uint64(1) if found else np.zeros(0, np.uint64), return_counts=True)
     return value << np.uint64(1) | (count > 1).astype(np.uint64)
 
