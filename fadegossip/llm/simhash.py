@@ -107,8 +107,11 @@ def forest(fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return joined(out_a), joined(out_b)
 
 
-def _runs(batches):
-    """Runs of equal (t, key) from sorted batches of (t, key, fp); a run may go over batch ends."""
+def _runs(batches, most: int):
+    """Runs of equal (t, key) from sorted batches of (t, key, fp); a run may go over batch ends.
+
+    A run of more than `most` rows is left to the blocks and not kept: memory holds a batch and one run.
+    """
     held: tuple[int, int] | None = None
     parts: list[np.ndarray] = []
     for batch in batches:
@@ -124,7 +127,7 @@ def _runs(batches):
         for i in np.flatnonzero((size > 1) | (np.arange(len(size)) == 0) | (np.arange(len(size)) == len(size) - 1)).tolist():
             run = fp[bounds[i] : bounds[i + 1]]
             if i == 0 and parts:
-                run = np.concatenate([*parts, run])
+                run = np.concatenate([*parts, run])[: most + 1]
                 parts = []
             if i == len(size) - 1:
                 parts = [run]
@@ -149,7 +152,7 @@ def links(fps: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame
 
     def within(batches):
         a, b, held = [], [], 0
-        for run in _runs(batches):
+        for run in _runs(batches, block):
             if 1 < len(run) <= block:
                 x, y = forest(run.view(np.uint64), radius)
                 if len(x):
