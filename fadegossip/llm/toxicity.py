@@ -117,18 +117,19 @@ class Halves:
 
     def passes(self, words: Words) -> tuple[np.ndarray, np.ndarray]:
         """Indexes of distinct tokens (their first place in `words`) that may hit, and for every token which distinct one it is."""
-        names = words.hashes()
+        spans = words.spans()
+        names = spans.of(words.start, words.end)
         _, first, which = np.unique(names, return_index=True, return_inverse=True)
         start, end = words.start[first], words.end[first]
-        size, codes = end - start, BYTE_CODE[words.body]
+        size = end - start
         ok = _in(names[first], self.exact)
         for n, known in self.stems.items():
             at = np.flatnonzero(size >= n)
-            ok[at] |= _in(span_hashes(codes, BYTE_BASE, start[at], start[at] + n), known)
+            ok[at] |= _in(spans.of(start[at], start[at] + n), known)
         for n, (heads, tails) in self.sizes.items():
             # one error may be a character of up to four bytes
             at = np.flatnonzero((size >= n - 4) & (size <= n + 4) & (size >= n // 2) & ~ok)
-            hit = _in(span_hashes(codes, BYTE_BASE, start[at], start[at] + n // 2), heads) | _in(span_hashes(codes, BYTE_BASE, end[at] - n // 2, end[at]), tails)
+            hit = _in(spans.of(start[at], start[at] + n // 2), heads) | _in(spans.of(end[at] - n // 2, end[at]), tails)
             ok[at] |= hit
         return np.where(ok, first, -1), which
 

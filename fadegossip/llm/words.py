@@ -91,12 +91,21 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+class Spans:
+    """Polynomial hashes of codes[start:end] for any spans, from one prefix sum modulo 2**64."""
+
+    def __init__(self, codes: np.ndarray, base: np.uint64):
+        n = len(codes)
+        self.total = np.zeros(n + 1, np.uint64)
+        np.cumsum(codes * _kept_powers(base, n)[:n], out=self.total[1:])
+        self.back = _kept_powers(inverse(base), n)
+
+    def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        return mix((self.total[end] - self.total[start]) * self.back[start])
+
+
 def span_hashes(codes: np.ndarray, base: np.uint64, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """Polynomial hash of codes[start:end] for many spans, from one prefix sum modulo 2**64."""
-    n = len(codes)
-    total = np.zeros(n + 1, np.uint64)
-    np.cumsum(codes * _kept_powers(base, n)[:n], out=total[1:])
-    return mix((total[end] - total[start]) * _kept_powers(inverse(base), n)[start])
+    return Spans(codes, base).of(start, end)
 
 
 class Words:
@@ -120,8 +129,12 @@ class Words:
         self.count = np.diff(self.first)
         self.doc = np.repeat(np.arange(len(self.count)), self.count)
 
+    def spans(self) -> Spans:
+        """Hashes of any byte ranges."""
+        return Spans(BYTE_CODE[self.body], BYTE_BASE)
+
     def hashes(self) -> np.ndarray:
-        return span_hashes(BYTE_CODE[self.body], BYTE_BASE, self.start, self.end)
+        return self.spans().of(self.start, self.end)
 
     def starts_of(self, k: int) -> np.ndarray:
         """Word indexes at which k consecutive words of one document start."""
