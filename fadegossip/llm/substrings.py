@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from fadegossip.llm.frames import table
-from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Words, chunked, mix, span_hashes, strings, to_strings
+from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Spans, Words, chunked, mix, span_hashes, strings, to_strings
 
 WINDOW, GRAM = 35, 8
 #: Documents of a group; about a MB of text.
@@ -57,7 +57,8 @@ class Windows:
         self.start = words.starts_of(window)
         grams = np.full(len(self.hashes), np.iinfo(np.uint64).max, np.uint64)
         at = words.starts_of(gram)
-        grams[at] = span_hashes(self.hashes, WORD_BASE, at, at + gram)
+        self.spans = Spans(self.hashes, WORD_BASE)
+        grams[at] = self.spans.of(at, at + gram)
         self.place = least_in_windows(grams, window - gram + 1)[self.start] if len(self.start) else self.start
         # least hashes crowd near zero; scrambled, they spread evenly over the blocks
         self.names = mix(grams)
@@ -94,7 +95,7 @@ def _candidates(words_windows, matched: np.ndarray, window: int):
     for part, words, x in words_windows:
         start = x.start[is_in(x.anchor >> np.uint64(1), matched)]
         entry = np.zeros(len(start), ENTRY)
-        entry["h"] = span_hashes(x.hashes, WORD_BASE, start, start + window)
+        entry["h"] = x.spans.of(start, start + window)
         entry["v"] = (span_hashes(x.hashes, WORD_BASE_2, start, start + window) >> np.uint64(32)).astype(np.uint32) & np.uint32(0xFFFFFFFE)
         out.append((part, words, start, entry))
     return out
