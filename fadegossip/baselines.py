@@ -48,7 +48,7 @@ def ss_merge_k(a: dict[int, float], b: dict[int, float], k: int) -> dict[int, fl
 
 
 def space_saving(df: DataFrame, spec: DecaySpec, k: int, asof: int, fan_in: int = 64) -> DataFrame:
-    """(item_key, est): partitions fold their arrivals, then summaries are merged in a tree of `fan_in` branches."""
+    """(item_key, est): partitions fold their arrivals, then summaries are merged in a tree of three levels."""
 
     def fold(batches):
         state: dict[int, float] = {}
@@ -67,9 +67,7 @@ def space_saving(df: DataFrame, spec: DecaySpec, k: int, asof: int, fan_in: int
 
     schema = "part long, keys array<long>, freqs array<double>"
     parts = df.select("item_key", spec.raw().alias("x")).mapInArrow(fold, schema)
-    n = df.rdd.getNumPartitions()
-    while n > 1:
-        n = -(-n // fan_in)
+    for n in (fan_in * fan_in, fan_in, 1):  # a merge of bounded width, whatever the number of partitions
         parts = parts.withColumn("part", F.pmod("part", F.lit(n))).groupBy("part").applyInArrow(merge, schema)
     return parts.select(F.explode(F.arrays_zip("keys", "freqs")).alias("x")).select(F.col("x.keys").alias("item_key"), (F.col("x.freqs") / F.lit(spec.norm(asof))).alias("est"))
 

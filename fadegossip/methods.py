@@ -419,6 +419,58 @@ def _(spark, d):
     return query.named(answer, stream(spark, d, "words"))
 
 
+@query_of("gossip_resumed", _gossip_sql("types", 0.195, EVENTS_AT))
+def _(spark, d):
+    """Half of the rounds, the state written, then the other half: what all rounds at once give."""
+    import numpy as np
+
+    first, rest = DEMO.upto(6), DEMO.after(6)
+    state = cut(gossip.gossip_by_cell(build_local(stream(spark, d, "types"), LINEAR, FAMILY), first, FAMILY).drop("round"))
+    state = gossip.gossip_by_cell(state, rest, FAMILY)
+    end = gossip.average_scalar(gossip.average_scalar(np.eye(8)[0], first), rest)
+    share = spark.createDataFrame([(i, float(x)) for i, x in enumerate(end)], "site int, share double")
+    answer = query.peer_query(state, FAMILY, LINEAR, 0.195, SLACK, EVENTS_AT, share)
+    return answer.select("site", "item_key", _r("est_avg"), _r("est_global"), _r("tau"), _r("c_est"), _r("p_est"))
+
+
+@query_of("scaled_grid", f"WITH {_sql_grid('users', 'linear', NARROW, 'preagg')} SELECT site, \"row\", col, i1, f1 / 4 AS f1, i2, f2 / 4 AS f2 FROM grid")
+def _(spark, d):
+    return cells.scale_grid(build_local(stream(spark, d, "users"), LINEAR, NARROW), 4)
+
+
+@query_of("empty_grid", "SELECT CAST(s AS INTEGER) AS site, CAST(r AS INTEGER) AS \"row\", CAST(c AS INTEGER) AS col, NULL::BIGINT AS i1, 0.0::DOUBLE AS f1, NULL::BIGINT AS i2, 0.0::DOUBLE AS f2 FROM range(3) a(s), range(4) b(r), range(8) e(c)")
+def _(spark, d):
+    from fadegossip.local import empty_grid
+
+    return empty_grid(spark, NARROW, 3)
+
+
+@query_of("site_count_errors", f"WITH {_MIX} SELECT site, round(abs(1 / wgt - 8) / 8, 9) AS err FROM mix WHERE src = 0")
+def _(spark, d):
+    return metrics.site_count_errors(gossip.share_table(spark, DEMO), 8).select("site", _r("err", 9))
+
+
+@query_of("count_errors", f"WITH {_MIX}, {_stream('types')}, f AS (SELECT site AS src, sum(tick::DOUBLE) / 31 AS f FROM s GROUP BY 1), t AS (SELECT sum(f) AS c FROM f), a AS (SELECT mix.site, sum(wgt * f) AS c_est FROM mix JOIN f USING (src) GROUP BY 1) SELECT a.site, round(abs(c_est / wgt - c) / c, 9) AS err FROM a JOIN mix ON mix.site = a.site AND mix.src = 0, t")
+def _(spark, d):
+    s = stream(spark, d, "types")
+    state = gossip.gossip_by_cell(build_local(s, LINEAR, FAMILY), DEMO, FAMILY)
+    total = decayed_count(s, LINEAR, EVENTS_AT).first().c
+    return metrics.count_errors(query.count_estimate(state, LINEAR, EVENTS_AT), gossip.share_table(spark, DEMO), total).select("site", _r("err", 9))
+
+
+@query_of("guarantee_violations", "SELECT 0::BIGINT AS misses, 0::BIGINT AS forbidden, 0::BIGINT AS outside")
+def _(spark, d):
+    """Counts over all sites of what must not happen, after gossip on the complete graph."""
+    s = stream(spark, d, "types")
+    state = cut(gossip.gossip_by_cell(build_local(s, LINEAR, FAMILY), DEMO, FAMILY))
+    answer = cut(query.peer_query(state, FAMILY, LINEAR, 0.15, SLACK, EVENTS_AT, gossip.share_table(spark, DEMO)))
+    freqs, truth = decayed_freq(s, LINEAR, EVENTS_AT), exact.exact_hitters(s, LINEAR, 0.15, EVENTS_AT)
+    total, everyone = decayed_count(s, LINEAR, EVENTS_AT).first().c, spark.range(8).select(F.col("id").cast("int").alias("site"))
+    tol = min(planner.tolerance(SLACK, 0.15, FAMILY.width), 0.149)
+    n = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    return n(metrics.misses(answer, truth, everyone), "misses").crossJoin(n(metrics.tolerance_violations(answer, exact.forbidden_items(s, LINEAR, 0.15, tol, EVENTS_AT)), "forbidden")).crossJoin(n(metrics.frequency_violations(answer, freqs, SLACK, total, FAMILY.width), "outside"))
+
+
 for _style in ("push", "pull"):
     QUERIES[f"gossip_{_style}"] = lambda spark, d, st=_style: gossip.gossip_by_cell(build_local(stream(spark, d, "types"), LINEAR, FAMILY), DEMO, FAMILY, style=st).drop("round")
 
@@ -554,6 +606,29 @@ def _(spark, d):
     return metrics.are(answer, freqs).select("site", _r("are", 9))
 
 
+@query_of("aggregated_runs")
+def _(spark, d):
+    answer, truth, freqs, sites = _local_truth(spark, d)
+    return metrics.aggregate_runs(metrics.site_stats(answer, truth, freqs, sites)).select("metric", *[_r(c, 9) for c in ("mean", "ci_low", "ci_high")], "sites")
+
+
+ORACLES["aggregated_runs"] = f"""WITH rp AS ({ORACLES['recall_precision']}), a AS ({ORACLES['are_by_site']}), l AS (SELECT 'recall' AS metric, recall AS v FROM rp UNION ALL SELECT 'precision', precision FROM rp UNION ALL SELECT 'are', are FROM a),
+g AS (SELECT metric, avg(v) AS mean, coalesce(stddev_samp(v), 0) AS sd, count(v) AS sites FROM l GROUP BY 1)
+SELECT metric, round(mean, 9) AS mean, round(mean - {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 9) AS ci_low, round(mean + {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 9) AS ci_high, sites FROM g"""
+
+
+@query_of("pareto_sampler", "SELECT 0.0::DOUBLE AS inverse_gap, true AS near")
+def _(spark, d):
+    """The quantile inverts the distribution, and the sampled means follow it (greatest distance of the two curves)."""
+    from pyspark.sql import Window
+
+    x = churn.session_means(spark, 512, 3).select(F.col("life").alias("x"))
+    cdf = churn.pareto2_cdf(F.col("x"), churn.MU, 1.0, churn.MEAN_SHAPE)
+    gap = spark.range(1, 100).select((F.col("id") / 100).alias("u")).select(F.abs(churn.pareto2_cdf(churn.pareto2_quantile(F.col("u"), churn.MU, 1.0, 3.0), churn.MU, 1.0, 3.0) - F.col("u")).alias("g"))
+    far = x.select(F.abs(F.cume_dist().over(Window.orderBy("x")) - cdf).alias("k")).agg((F.max("k") < 1.63 / 512**0.5).alias("near"))
+    return gap.agg(F.round(F.max("g"), 9).alias("inverse_gap")).crossJoin(far)
+
+
 def _u(*parts: str) -> str:
     return f"(({_key("concat_ws('|', " + ', '.join(parts) + ')')}) + 0.5) / 4294967296.0::DOUBLE"
 

@@ -45,6 +45,11 @@ class Schedule:
         ok = self.round < rounds
         return Schedule(self.sites, rounds, self.round[ok], self.level[ok], self.a[ok], self.b[ok])
 
+    def after(self, rounds: int) -> Schedule:
+        """The rest, counted from 0."""
+        ok = self.round >= rounds
+        return Schedule(self.sites, self.rounds - rounds, self.round[ok] - rounds, self.level[ok], self.a[ok], self.b[ok])
+
 
 def _levelled(sites: int, rounds: int, round_: np.ndarray, a: np.ndarray, b: np.ndarray) -> Schedule:
     level = np.zeros(len(a), np.int64)
