@@ -20,6 +20,8 @@ from fadegossip.llm.words import WORD_BASE, Words, chunked, mix, span_hashes, st
 WORD_DIMS, SHAPE_DIMS = 1024, 512
 #: Labelled rows that are fitted and broadcast at most (per label half of it), latent dimensions, and voters.
 REFERENCES, DIMENSIONS, NEIGHBOURS = 4096, 48, 15
+#: Documents of a block of cosines at most (a block has REFERENCES floats for each, their counts WORD_DIMS + SHAPE_DIMS).
+BLOCK_ROWS = 256
 #: Share of the shapes in the squared length of a row.
 SHAPE_SHARE = 0.75
 _CLASS = np.arange(256, dtype=np.uint64) + np.uint64(1000)  # punctuation stands for itself
@@ -99,7 +101,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = REFERENCES, dimensions:
 
     def run(batches):
         for batch in batches:
-            for part in chunked(batch, "text"):
+            for part in chunked(batch, "text", most=BLOCK_ROWS):
                 counts = rows_of(strings(part.column("text")))
                 yield pa.RecordBatch.from_arrays([part.column("label"), pa.array([x.tobytes() for x in counts.astype(np.float16)], pa.binary())], ["label", "x"])
 
@@ -120,10 +122,8 @@ def score(docs: DataFrame, space: Space | None, neighbours: int = NEIGHBOURS) ->
 
     def run(batches):
         for batch in batches:
-            for part in chunked(batch, "text"):
-                n = part.num_rows
-                counts = rows_of(strings(part.column("text")))
-                found = np.concatenate([shared.value.scores(counts[a : a + 512], neighbours) for a in range(0, n, 512)])
+            for part in chunked(batch, "text", most=BLOCK_ROWS):
+                found = shared.value.scores(rows_of(strings(part.column("text"))), neighbours)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.clip(found, 0, 1))], ["doc_id", "score"])
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double")

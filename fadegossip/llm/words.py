@@ -43,8 +43,8 @@ def raw(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return body, offsets - offsets[0]
 
 
-def chunked(batch, column: str, limit: int = CHUNK_BYTES) -> Iterator:
-    """Slices of a batch or table of about `limit` bytes of text; a longer document is a slice of its own."""
+def chunked(batch, column: str, limit: int = CHUNK_BYTES, most: int = 1 << 16) -> Iterator:
+    """Slices of a batch or table of about `limit` bytes of text and `most` rows; a longer document is a slice of its own."""
     n = batch.num_rows
     if not n:
         return
@@ -54,7 +54,7 @@ def chunked(batch, column: str, limit: int = CHUNK_BYTES) -> Iterator:
     at = 0
     while at < n:
         base = upto[at - 1] if at else 0
-        end = max(at + 1, int(np.searchsorted(upto, base + limit, "right")))
+        end = min(max(at + 1, int(np.searchsorted(upto, base + limit, "right"))), at + most)
         yield batch.slice(at, end - at)
         at = end
 
