@@ -41,9 +41,7 @@ def adjacency(graph: str, sites: int, seed: int) -> dict[int, np.ndarray] | None
     if graph == "complete":
         return None
     if graph == "uniform":
-        pairs = topology.uniform_pairs(sites, min(1.0, 8 / max(sites - 1, 1)), seed)
-        alone = np.setdiff1d(np.arange(sites), pairs.ravel())
-        pairs = np.vstack([pairs, np.stack([alone, (alone + 1) % sites], 1)])
+        pairs = topology.connected(topology.uniform_pairs(sites, min(1.0, 8 / max(sites - 1, 1)), seed), sites)
     else:
         pairs = topology.preferential_pairs(sites, 3, seed)
     both = np.unique(np.vstack([pairs, pairs[:, ::-1]]), axis=0)

@@ -34,11 +34,27 @@ def uniform_pairs(sites: int, q: float, seed: int) -> np.ndarray:
     return np.stack([n - high * (high - 1) // 2, high], 1)
 
 
+def connected(pairs: np.ndarray, sites: int) -> np.ndarray:
+    """The pairs, and a link from each component to the first one: averages are of a component's sites only."""
+    root = list(range(sites))
+
+    def find(i: int) -> int:
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    for a, b in pairs.tolist():
+        root[find(a)] = find(b)
+    heads = sorted({find(i) for i in range(sites)})
+    extra = [(heads[0], h) for h in heads[1:]]
+    return np.vstack([pairs, np.array(extra, np.int64).reshape(-1, 2)])
+
+
 def uniform_graph(spark: SparkSession, sites: int, q: float | None = None, mean_degree: float = 8, seed: int = 0) -> DataFrame:
-    """Uniform random graph; isolated sites are linked to the next one, so that every site can exchange."""
-    pairs = uniform_pairs(sites, q if q is not None else min(1.0, mean_degree / max(sites - 1, 1)), seed)
-    alone = np.setdiff1d(np.arange(sites), pairs.ravel())
-    return _edges(spark, np.vstack([pairs, np.stack([alone, (alone + 1) % sites], 1)]).astype(int))
+    """Uniform random graph; components that are apart are linked, so that all sites can reach each other."""
+    q = q if q is not None else min(1.0, mean_degree / max(sites - 1, 1))
+    return _edges(spark, connected(uniform_pairs(sites, q, seed), sites).astype(int))
 
 
 def hashed_uniform_graph(spark: SparkSession, sites: int, q: float, seed: int = 0) -> DataFrame:

@@ -180,6 +180,7 @@ def test_graphs(spark):
             report = topology.graph_report(edges).first()
             assert report.sites == sites and report.one_way == 0 and report.min_degree >= 1
     assert topology.reach(topology.tree(spark, 15)).count() == 15
+    assert topology.reach(topology.uniform_graph(spark, 30, mean_degree=0.5, seed=2)).count() == 30
     near = topology.neighbours(topology.uniform_graph(spark, 20, seed=1))
     m = draw_matching(near, 20, 3)
     assert (m.level == 0).all()
