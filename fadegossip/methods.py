@@ -609,12 +609,12 @@ def _(spark, d):
 @query_of("aggregated_runs")
 def _(spark, d):
     answer, truth, freqs, sites = _local_truth(spark, d)
-    return metrics.aggregate_runs(metrics.site_stats(answer, truth, freqs, sites)).select("metric", *[_r(c, 9) for c in ("mean", "ci_low", "ci_high")], "sites")
+    return metrics.aggregate_runs(metrics.site_stats(answer, truth, freqs, sites)).select("metric", *[_r(c) for c in ("mean", "ci_low", "ci_high")], "sites")
 
 
 ORACLES["aggregated_runs"] = f"""WITH rp AS ({ORACLES['recall_precision']}), a AS ({ORACLES['are_by_site']}), l AS (SELECT 'recall' AS metric, recall AS v FROM rp UNION ALL SELECT 'precision', precision FROM rp UNION ALL SELECT 'are', are FROM a),
 g AS (SELECT metric, avg(v) AS mean, coalesce(stddev_samp(v), 0) AS sd, count(v) AS sites FROM l GROUP BY 1)
-SELECT metric, round(mean, 9) AS mean, round(mean - {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 9) AS ci_low, round(mean + {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 9) AS ci_high, sites FROM g"""
+SELECT metric, round(mean, 6) AS mean, round(mean - {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 6) AS ci_low, round(mean + {metrics.Z95!r}::DOUBLE * sd / sqrt(sites), 6) AS ci_high, sites FROM g"""
 
 
 @query_of("pareto_sampler", "SELECT 0.0::DOUBLE AS inverse_gap, true AS near")
