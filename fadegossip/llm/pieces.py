@@ -7,7 +7,7 @@ back to bytes and survives decoding. Encoding then loses nothing: decode(encode(
 
 Search is exact on whole texts. No piece has a marker behind another character, so every best path breaks
 before each run of markers; segments between these breaks are searched once per chunk however often they occur.
-Ties go to the path whose last piece starts first, as in the library.
+Ties go to the path whose last piece starts first.
 """
 
 from __future__ import annotations
