@@ -202,14 +202,14 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of `docs` of which each class of near copies keeps one: that with the least id.
+    """The rows of `docs` of which each class of near copies keeps one: that with the least id, then the least hash.
 
     Near copies are settled on shingles of five words (`shingles`), not by the fingerprints of `near_duplicates`.
-    Of rows that repeat an id one stays; a row without an id can't stand for a class and stays as it is.
+    A row without an id can't stand for a class and stays as it is.
     """
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("whole"))  # one name, whatever docs has
     hashed = rows.select("whole", F.xxhash64("whole").alias("row"))
     found = shingles.near_copies(hashed.select(F.col("whole.doc_id").alias("id"), "row", F.col("whole.text").alias("text")))
-    least = found.where(F.col("id").isNotNull()).groupBy("root").agg(F.min("id").alias("id")).select("id").distinct()
-    kept = hashed.join(least, F.col("whole.doc_id") == F.col("id")).dropDuplicates(["id"])
+    least = found.where(F.col("id").isNotNull()).groupBy("root").agg(F.min(F.struct("id", "row")).alias("x")).select("x.id", F.col("x.row").alias("own"))
+    kept = hashed.join(least, (F.col("whole.doc_id") == F.col("id")) & (F.col("row") == F.col("own"))).dropDuplicates(["id", "own"])
     return kept.select(*[F.col(f"whole.`{c}`") for c in docs.columns]).union(docs.where(F.col("doc_id").isNull()))

@@ -84,3 +84,12 @@ def test_the_stage_drops_copies_beyond_four_bits(spark, make_docs):
     bases = [words(150, 50 + i, 10**6) for i in range(20)]
     rows = [(2 * i + k, edited(b, 3 * k, rng), "en", "a") for i, b in enumerate(bases) for k in (0, 1)]
     assert sorted(r.doc_id for r in simhash.keep_one(make_docs(rows)).collect()) == [2 * i for i in range(20)]
+
+
+def test_rows_that_repeat_an_id_keep_their_own_class(spark, make_docs):
+    """A text that shares its id with a copy of another document stays, whatever the order of the rows."""
+    one, two, three = (" ".join(words(60, 70 + i)) for i in range(3))
+    rows = [(1, one, "en", "a"), (2, one, "en", "a"), (2, two, "en", "a"), (2, three, "en", "a"), (2, three, "en", "a"), (3, two, "en", "b")]
+    for order in (rows, rows[::-1]):
+        got = sorted((r.doc_id, r.text) for r in simhash.keep_one(make_docs(order)).collect())
+        assert got == sorted([(1, one), (2, two), (2, three)])
