@@ -7,13 +7,16 @@ possible; tokens reach it only if half of them is the half of a word of about th
 one error can fail. Stems match the beginnings of tokens exactly.
 
 A hit counts as abuse or as quotation: quotation if the token stands between quotation marks or a word of
-reporting stands in the window before it. The numbers of both and the plain and misspelled hits are the features
-of a logistic model whose prior lets quotations count little.
+reporting stands in the window before it. Both numbers are the features of a logistic model whose prior lets
+quotations count little. A misspelled hit is `MISSPELLED` of a plain one, so it shares the weight learnt from plain
+hits. Only words of very high odds may be misspelled, and a near token that clean documents of the sample hold as
+well is a word of its own, not an error.
 """
 
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +34,8 @@ SAMPLE, LEXICON = 4096, 2000
 SUPPORT, SUPPORT_SHARE, ODDS, ENDINGS, STEM, FUZZY = 5, 0.015, 3.0, 8, 4, 5
 #: A stem needs this many times the documents of a word.
 STEM_SUPPORT = 3
+#: What a misspelled hit counts in plain ones, and the least log odds of a word that may be misspelled.
+MISSPELLED, SURE = 0.5, 4.0
 #: Tokens before a hit in which a word of reporting makes it a quotation.
 WINDOW = 6
 # fixed values: words of reporting
@@ -98,13 +103,14 @@ def within_one(token: str, root: dict) -> str | None:
 class Halves:
     """Hashes of first and last halves of words: a filter that passes every token within one error of a word."""
 
-    def __init__(self, words: list[str], stems: list[str]):
+    def __init__(self, words: list[str], stems: list[str], sure: list[str] | None = None):
         hashed = lambda xs: np.sort(self._hash([x.encode() for x in xs]))
         self.exact = hashed(words)
         self.stems = {n: hashed([s for s in stems if len(s.encode()) == n]) for n in {len(s.encode()) for s in stems}}
         self.sizes = {}
-        for n in {len(w.encode()) for w in words if len(w) >= FUZZY}:
-            same = [w.encode() for w in words if len(w) >= FUZZY and len(w.encode()) == n]
+        sure = [w for w in (words if sure is None else sure) if len(w) >= FUZZY]
+        for n in {len(w.encode()) for w in sure}:
+            same = [w.encode() for w in sure if len(w.encode()) == n]
             self.sizes[n] = np.sort(self._hash([w[: n // 2] for w in same])), np.sort(self._hash([w[n - (n // 2) :] for w in same]))
 
     @staticmethod
@@ -143,19 +149,22 @@ def _in(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
 class Lexicon:
     """Words with their trie, stems, and the weights of a document's hits."""
 
-    FEATURES = ("abuse", "misspelled", "quoted")
+    FEATURES = ("abuse", "quoted")
 
-    def __init__(self, words: list[str], stems: list[str]):
+    def __init__(self, words: list[str], stems: list[str], sure: list[str] | None = None):
+        """sure: the words that may be misspelled, all of them by default."""
         self.words, self.stems = frozenset(words), tuple(stems)
-        self.root, self.halves = trie(words), Halves(words, stems)
+        self.root, self.halves = trie(words if sure is None else sure), Halves(words, stems, sure)
         self.known: dict[str, int] = {}
-        self.bias, self.weight = -3.0, np.array([3.0, 1.0, 0.3])
+        #: Tokens near a word that are words of their own.
+        self.ordinary: frozenset[str] = frozenset()
+        self.bias, self.weight = -3.0, np.array([3.0, 0.3])
 
     def kind(self, token: str) -> int:
         """0: no hit, 1: word or stem, 2: misspelled word."""
         if token in self.words or token.startswith(self.stems):
             return 1
-        if len(token) < FUZZY - 1:
+        if len(token) < FUZZY - 1 or token in self.ordinary:
             return 0
         got = self.known.get(token)
         if got is None:
@@ -166,9 +175,16 @@ class Lexicon:
 
     def hits(self, texts: pa.Array) -> np.ndarray:
         """Numbers of plain, misspelled and quoted hits of each text."""
+        out = np.zeros((len(texts), 3))
+        for doc, found in self.found(texts):
+            for _, kind, quoted in found:
+                out[doc, 2 if quoted else kind - 1] += 1
+        return out
+
+    def found(self, texts: pa.Array) -> Iterator[tuple[int, list[tuple[str, int, bool]]]]:
+        """(index, hits) of each text with hits; a hit is the token, its kind and whether it is quoted."""
         lowered = pc.utf8_lower(texts)
         words = Words(_without_marks(lowered), space=BETWEEN)
-        out = np.zeros((len(texts), 3))
         first, which = self.halves.passes(words)
         real = np.zeros(len(first), bool)
         kinds: dict[str, int] = {}
@@ -179,12 +195,11 @@ class Lexicon:
                 real[i], kinds[token] = True, kind
         if kinds:
             for doc in np.unique(words.doc[real[which]]).tolist():
-                out[doc] = self._weigh(lowered[doc].as_py(), kinds)
-        return out
+                yield doc, self._weigh(lowered[doc].as_py(), kinds)
 
-    def _weigh(self, text: str, kinds: dict[str, int]) -> list[float]:
+    def _weigh(self, text: str, kinds: dict[str, int]) -> list[tuple[str, int, bool]]:
         """kinds: the tokens that hit, and whether plainly (1) or misspelled (2)."""
-        plain = wrong = quoted = 0
+        out = []
         inside, last = False, -WINDOW - 1
         for i, m in enumerate(_TOKEN.finditer(text)):
             token = m[0]
@@ -197,21 +212,20 @@ class Lexicon:
             kind = kinds.get(token)
             if kind:
                 # a quotation mark that is never closed covers nothing
-                if inside and re.search(r"[\"”»]", text[m.end() : m.end() + 400]) or i - last <= WINDOW:
-                    quoted += 1
-                elif kind == 1:
-                    plain += 1
-                else:
-                    wrong += 1
-        return [plain, wrong, quoted]
+                out.append((token, kind, bool(inside and re.search(r"[\"”»]", text[m.end() : m.end() + 400]) or i - last <= WINDOW)))
+        return out
+
+    @staticmethod
+    def features(hits: np.ndarray) -> np.ndarray:
+        return np.log1p(np.column_stack((hits[:, 0] + MISSPELLED * hits[:, 1], hits[:, 2])))
 
     def scores(self, texts: pa.Array) -> np.ndarray:
-        z = self.bias + np.log1p(self.hits(texts)) @ self.weight
+        z = self.bias + self.features(self.hits(texts)) @ self.weight
         return 1 / (1 + np.exp(-np.clip(z, -500, 500)))
 
     def calibrate(self, hits: np.ndarray, labels: np.ndarray, toxic_share: float, prior: float = 1.0) -> None:
         """Logistic weights with a Gaussian prior on the given ones; the bias is then set for the real share of toxic rows."""
-        x = np.hstack([np.ones((len(hits), 1)), np.log1p(hits)])
+        x = np.hstack([np.ones((len(hits), 1)), self.features(hits)])
         centre = np.concatenate(([self.bias], self.weight))
         w = centre.copy()
         for _ in range(50):
@@ -261,7 +275,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Lexicon:
     best = terms.orderBy(F.col("toxic").desc(), "term", "stem").limit(LEXICON).collect()
     stems = _closed({x.term: x.toxic for x in best if x.stem})
     words = sorted(x.term for x in best if not x.stem and not x.term.startswith(tuple(stems)))
-    lexicon = Lexicon(words, stems)
+    lexicon = Lexicon(words, stems, sorted(x.term for x in best if not x.stem and x.odds >= SURE))
     if not words and not stems:
         lexicon.bias = float(np.log((toxic + 0.5) / (clean + 0.5)))
         return lexicon
@@ -270,10 +284,24 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Lexicon:
     def run(batches):
         for batch in batches:
             for part in chunked(batch, "text"):
-                yield pa.RecordBatch.from_arrays([part.column("label"), pa.array(shared.value.hits(strings(part.column("text"))).tolist(), pa.list_(pa.float64()))], ["label", "x"])
-
-    rows = sample.select("label", "text").mapInArrow(run, "label int, x array<double>").collect()
-    lexicon.calibrate(np.array([x.x for x in rows]), np.array([x.label for x in rows], float), toxic / max(toxic + clean, 1))
+                found = dict(shared.value.found(strings(part.column("text"))))
+                hits = [[(t if k == 2 else "", k, q) for t, k, q in found.get(i, ())] for i in range(part.num_rows)]
+                yield pa.RecordBatch.from_arrays([part.column("label"), *[pa.array([[h[j] for h in x] for x in hits], pa.list_(t)) for j, t in enumerate((pa.string(), pa.int32(), pa.bool_()))]], ["label", "near", "kind", "quoted"])
+
+    rows = sample.select("label", "text").mapInArrow(run, "label int, near array<string>, kind array<int>, quoted array<boolean>").collect()
+    seen: dict[str, list[int]] = {}
+    for row in rows:
+        for token in {t for t in row.near if t}:
+            seen.setdefault(token, [0, 0])[row.label] += 1
+    size = [sum(row.label == label for row in rows) + 1 for label in (0, 1)]
+    lexicon.ordinary = frozenset(t for t, (c, x) in seen.items() if c and np.log((x + 0.5) / size[1]) - np.log((c + 0.5) / size[0]) <= ODDS)
+    hits = np.zeros((len(rows), 3))
+    for i, row in enumerate(rows):
+        for token, kind, quoted in zip(row.near, row.kind, row.quoted):
+            if token not in lexicon.ordinary:
+                hits[i, 2 if quoted else kind - 1] += 1
+    lexicon.known.clear()
+    lexicon.calibrate(hits, np.array([x.label for x in rows], float), toxic / max(toxic + clean, 1))
     return lexicon
 
 
