@@ -241,7 +241,10 @@ class Lexicon:
 
 
 def _terms(sample: DataFrame) -> DataFrame:
-    """(term, stem, toxic, clean, endings): documents of the sample with a word, or with a word that begins with a stem."""
+    """(term, stem, toxic, clean, endings): documents of the sample with a word, or with a word that begins with a stem.
+
+    Distinct endings are counted over the whole sample; a batch tells no more of them than ENDINGS and one document's.
+    """
 
     def run(batches):
         for batch in batches:
@@ -257,10 +260,11 @@ def _terms(sample: DataFrame) -> DataFrame:
                     row[1 - label] += 1
                     if len(row[2]) < ENDINGS:
                         row[2].update(ends)
-            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in seen], pa.string()), pa.array([k[1] for k in seen], pa.int32()), *[pa.array([r[i] for r in seen.values()], pa.int64()) for i in range(2)], pa.array([len(r[2]) for r in seen.values()], pa.int64())], ["term", "stem", "toxic", "clean", "endings"])
+            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in seen], pa.string()), pa.array([k[1] for k in seen], pa.int32()), *[pa.array([r[i] for r in seen.values()], pa.int64()) for i in range(2)], pa.array([sorted(r[2]) for r in seen.values()], pa.list_(pa.string()))], ["term", "stem", "toxic", "clean", "endings"])
 
-    found = sample.select("text", "label").mapInArrow(run, "term string, stem int, toxic long, clean long, endings long")
-    return found.groupBy("term", "stem").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"), F.max("endings").alias("endings"))
+    found = sample.select("text", "label").mapInArrow(run, "term string, stem int, toxic long, clean long, endings array<string>")
+    distinct = F.size(F.array_distinct(F.flatten(F.collect_list("endings"))))
+    return found.groupBy("term", "stem").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"), distinct.alias("endings"))
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Lexicon:
@@ -289,6 +293,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Lexicon:
                 yield pa.RecordBatch.from_arrays([part.column("label"), *[pa.array([[h[j] for h in x] for x in hits], pa.list_(t)) for j, t in enumerate((pa.string(), pa.int32(), pa.bool_()))]], ["label", "near", "kind", "quoted"])
 
     rows = sample.select("label", "text").mapInArrow(run, "label int, near array<string>, kind array<int>, quoted array<boolean>").collect()
+    rows.sort(key=lambda x: (x.label, x.near, x.kind, x.quoted))  # sums in one order, however the rows were dealt
     seen: dict[str, list[int]] = {}
     for row in rows:
         for token in {t for t in row.near if t}:

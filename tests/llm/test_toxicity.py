@@ -34,3 +34,13 @@ def test_misspelled_terms_count_after_fit(spark, make_docs):
     got = lexicon.scores(strings(pa.array([wrong, plain, plain + " idiom" * 6, plain + " idiot moron pathetic worthless"])))
     assert got[0] >= 0.5 and got[3] >= 0.5
     assert got[1] < 0.5 and got[2] < 0.5
+
+
+def test_stems_at_every_number_of_partitions(spark, make_docs):
+    """Twelve endings of a stem that no task sees together."""
+    rows = [(i, f"lowei{'abcdefghijkl'[i // 2 % 12]}x word{i % 5}" if i % 2 else f"fine word{i % 5}", "en", "a") for i in range(480)]
+    labels = spark.createDataFrame([(i, 1, i % 2) for i, *_ in rows], "doc_id long, quality int, toxic int")
+    docs = make_docs(rows)
+    found = [toxicity.fit(docs.repartition(n, "doc_id"), labels) for n in (1, 3, 48)]
+    assert len({(x.words, x.stems, x.bias, tuple(x.weight)) for x in found}) == 1
+    assert found[0].stems and all(s.startswith("lowe") for s in found[0].stems), found[0].words
