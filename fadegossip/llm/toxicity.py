@@ -6,8 +6,8 @@ token (one insertion, deletion or substitution) is run against that trie, so tha
 possible; tokens reach it only if half of them is the half of a word of about their length, which no token within
 one error can fail. Stems match the beginnings of tokens exactly.
 
-A hit counts as abuse or as quotation: quotation if the token stands between quotation marks or a word of
-reporting stands in the window before it. Both numbers are the features of a logistic model whose prior lets
+A hit counts as abuse or as quotation: quotation if the token stands between an opening and a closing quotation
+mark, however far apart, or a word of reporting stands in the window before it. Both numbers are the features of a logistic model whose prior lets
 quotations count little. A misspelled hit is `MISSPELLED` of a plain one, so it shares the weight learnt from plain
 hits. Only words of very high odds may be misspelled, and a near token that clean documents of the sample hold as
 well is a word of its own, not an error.
@@ -199,20 +199,24 @@ class Lexicon:
 
     def _weigh(self, text: str, kinds: dict[str, int]) -> list[tuple[str, int, bool]]:
         """kinds: the tokens that hit, and whether plainly (1) or misspelled (2)."""
-        out = []
-        inside, last = False, -WINDOW - 1
+        out, inside = [], []
+        opened, last = "", -WINDOW - 1
         for i, m in enumerate(_TOKEN.finditer(text)):
             token = m[0]
             if token in "\"“”„«»":
-                inside = token in "“„«" or token == '"' and not inside
+                if not opened:
+                    opened = token if token in '"“„«' else ""
+                elif token in '"”»' or opened == "„" and token == "“":
+                    out += [(t, k, True) for t, k, _ in inside]
+                    opened, inside = "", []
                 continue
             if token in REPORTING:
                 last = i
                 continue
             kind = kinds.get(token)
             if kind:
-                # a quotation mark that is never closed covers nothing
-                out.append((token, kind, bool(inside and re.search(r"[\"”»]", text[m.end() : m.end() + 400]) or i - last <= WINDOW)))
+                (inside if opened else out).append((token, kind, i - last <= WINDOW))
+        out += inside  # a quotation mark that is never closed covers nothing
         return out
 
     @staticmethod

@@ -44,3 +44,11 @@ def test_stems_at_every_number_of_partitions(spark, make_docs):
     found = [toxicity.fit(docs.repartition(n, "doc_id"), labels) for n in (1, 3, 48)]
     assert len({(x.words, x.stems, x.bias, tuple(x.weight)) for x in found}) == 1
     assert found[0].stems and all(s.startswith("lowe") for s in found[0].stems), found[0].words
+
+
+def test_quotations_of_any_length():
+    lexicon = toxicity.Lexicon(["idiot", "moron"], [])
+    long = "idiot moron " + "so it went on and on " * 200
+    texts = [f'He read: "{long}" and left', f"“{long}”", f"„{long}“ then idiot", f'an " open mark {long}', f'"short" {long} "short"']
+    assert lexicon.hits(strings(pa.array(texts))).tolist() == [[0, 0, 2], [0, 0, 2], [1, 0, 2], [2, 0, 0], [2, 0, 0]]
+    assert lexicon.scores(strings(pa.array(texts[:1])))[0] < 0.5 < lexicon.scores(strings(pa.array([long])))[0]
