@@ -28,7 +28,7 @@ MARK = 0xFF
 UNKNOWN_PENALTY = 10.0
 #: Segments up to this many bytes are searched side by side, longer ones one by one.
 SHORT = 64
-CHUNK = 1 << 21
+CHUNK = 1 << 19
 
 
 class DoubleArray:
