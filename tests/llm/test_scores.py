@@ -179,6 +179,30 @@ def test_mix(spark, make_docs, odd_rows):
     assert mixing.mix(make_docs([])).count() == 0
 
 
+def by_source(rows):
+    taken, target = collections.Counter(), {}
+    for r in rows:
+        taken[r.source] += r.taken
+        target[r.source] = r.target
+    return taken, target
+
+
+def test_a_source_of_equal_rows_meets_its_target(spark, make_docs):
+    rng = random.Random(14)
+    rows = [(i, "w " * rng.randrange(5, 60), "en", "ab"[i % 2]) for i in range(800)] + [(5000, "same words " * 5, "en", "c")] * 400
+    found = {}
+    for n in (1, 8, 64, 211):
+        got = mixing.mix(make_docs(rows).repartition(n)).collect()
+        taken, target = by_source(got)
+        for s in "abc":
+            assert abs(taken[s] - target[s]) <= max(10, 0.01 * target[s]), (n, s, taken[s], target[s])
+        found[n] = sorted((r.doc_id, r.source, r.copies) for r in got)
+    assert all(x == found[1] for x in found.values())
+    docs = make_docs(rows, extra=True).repartition(5)
+    kept = collections.Counter(r.doc_id for r in mixing.mixed(docs).collect())
+    assert kept == collections.Counter(d for d, _, c in found[1] for _ in range(c))
+
+
 def test_multipliers_meet_the_targets(spark, make_docs):
     rng = random.Random(6)
     docs = make_docs([(i, "w " * rng.randrange(1, 400), "en", rng.choice("abc")) for i in range(400)])
