@@ -89,15 +89,32 @@ class Space:
         return np.where(total > 1e-12, (weight * self.labels[pick]).sum(1) / np.maximum(total, 1e-12), self.labels.mean())
 
 
-def sample_labels(labels: DataFrame, column: str, bound: int) -> DataFrame:
-    """(doc_id, label) of at most bound / 2 rows of each label, in the order of a hash; none of a held-out document."""
-    rows = labels.select("doc_id", F.col(column).cast("int").alias("label")).where(F.col("label").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).dropDuplicates(["doc_id"])
+def learnable(labels: DataFrame, column: str) -> DataFrame:
+    """(doc_id, label), a row for each labelled document that may be learnt from: labels 0 or 1, not held out.
+
+    Repeated rows of `labels` count once; of an id's conflicting labels the larger counts.
+    """
+    rows = labels.select("doc_id", F.col(column).cast("int").alias("label"))
+    return rows.where(F.col("label").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("label").alias("label"))
+
+
+def labelled(docs: DataFrame, labels: DataFrame, column: str, bound: int) -> DataFrame:
+    """(doc_id, label, text) of at most bound / 2 documents of each label, in the order of a hash of the id.
+
+    Rows of docs that repeat an id are one document, that with the least text hash, so `bound` holds for rows too.
+    """
+    rows = learnable(labels, column)
     pick = lambda x: rows.where(F.col("label") == x).orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound // 2)
-    return pick(0).union(pick(1))
+    found = docs.select("doc_id", "text").join(F.broadcast(pick(0).union(pick(1))), "doc_id")
+    least = found.groupBy("doc_id", "label").agg(F.min(F.struct(F.xxhash64("text").alias("h"), F.col("text"))).alias("x"))
+    return least.select("doc_id", "label", "x.text")
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = REFERENCES, dimensions: int = DIMENSIONS) -> Space | None:
-    """The space of a bounded sample of labelled rows; None if no label can be learnt from."""
+    """The space of a bounded sample of labelled rows, in order of label and vector; None if no label can be learnt from.
+
+    At most `bound` rows of counts come to the driver. Null texts count as empty. See labelled() for repeated rows.
+    """
 
     def run(batches):
         for batch in batches:
@@ -105,16 +122,20 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = REFERENCES, dimensions:
                 counts = rows_of(strings(part.column("text")))
                 yield pa.RecordBatch.from_arrays([part.column("label"), pa.array([x.tobytes() for x in counts.astype(np.float16)], pa.binary())], ["label", "x"])
 
-    sample = sample_labels(labels, "quality", bound)
-    got = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("label", "text").mapInArrow(run, "label int, x binary").collect()
+    got = labelled(docs, labels, "quality", bound).select("label", "text").mapInArrow(run, "label int, x binary").collect()
     if not got:
         return None
-    got = sorted(got)[: 2 * bound]
+    got = sorted(got)
     return Space(np.stack([np.frombuffer(x.x, np.float16) for x in got]).astype(np.float32), np.array([x.label for x in got]), dimensions)
 
 
 def score(docs: DataFrame, space: Space | None, neighbours: int = NEIGHBOURS) -> DataFrame:
-    """(doc_id, score), a row for each row. Null texts count as empty; without a space every score is 0.5."""
+    """(doc_id, score), a row for each row of docs, whatever other columns it has.
+
+    Null texts count as empty; empty texts, and any without a like vector, get the share of label 1. Repeated rows get
+    equal scores. Among labelled vectors of equal similarity at the edge of the voters any may vote. A text of any
+    length is counted whole, one at a time if it is longer than a chunk. Without a space every score is 0.5.
+    """
     kind = docs.schema["doc_id"].dataType.simpleString()
     if space is None:
         return docs.select("doc_id", F.lit(0.5).alias("score"))

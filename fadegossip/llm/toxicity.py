@@ -24,13 +24,13 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fadegossip.llm.frames import held_out, table
-from fadegossip.llm.quality import sample_labels
+from fadegossip.llm.frames import cut, held_out, table
+from fadegossip.llm.quality import labelled, learnable
 from fadegossip.llm.words import BYTE_BASE, BYTE_CODE, Words, chunked, raw, span_hashes, strings, to_strings
 
 #: Labelled rows that are learnt from at most (half of them toxic), and entries of the lexicon at most.
 SAMPLE, LEXICON = 4096, 2000
-#: Least toxic documents of an entry and least share of them, least log odds, least endings of a stem, shortest stem and shortest word that may be misspelled.
+#: Least toxic documents of an entry and least share of them, least log odds, least endings of a stem, shortest word or stem that is learnt and shortest word that may be misspelled.
 SUPPORT, SUPPORT_SHARE, ODDS, ENDINGS, STEM, FUZZY = 5, 0.015, 3.0, 8, 4, 5
 #: A stem needs this many times the documents of a word.
 STEM_SUPPORT = 3
@@ -254,7 +254,7 @@ def _terms(sample: DataFrame) -> DataFrame:
         for batch in batches:
             seen: dict[tuple[str, int], list] = {}
             for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist()):
-                words = {w for w in _TOKEN.findall((text or "").lower()) if 3 < len(w) <= 24}
+                words = {w for w in _TOKEN.findall((text or "").lower()) if len(w) >= STEM}
                 stems: dict[str, set] = {}
                 for w in words:
                     for n in range(STEM, min(len(w), 9)):
@@ -272,9 +272,14 @@ def _terms(sample: DataFrame) -> DataFrame:
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> Lexicon:
-    """Lexicon and weights from a bounded sample of labelled rows; without toxic ones the lexicon is empty."""
-    sample = docs.select("doc_id", "text").join(F.broadcast(sample_labels(labels, "toxic", bound)), "doc_id")
-    share = {x.toxic: x.n for x in labels.where(~held_out()).groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    """Lexicon and weights from at most `bound` labelled documents; without toxic ones the lexicon is empty.
+
+    Of more than LEXICON entries those of most toxic documents are kept, ties by code points. Repeated rows of labels
+    or docs count once (see quality.labelled); null texts count as empty. The result depends on the rows alone, not
+    on how they are dealt.
+    """
+    sample = cut(labelled(docs, labels, "toxic", bound))
+    share = {x.label: x.n for x in learnable(labels, "toxic").groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
     toxic, clean = share.get(1, 0), share.get(0, 0)
     sizes = F.lit(float(min(toxic, bound // 2) + 1)), F.lit(float(min(clean, bound // 2) + 1))
     odds = F.log((F.col("toxic") + 0.5) / sizes[0]) - F.log((F.col("clean") + 0.5) / sizes[1])
@@ -325,7 +330,10 @@ def _closed(stems: dict[str, int]) -> list[str]:
 
 
 def score(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
-    """(doc_id, score), a row for each row; null texts count as empty."""
+    """(doc_id, score), a row for each row of docs, whatever other columns it has; repeated rows get equal scores.
+
+    Null texts count as empty. Texts of any length are read whole, and a quotation may be of any length.
+    """
     kind = docs.schema["doc_id"].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(lexicon)  # at most LEXICON entries
 
@@ -338,7 +346,10 @@ def score(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, lexicon: Lexicon, threshold: float = 0.5) -> DataFrame:
-    """The rows of docs that score below the threshold, with all their columns, in one pass without a join."""
+    """The rows of docs that score below the threshold, with all their columns, in one pass without a join.
+
+    Nulls in any column and repeated rows are kept as they are; a null text counts as empty.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(lexicon)
 
     def run(batches):
