@@ -1,19 +1,23 @@
-"""Repeated-passage removal by relative parsing against an index of the whole corpus.
-
-The corpus is its own reference. Its index is sharded into reference blocks by hash, and every document is
-factored against every block that can hold a match, in two passes over the same dealt text:
-
-1. Anchors. Each window of `window` words is represented by its least hashed `gram` of words. Equal windows have
-   equal anchors, so a window can repeat only where its anchor does. A group of documents sends each distinct
-   anchor once to the block that owns it and hears back which of its anchors occur elsewhere too: the matched
-   stretches are the factors, everything else is literal and leaves the comparison here.
-2. Factors are cut at anchors, not at the ends of true repeats, so the windows of a matched stretch, those
-   across factor boundaries included, are checked word by word: the windows' 95-bit hashes go, again once per
-   group, to the block that owns them, and one bit a window comes back.
-
-Groups are dealt by a hash of the row, blocks by a hash of the content, and a group names a content once however
-often it holds it: a passage in a third of all documents costs its block one entry per group. Text is shuffled
-once; Spark reuses that exchange for the three passes. No state outside the shuffles is kept.
+"""Repeated-passage removal by relative Lempel-Ziv parsing against an index of the whole corpus.
+
+The corpus is its own reference. Every document is cut into pieces at anchors: a window of `window` words is
+represented by its least hashed `gram` of words, and consecutive windows with one anchor are a piece, the words that
+they cover. Equal windows have equal anchors at equal places. The index of all pieces is dealt to reference shards by the
+hash of the anchor (`exchange`); a group of documents asks for all its pieces at once, so each document meets every
+reference shard that can hold a match, and no other.
+
+1. Factors. A piece that stands elsewhere too comes back with the place of its least other occurrence, its source. A
+   factor is parsed greedily: it goes on as long as the next piece's source follows on in the same text, and is
+   the longest copy of that source from its start. Each piece has `window` words at least, and so has a factor; what is
+   shorter stays literal. All windows of a factor are repeated.
+2. Boundaries. A window at the edge of a factor, or in a literal stretch, may still stand elsewhere, where its
+   anchor has other surroundings. Only pieces whose anchor has those are open: one occurrence of each such piece
+   names its windows to the shards by two 63-bit hashes, and one bit comes back for each.
+
+A word goes if and only if a covering window stands elsewhere too (but for collisions of 127 bits of hash). Rows are dealt
+to groups by hash and row number, so equal rows don't meet in one group; what a third of all documents hold
+is one entry for each group in a task and for each cluster of groups in a shard. Text is shuffled once and Spark reuses
+that exchange; partitions hold `GROUPS_A_TASK` groups at every size.
 """
 
 from __future__ import annotations
@@ -25,198 +29,163 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from fadegossip.llm.frames import table
-from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Spans, Words, chunked, mix, span_hashes, strings, to_strings
+from fadegossip.llm.exchange import CLUSTER, ENTRY, NOWHERE, REST, Merged, ask, told_to
+from fadegossip.llm.frames import shuffle_width, table
+from fadegossip.llm.words import WORD_BASE, WORD_BASE_2, Spans, Words, chunked, least_in_windows, mix, strings, to_strings
 
 WINDOW, GRAM = 35, 8
-#: Documents of a group; about a MB of text.
-GROUP_ROWS = 256
-ENTRY = np.dtype([("h", "<u8"), ("v", "<u4")])
+#: Documents of a group, about a MB of text, and groups of a partition.
+GROUP_ROWS, GROUPS_A_TASK = 256, 16
 
 
-def least_in_windows(values: np.ndarray, span: int) -> np.ndarray:
-    """For each start the position of the least of `span` values, the leftmost of equals. Starts near the end are clipped."""
-    n = len(values)
-    at, reach = np.arange(n), 1
+class Pieces:
+    """The pieces of a chunk: first word, number of windows, anchor, and the entries that ask for them."""
 
-    def better(left: np.ndarray, step: int) -> np.ndarray:
-        right = left.copy()
-        right[: n - step] = left[step:]
-        return np.where(values[right] < values[left], right, left)
-
-    while 2 * reach <= span:
-        at, reach = better(at, reach), 2 * reach
-    return better(at, span - reach) if reach < span else at
-
-
-class Windows:
-    """Windows of a chunk: their first word, and the position and hash of their anchor."""
-
-    def __init__(self, words: Words, window: int, gram: int):
-        self.hashes = words.hashes()
-        self.start = words.starts_of(window)
-        grams = np.full(len(self.hashes), np.iinfo(np.uint64).max, np.uint64)
+    def __init__(self, part, before: int, group: int, window: int, gram: int):
+        """before: words of the group in earlier chunks."""
+        self.part, self.window = part, window
+        self.words = words = Words(strings(part.column("text")))
+        hashes = words.hashes()
+        start = words.starts_of(window)
+        grams = np.full(len(hashes), np.iinfo(np.uint64).max, np.uint64)
         at = words.starts_of(gram)
-        self.spans = Spans(self.hashes, WORD_BASE)
+        self.spans, self.checks = Spans(hashes, WORD_BASE), Spans(hashes, WORD_BASE_2)
         grams[at] = self.spans.of(at, at + gram)
-        self.place = least_in_windows(grams, window - gram + 1)[self.start] if len(self.start) else self.start
-        # least hashes crowd near zero; scrambled, they spread evenly over the blocks
-        self.names = mix(grams)
-        self.anchor = self.names[self.place]
-
-
-def block_of(h: np.ndarray, blocks: int) -> np.ndarray:
-    """Grows with h."""
-    return ((h >> np.uint64(32)) * np.uint64(blocks)) >> np.uint64(32)
-
-
-def _tables(table: pa.Table, window: int, gram: int):
+        place = least_in_windows(grams, window - gram + 1)[start] if len(start) else start
+        fresh = np.ones(len(start), bool)
+        fresh[1:] = place[1:] != place[:-1]
+        first = np.flatnonzero(fresh)
+        self.start, self.count = start[first], np.diff(np.append(first, len(start)))
+        self.place = place[first] + before
+        self.entries = np.zeros(len(first), ENTRY)
+        # least hashes crowd near zero; scrambled, they spread evenly over the shards
+        self.entries["h"] = mix(grams[place[first]])
+        self.entries["v"] = self.checks.of(self.start, self.start + self.count + window - 1) & REST
+        self.entries["src"] = np.uint64(group << 32) + self.place.astype(np.uint64)
+
+    def windows(self, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """First words of the windows of some pieces, and their entries."""
+        n = self.count[asked]
+        stop = np.cumsum(n)
+        start = np.repeat(self.start[asked] - (stop - n), n) + np.arange(int(stop[-1]) if len(stop) else 0)
+        entries = np.zeros(len(start), ENTRY)
+        entries["h"], entries["v"], entries["src"] = self.spans.of(start, start + self.window), self.checks.of(start, start + self.window) & REST, NOWHERE
+        return start, entries
+
+    def factors(self, found: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(first word, word behind the last, source of the first word) of the greedy factors; found: the answers to the pieces."""
+        again, source, doc = found["again"], found["src"].astype(np.int64), self.words.doc[self.start]
+        on = np.zeros(len(doc), bool)
+        on[1:] = again[1:] & again[:-1] & (doc[1:] == doc[:-1]) & (source[1:] - source[:-1] == self.place[1:] - self.place[:-1])
+        begin = np.flatnonzero(again & ~on)
+        follows = np.append(on[1:], False)
+        end = np.flatnonzero(again & ~follows)
+        first = self.start[begin]
+        return first, self.start[end] + self.count[end] + self.window - 1, source[begin] - (self.place[begin] - first)
+
+
+def _pieces(table: pa.Table, group: int, window: int, gram: int) -> list[Pieces]:
+    out, before = [], 0
     for part in chunked(table, "text"):
-        words = Words(strings(part.column("text")))
-        yield part, words, Windows(words, window, gram)
+        out.append(Pieces(part, before, group, window, gram))
+        before += len(out[-1].words.doc)
+    return out
 
 
-def anchors_of(table: pa.Table, window: int, gram: int) -> np.ndarray:
-    """Distinct anchors of a group, the last bit set on those it holds at two places or more."""
-    found = [x.names[np.unique(x.place)] for _, _, x in _tables(table, window, gram)]
-    value, count = np.unique(np.concatenate(found) >> np.uint64(1) if found else np.zeros(0, np.uint64), return_counts=True)
-    return value << np.uint64(1) | (count > 1).astype(np.uint64)
+def _joined(parts) -> np.ndarray:
+    return np.concatenate([np.zeros(0, ENTRY), *parts])
 
 
-def is_in(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
-    if not len(ordered) or not len(values):
-        return np.zeros(len(values), bool)
-    return ordered[np.minimum(np.searchsorted(ordered, values), len(ordered) - 1)] == values
+def _found(pieces: list[Pieces], told) -> list[np.ndarray]:
+    """The answers to each chunk's pieces; told: rows (c, items)."""
+    entries = _joined(x.entries for x in pieces)
+    merged = Merged(entries)
+    answers = merged.answers(entries, told_to(merged.distinct, told))
+    cuts = np.cumsum([len(x.entries) for x in pieces])[:-1]
+    return np.split(answers, cuts) if pieces else []
 
 
-def _candidates(words_windows, matched: np.ndarray, window: int):
-    """Per chunk: first words of the windows whose anchor occurs elsewhere, and their entries."""
-    out = []
-    for part, words, x in words_windows:
-        start = x.start[is_in(x.anchor >> np.uint64(1), matched)]
-        entry = np.zeros(len(start), ENTRY)
-        entry["h"] = x.spans.of(start, start + window)
-        entry["v"] = (span_hashes(x.hashes, WORD_BASE_2, start, start + window) >> np.uint64(32)).astype(np.uint32) & np.uint32(0xFFFFFFFE)
-        out.append((part, words, start, entry))
-    return out
+def _open(piece: Pieces, found: np.ndarray) -> np.ndarray:
+    """Pieces whose windows are named: the anchor has several surroundings, and no earlier piece is the same."""
+    return found["other"] & (piece.entries["src"] < found["src"])
 
 
-def _distinct(entries: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct entries in order, which of them each entry is, and how often each occurs."""
-    order = np.lexsort((entries["v"], entries["h"]))
-    ordered = entries[order]
-    new = np.ones(len(ordered), bool)
-    new[1:] = (ordered["h"][1:] != ordered["h"][:-1]) | (ordered["v"][1:] != ordered["v"][:-1])
-    which = np.empty(len(entries), np.int64)
-    which[order] = np.cumsum(new) - 1
-    first = np.flatnonzero(new)
-    return ordered[first], which, np.diff(np.append(first, len(ordered)))
+def _parsed(docs: DataFrame, window: int, gram: int, group_rows: int, untouched: bool, cluster: int) -> DataFrame:
+    """docs -> (row, n_words, n_removed, spans, factors, kept_text); row is a struct of all columns but the text.
 
+    untouched: kept_text of a row that loses nothing is its text as it was, not its words.
+    """
+    groups = max(1, -(-docs.count() // group_rows))
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"])
+    rows = docs.select(row.alias("row"), "text")
+    dealt = rows.select(F.pmod(F.xxhash64("row", "text", F.monotonically_increasing_id()), F.lit(groups)).alias("g"), "row", "text")
+    by_group = dealt.repartition(max(shuffle_width(docs.sparkSession), -(-groups // GROUPS_A_TASK)), "g").groupBy("g")
+    sent = "c int, s int, g long, items binary"
 
-def _blobs(parts: list[np.ndarray]) -> pa.Array:
-    return pa.array([x.tobytes() for x in parts], pa.binary())
+    def ask_pieces(name):
+        return by_group.applyInArrow(lambda key, members: name(key[0].as_py(), Merged(_joined(x.entries for x in _pieces(members, key[0].as_py(), window, gram))).distinct), sent)
 
+    about_pieces = ask(ask_pieces, groups, cluster)
 
-def _split(values: np.ndarray, keys: np.ndarray, blocks: int):
-    """Non-empty blocks and the values of each; keys don't decrease."""
-    bounds = np.searchsorted(keys, np.arange(blocks + 1))
-    full = np.flatnonzero(np.diff(bounds))
-    return full, [values[bounds[i] : bounds[i + 1]] for i in full.tolist()]
+    def ask_windows(name):
+        def send(key, members, told):
+            pieces = _pieces(members, key[0].as_py(), window, gram)
+            return name(key[0].as_py(), Merged(_joined(x.windows(_open(x, y))[1] for x, y in zip(pieces, _found(pieces, told)))).distinct)
 
+        return by_group.cogroup(about_pieces.groupBy("g")).applyInArrow(send, sent)
 
-def _parsed(docs: DataFrame, window: int, gram: int, group_rows: int, untouched: bool) -> DataFrame:
-    """docs -> (row, n_words, n_removed, spans, kept_text); row is a struct of all columns but the text.
+    about_windows = ask(ask_windows, groups, cluster)
 
-    untouched: kept_text of a row that loses nothing is its text as it was, not its words.
-    """
-    groups = max(1, -(-docs.count() // group_rows))
-    blocks = max(64, groups // 16)
-    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"])
-    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)).alias("g"), row.alias("row"), "text")
-    by_group = dealt.groupBy("g")
-
-    def send_anchors(key, members):
-        values = anchors_of(members, window, gram)
-        full, parts = _split(values, block_of(values, blocks), blocks)
-        return pa.table({"b": pa.array(full, pa.int64()), "g": pa.array(np.full(len(full), key[0].as_py(), np.int64)), "items": _blobs(parts)})
-
-    def answer_anchors(members):
-        sizes = [len(x) // 8 for x in members.column("items").to_pylist()]
-        values = np.frombuffer(b"".join(members.column("items").to_pylist()), np.uint64)
-        unique, which, count = np.unique(values >> np.uint64(1), return_inverse=True, return_counts=True)
-        twice = np.bincount(which, (values & np.uint64(1)).astype(float), len(unique)) > 0
-        hit = ((count > 1) | twice)[which]
-        stop = np.cumsum(sizes)
-        parts = [(values[a - n : a] >> np.uint64(1))[hit[a - n : a]] for a, n in zip(stop, sizes)]
-        return pa.table({"g": members.column("g"), "b": pa.array(np.full(len(sizes), -1, np.int64)), "items": _blobs(parts)})
-
-    matched_of = lambda told: np.sort(np.frombuffer(b"".join(x for x, b in zip(told.column("items").to_pylist(), told.column("b").to_pylist()) if b < 0), np.uint64))
-
-    def send_windows(key, members, told):
-        found = _candidates(_tables(members, window, gram), matched_of(told), window)
-        distinct, _, count = _distinct(np.concatenate([x[3] for x in found]) if found else np.zeros(0, ENTRY))
-        sent = distinct.copy()
-        sent["v"] |= (count > 1).astype(np.uint32)
-        full, parts = _split(sent, block_of(sent["h"], blocks), blocks)
-        return pa.table({"b": pa.array(full, pa.int64()), "g": pa.array(np.full(len(full), key[0].as_py(), np.int64)), "items": _blobs(parts)})
-
-    def answer_windows(members):
-        sizes = [len(x) // ENTRY.itemsize for x in members.column("items").to_pylist()]
-        entries = np.frombuffer(b"".join(members.column("items").to_pylist()), ENTRY).copy()
-        twice = (entries["v"] & np.uint32(1)).astype(float)
-        entries["v"] &= np.uint32(0xFFFFFFFE)
-        distinct, which, count = _distinct(entries)
-        hit = ((count > 1) | (np.bincount(which, twice, len(distinct)) > 0))[which]
-        stop = np.cumsum(sizes)
-        return pa.table({"g": members.column("g"), "b": members.column("b"), "items": _blobs([np.packbits(hit[a - n : a]) for a, n in zip(stop, sizes)])})
-
-    def remove(members, told):
-        found = _candidates(_tables(members, window, gram), matched_of(told), window)
-        distinct, which, _ = _distinct(np.concatenate([x[3] for x in found]) if found else np.zeros(0, ENTRY))
-        answers = dict((b, x) for b, x in zip(told.column("b").to_pylist(), told.column("items").to_pylist()) if b >= 0)
-        repeated = np.zeros(len(distinct), bool)
-        bounds = np.searchsorted(block_of(distinct["h"], blocks), np.arange(blocks + 1))
-        for b in np.flatnonzero(np.diff(bounds)).tolist():
-            n = int(bounds[b + 1] - bounds[b])
-            repeated[bounds[b] : bounds[b + 1]] = np.unpackbits(np.frombuffer(answers[b], np.uint8), count=n).astype(bool)
+    def remove(key, members, told):
+        pieces = _pieces(members, key[0].as_py(), window, gram)
+        about = np.asarray(told.column("about"))
+        found = _found(pieces, told.filter(pa.array(about == 0)))
+        windows = [x.windows(_open(x, y)) for x, y in zip(pieces, found)]
+        entries = _joined(x for _, x in windows)
+        merged = Merged(entries)
+        repeated = merged.answers(entries, told_to(merged.distinct, told.filter(pa.array(about == 1))))["again"]
         at, tables = 0, []
-        for part, words, start, entry in found:
-            hit = start[repeated[which[at : at + len(start)]]]
-            at += len(start)
-            n = len(words.doc)
+        for x, y, (start, own) in zip(pieces, found, windows):
+            hit = start[repeated[at : at + len(own)]]
+            at += len(own)
+            n = len(x.words.doc)
             depth = np.zeros(n + 1, np.int32)
             np.add.at(depth, hit, 1)
             np.add.at(depth, hit + window, -1)
-            gone = np.cumsum(depth[:n]) > 0
-            tables.append(_cleaned(part, words, gone, untouched))
-        return pa.concat_tables(tables) if tables else None
+            factors = x.factors(y)
+            np.add.at(depth, factors[0], 1)
+            np.add.at(depth, factors[1], -1)
+            tables.append(_cleaned(x.part, x.words, np.cumsum(depth[:n]) > 0, factors, untouched))
+        return pa.concat_tables(tables)
 
-    schema = T.StructType([dealt.schema["row"], *T._parse_datatype_string("n_words long, n_removed long, spans array<struct<from:long,to:long>>, kept_text string").fields])
-    told = by_group.applyInArrow(send_anchors, "b long, g long, items binary").groupBy("b").applyInArrow(answer_anchors, "g long, b long, items binary")
-    checked = by_group.cogroup(told.groupBy("g")).applyInArrow(send_windows, "b long, g long, items binary").groupBy("b").applyInArrow(answer_windows, "g long, b long, items binary")
-    return by_group.cogroup(told.union(checked).groupBy("g")).applyInArrow(remove, schema)
+    schema = T.StructType([dealt.schema["row"], *T._parse_datatype_string("n_words long, n_removed long, spans array<struct<from:long,to:long>>, factors array<struct<from:long,to:long,source:long>>, kept_text string").fields])
+    told = about_pieces.withColumn("about", F.lit(0)).union(about_windows.withColumn("about", F.lit(1)))
+    return by_group.cogroup(told.groupBy("g")).applyInArrow(remove, schema)
 
 
-def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS) -> DataFrame:
-    """docs (doc_id, text) -> (doc_id, n_words, n_removed, spans, kept_text), one row for each row.
+def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS, cluster: int = CLUSTER) -> DataFrame:
+    """docs (doc_id, text) -> (doc_id, n_words, n_removed, spans, factors, kept_text), one row for each row.
 
     spans are [from, to) word ranges covered by windows of `window` words whose sequence also starts elsewhere
-    in `docs` (before any removal); kept_text has the other words joined by one space. Null texts have no word;
-    repeated rows are each other's repeats; null ids are carried.
+    in `docs` (before any removal); factors are the greedy copies among them, with the place of their source in the
+    index (group * 2**32 + word of the group); kept_text has the other words joined by one space. Null texts have no word;
+    repeated rows are each other's repeats; null ids are carried; a text of any length is one value. An empty table
+    gives an empty result.
     """
-    return _parsed(docs.select("doc_id", "text"), window, gram, group_rows, False).select("row.doc_id", "n_words", "n_removed", "spans", "kept_text")
+    return _parsed(docs.select("doc_id", "text"), window, gram, group_rows, False, cluster).select("row.doc_id", "n_words", "n_removed", "spans", "factors", "kept_text")
 
 
-def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS) -> DataFrame:
+def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, group_rows: int = GROUP_ROWS, cluster: int = CLUSTER) -> DataFrame:
     """The rows of docs, with all columns, without the words of repeated_spans(); n_chars, if there, follows.
 
-    A text that loses words has the others joined by one space, any other text stays as it is (null: empty).
+    A text that loses words has the others joined by one space, any other text stays as it is (null: empty). Nulls
+    in other columns, repeated rows and columns of any name are carried.
     """
-    found = _parsed(docs, window, gram, group_rows, True)
+    found = _parsed(docs, window, gram, group_rows, True, cluster)
     return found.select(*[F.col("kept_text").alias("text") if c == "text" else F.length("kept_text").cast("long").alias(c) if c == "n_chars" else F.col(f"row.`{c}`") for c in docs.columns])
 
 
-def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, untouched: bool) -> pa.Table:
+def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, factors: tuple[np.ndarray, np.ndarray, np.ndarray], untouched: bool) -> pa.Table:
     n_docs = len(words.count)
     removed = np.bincount(words.doc[gone], minlength=n_docs)
     before = np.zeros(len(gone), bool)
@@ -224,16 +193,20 @@ def _cleaned(part: pa.Table, words: Words, gone: np.ndarray, untouched: bool) ->
     after = np.zeros(len(gone), bool)
     after[:-1] = gone[1:] & (words.doc[1:] == words.doc[:-1])
     begin, end = np.flatnonzero(gone & ~before), np.flatnonzero(gone & ~after) + 1
-    base = words.first[:-1][words.doc[begin]]
-    spans = pa.ListArray.from_arrays(
-        pa.array(np.searchsorted(words.doc[begin], np.arange(n_docs + 1)), pa.int32()),
-        pa.StructArray.from_arrays([pa.array(begin - base), pa.array(end - base)], ["from", "to"]),
-    )
+
+    def listed(at: np.ndarray, **columns: np.ndarray) -> pa.Array:
+        """A list for each document of structs, each of the document of word `at`."""
+        return pa.ListArray.from_arrays(pa.array(np.searchsorted(words.doc[at], np.arange(n_docs + 1)), pa.int32()), pa.StructArray.from_arrays([pa.array(x) for x in columns.values()], list(columns)))
+
+    base = words.first[:-1]
+    spans = listed(begin, **{"from": begin - base[words.doc[begin]], "to": end - base[words.doc[begin]]})
+    first, last, source = factors
+    parsed = listed(first, **{"from": first - base[words.doc[first]], "to": last - base[words.doc[first]], "source": source})
     text = to_strings(*words.joined(~gone))
     if untouched:
         text = pc.if_else(pa.array(removed > 0), text, strings(part.column("text")))
     text = text.cast(pa.string())
-    return pa.table({"row": part.column("row"), "n_words": pa.array(words.count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "spans": spans, "kept_text": text})
+    return pa.table({"row": part.column("row"), "n_words": pa.array(words.count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "spans": spans, "factors": parsed, "kept_text": text})
 
 
 def op4_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:

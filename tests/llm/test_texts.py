@@ -37,15 +37,37 @@ def slow_removal(texts, window):
     return out
 
 
-@pytest.mark.parametrize("window, gram, group", [(35, 8, 256), (35, 8, 2), (10, 3, 3), (5, 5, 4)])
-def test_repeats(spark, make_docs, odd_rows, window, gram, group):
+@pytest.mark.parametrize("window, gram, group, cluster", [(35, 8, 256, 1024), (35, 8, 2, 2), (10, 3, 3, 1), (5, 5, 4, 1024)])
+def test_repeats(spark, make_docs, odd_rows, window, gram, group, cluster):
     docs = make_docs(odd_rows, extra=True)
-    got = substrings.repeated_spans(docs, window, gram, group).collect()
+    got = substrings.repeated_spans(docs, window, gram, group, cluster).collect()
     want = slow_removal([r[1] for r in odd_rows], window)
     key = lambda r: tuple(map(str, r))
     assert sorted([(r.doc_id, r.n_words, r.n_removed, r.kept_text) for r in got], key=key) == sorted([(r[0], *w) for r, w in zip(odd_rows, want)], key=key)
+    texts = {str(r[0]): WORD.findall(r[1] or "") for r in odd_rows}
     for r in got:
         assert sum(s["to"] - s["from"] for s in r.spans) == r.n_removed
+        for f in r.factors:  # factors keep to the length rule, lie in the spans and stand elsewhere as a whole
+            assert f["to"] - f["from"] >= window and any(s["from"] <= f["from"] and f["to"] <= s["to"] for s in r.spans)
+            own = texts[str(r.doc_id)][f["from"] : f["to"]]
+            assert sum(w[i : i + len(own)] == own for i_, w in [(x[0], WORD.findall(x[1] or "")) for x in odd_rows] for i in range(len(w) - len(own) + 1)) > 1
+
+
+def test_random_repeats(spark, make_docs):
+    """Copies, passages in other surroundings, and edits, at few words so that anchors have many surroundings."""
+    import random
+
+    rng = random.Random(7)
+    pool = [[rng.choice("abcdefgh") for _ in range(rng.randrange(3, 30))] for _ in range(12)]
+    rows = []
+    for i in range(150):
+        w = [x for _ in range(rng.randrange(1, 7)) for x in rng.choice(pool)]
+        if rng.random() < 0.3 and w:
+            w[rng.randrange(len(w))] = "z"
+        rows.append((i, " ".join(w), "en", "a"))
+    for window, gram, group, cluster in ((12, 3, 10, 4), (6, 2, 40, 1024)):
+        got = sorted((r.doc_id, r.n_words, r.n_removed, r.kept_text) for r in substrings.repeated_spans(make_docs(rows), window, gram, group, cluster).collect())
+        assert got == [(i, *x) for (i, *_), x in zip(rows, slow_removal([r[1] for r in rows], window))]
 
 
 def test_whole_rows(spark, make_docs, odd_rows):
@@ -63,26 +85,109 @@ PAGE = """<html><head><title>T</title><script>var a="</p>";</script></head><body
 
 
 def test_blocks():
-    assert pages.blocks(PAGE.replace("{tag}", "article")) == (["Head & more", "First bold line", "Second one"], [])
-    assert pages.blocks(PAGE.replace("{tag}", "div")) == ([], ["Head & more", "First bold line", "Second one"])
-    assert pages.blocks("<nav>never closed <article><p>text</article>")[0] == ["text"]
-    assert pages.blocks("plain < text & more") == ([], ["plain < text & more"])
+    three = ["Head & more", "First bold line", "Second one"]
+    assert pages.blocks(PAGE.replace("{tag}", "article")) == (three, [True] * 3)
+    assert pages.blocks(PAGE.replace("{tag}", "div")) == (three, [False] * 3)
+    assert pages.blocks("<nav>never closed <article><p>text</article>") == (["text"], [True])
+    assert pages.blocks("plain < text & more") == (["plain < text & more"], [False])
     assert pages.blocks("") == ([], [])
-    assert pages.blocks("<p>" * 20000 + "x")[1] == ["x"]
+    assert pages.blocks("<p>" * 20000 + "x")[0] == ["x"]
+
+
+@pytest.mark.parametrize(
+    "page, text",
+    [
+        ('<main>story</main><section class="comments"><article class="comment">reader</article></section>', "story"),
+        ("<aside><article>teaser</article></aside><article>story</article>", "story"),
+        ("<article hidden>secret</article><article>story</article>", "story"),
+        ("<article>story<section id=comments><article><p>reader</p></article></section></article>", "story"),
+        ('<article class="comment-item">reader</article><article>story</article>', "story"),
+        ('<div class="related"><article>teaser</article></div><article>story</article>', "story"),
+        ('<div class="page sidebar-right"><article>story</article></div>', "story"),
+        ('<div class="has-sidebar"><p>story</p></div>', "story"),
+        ('<div class="social"><p>story</p></div>', "story"),
+        ('<body class="has-sidebar"><main class="with-sidebar">story</main><form>ask</form>', "story"),
+        ("<p>one</p><script>if (a<b) document.write('<article>no</article><!--')</script><p>two</p>", "one\n\ntwo"),
+        ("<footer><div><article>old</article></div></footer>", ""),
+    ],
+)
+def test_what_markup_rules_out(page, text):
+    found, inside = pages.blocks(page)
+    assert "\n\n".join(b for b, i in zip(found, inside) if i or not any(inside)) == text
+
+
+def test_anchors_find_every_repeat():
+    """In every repeat of run + winnow - 1 tokens a run is covered, and nothing outside repeats of `run` tokens is."""
+    import random
+
+    import numpy as np
+
+    rng = random.Random(3)
+    for _ in range(200):
+        run = rng.randrange(2, 7)
+        winnow = rng.randrange(1, run + 1)
+        texts = [[rng.choice("abc") for _ in range(rng.randrange(1, 40))] for _ in range(2)]
+        words = Words(strings(pa.array([" ".join(t) for t in texts])))
+        place, keys = pages.anchors(words, run, winnow)
+        doc = words.doc[place]
+        shared = np.array([any(k == keys[j] and doc[j] != d for j in range(len(keys))) for k, d in zip(keys, doc)], bool)
+        under = pages.covered(words, place, shared, run, 10**9)
+        grams = lambda t, n: {tuple(t[i : i + n]) for i in range(len(t) - n + 1)}
+        at = 0
+        for own, other in (texts, texts[::-1]):
+            got = [bool(under[at + i]) for i in range(len(own))]
+            repeats = lambda n: [i for i in range(len(own) - n + 1) if tuple(own[i : i + n]) in grams(other, n)]  # noqa: B023, E731
+            for i in repeats(run + winnow - 1):
+                assert any(all(got[p : p + run]) for p in range(i, i + winnow))
+            inner = {j for i in repeats(run) for j in range(i, i + run)}  # and less than `run` tokens beside one
+            assert {i for i, x in enumerate(got) if x} <= {j + d for j in inner for d in range(-run, run + 1)}
+            at += len(own)
+
+
+def test_best_stretch():
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    for _ in range(200):
+        w = rng.choice([-1, 1], rng.integers(0, 30))
+        a, b = pages.best_stretch(w)
+        best = max([w[i:j].sum() for i in range(len(w)) for j in range(i + 1, len(w) + 1)], default=0)
+        assert w[a:b].sum() == max(best, 0) and (a, b) != (0, 0) or best <= 0 and (a, b) == (0, 0)
 
 
 def test_main_text(spark):
-    shared = "these ten words stand on every page of the host"
+    shared = "these twelve words and a few more stand on every page of the host"
+    long = [" ".join(f"{c}{i}" for i in range(40)) for c in "abcdef"]
+    own = [" ".join(f"{c}{i}" for i in range(40)) for c in "mnop"]
     rows = [
-        (1, "http://a.example.com/1", PAGE.replace("{tag}", "article")), (2, "http://a.example.com/2", f"<p>{shared}</p><p>only here are these words</p>"),
-        (3, "http://a.example.com/3", f"<p>{shared}</p><p>and something else on this one</p>"), (4, "http://b.example.com/1", f"<p>{shared}</p>"), (5, None, None), (6, "no url", ""),
-        (2, "http://a.example.com/2", f"<p>{shared}</p><p>only here are these words</p>"), (None, "http://a.example.com/9", "<main>m</main>"),
+        (1, "http://a.example.com/1", PAGE.replace("{tag}", "article")), (2, "http://a.example.com/2", f"<p>{shared}</p><p>{own[0]}</p>"),
+        (3, "http://a.example.com/3", f"<p>{shared}</p><p>{own[1]}</p><p>{shared}</p>"), (4, "http://b.example.com/1", f"<p>{shared}</p>"), (5, None, None), (6, "no url", ""),
+        (2, "http://a.example.com/2", f"<p>{shared}</p><p>{own[0]}</p>"), (None, "http://a.example.com/9", "<main>m</main>"),
+        (7, "http://a.example.com/7", f"<p>{own[2]}</p><p>{shared}</p><p>{own[3]}</p>"), (8, "http://a.example.com/8", f"<p>{shared}</p>"),
+        (9, "http://a.example.com/10", "<p>" + "</p><p>".join(long * 2) + "</p>"), (10, "http://a.example.com/11", "<p>" + "</p><p>".join([*long * 2, "x"]) + "</p>"),
+        (11, "http://c.example.com/1", "<p>" + "word " * 200_000 + "</p>"), (12, "http://a.example.com/12", f"<article><p>{shared}</p></article>"),
+    ]
+    # what every page of a host holds goes at the ends and stays between unique text; copies of a stream are one; a long copy is an article
+    want = [
+        (1, "Head & more\n\nFirst bold line\n\nSecond one"), (2, own[0]), (2, own[0]), (3, own[1]), (4, shared), (5, ""), (6, ""), (None, "m"),
+        (7, f"{own[2]}\n\n{shared}\n\n{own[3]}"), (8, ""), (9, "\n\n".join(long * 2)), (10, "\n\n".join([*long * 2, "x"])), (11, ("word " * 200_000).strip()), (12, shared),
     ]
-    got = collections.Counter((r.page_id, r.text, r.n_chars) for r in pages.main_text(spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("row", pages.F.lit(1))).collect())
-    two = "only here are these words"
-    # host a: page 2 and its copy are one stream, page 3 another: what both hold goes; the same words on host b stay
-    want = [(1, "Head & more\n\nFirst bold line\n\nSecond one"), (2, two), (2, two), (3, "and something else on this one"), (4, shared), (5, ""), (6, ""), (None, "m")]
-    assert got == collections.Counter((i, t, len(t)) for i, t in want)
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("row", pages.F.lit(1)).withColumn("body", pages.F.lit("x")).withColumn("g", pages.F.lit(1))
+    for groups in (256, 2):
+        got = collections.Counter((r.page_id, r.text, r.n_chars) for r in pages.main_text(df, group_rows=groups).collect())
+        assert got == collections.Counter((i, t, len(t)) for i, t in want)
+    assert pages.main_text(df.limit(0)).count() == 0
+
+
+def test_pages_without_article_tags(spark, small):
+    """The host's repeats alone, on the given pages with their article tags cut, leave the declared article on nearly all."""
+    from fadegossip.llm.frames import table
+
+    df = table(spark, small, "pages")
+    cut = df.withColumn("html", pages.F.regexp_replace("html", "</?article>", ""))
+    want = {r.page_id: r.text for r in pages.main_text(df).collect()}
+    got = {r.page_id: r.text for r in pages.main_text(cut).collect()}
+    assert sum(want[i] == got[i] for i in want) >= 0.9 * len(want)
 
 
 @pytest.fixture(scope="module")
