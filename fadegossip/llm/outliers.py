@@ -1,12 +1,20 @@
 """Quality rules: fixed limits, then robust multivariate outliers.
 
 Every whole text gets counts (words, symbols, repeated lines, repeated windows of words) and from them a vector
-of transformed statistics. Per language and source, location and scatter are estimated by the minimum covariance
-determinant: from coordinate medians and deviations, concentration steps re-estimate from the rows nearest in
-Mahalanobis distance until the steps are used up. A step is one pass over the table of statistics: rows are
-binned by distance, each bin sums its moments, and the bins up to the wanted share give the next estimate, so
-nothing is sorted and no group is gathered. A scatter has a least scale per coordinate (a statistic that is
-nearly always zero would otherwise reject any row where it is not) and is made consistent at the median.
+of transformed statistics. Location and scatter are estimated by the minimum covariance determinant: of all subsets that
+hold `SHARE` of a group's rows, the one whose scatter has the least determinant. Starts come from a sample of some
+`START_ROWS` rows of a group (small subsets and coordinate medians, concentrated there, the best `KEPT` by determinant);
+concentration steps over all rows then bring each down until its determinant no longer falls, the lower one is taken,
+and one step with all rows that are no outliers to it (`INNER`) gives the final estimate.
+
+A step is two passes over the table of statistics: a histogram of the distances, whose cut is exact (rows of the bin
+in which the share ends, a 360th of a distance wide, share the weight that is left), and the moments of the rows up to it.
+Nothing is sorted and no group is gathered. A scatter has a least scale per coordinate (a statistic that is nearly
+always zero would otherwise reject any row where it is not) and is made consistent at the median.
+
+Estimates are made per (language, source), per language and over all rows, in one go, and each is drawn towards the
+next wider one as if that were `PRIOR_ROWS` rows more. So a group of any size is judged by the same rule: a large one
+by itself, a tiny one mostly by its language.
 """
 
 from __future__ import annotations
@@ -15,7 +23,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fadegossip.llm.frames import cut, table
@@ -24,8 +32,12 @@ from fadegossip.llm.words import BYTE_BASE, BYTE_CODE, WORD_BASE, Words, chunked
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_distinct", "n_upper", "n_digits", "n_chars")
 #: Statistics and the least standard deviation each is given.
 FLOORS = {"length": 0.6, "width": 0.12, "symbols": 0.4, "upper": 0.3, "digits": 1.2, "variety": 0.06, "repeats": 1.5}
-#: Share of a group that is concentrated on, steps, rows under which a group is pooled, and tail of the chi-square law that is rejected.
-SHARE, STEPS, LEAST_ROWS, TAIL = 0.75, 6, 100, 1e-4
+#: Share of a group that is concentrated on, steps at most, and tail of the chi-square law that is rejected.
+SHARE, STEPS, TAIL = 0.75, 25, 1e-4
+#: Rows of a group that starts are drawn from (about), number of small subsets, and starts that are carried on over all rows.
+START_ROWS, STARTS, KEPT = 600, 200, 2
+#: Share of the chi-square law inside which rows take part in the last step; rows that a wider group's estimate counts for.
+INNER, PRIOR_ROWS = 0.975, 28
 #: Groups up to which their estimates are broadcast (about 500 bytes each); beyond, Spark joins by shuffle.
 BROADCAST_GROUPS = 20_000
 RUN = 8
@@ -121,7 +133,7 @@ def chi_square(p: int, tail: float) -> float:
     return p * (1 - 2 / (9 * p) + z * math.sqrt(2 / (9 * p))) ** 3
 
 
-BINS_PER_OCTAVE = 6
+BINS_PER_OCTAVE = 256
 
 
 def _bin(d2: Column) -> Column:
@@ -144,67 +156,203 @@ def _with(rows: DataFrame, estimates: DataFrame, groups: int) -> DataFrame:
     return rows.join(F.broadcast(estimates) if groups <= BROADCAST_GROUPS else estimates, "gid")
 
 
+def moments(x: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Weighted mean and scatter."""
+    mean = weight @ x / weight.sum()
+    gap = x - mean
+    return mean, (gap * weight[:, None]).T @ gap / weight.sum()
+
+
+def nearest(d2: np.ndarray, n: np.ndarray, h: float) -> np.ndarray:
+    """Weights, up to n each and h together, on the least distances."""
+    order = np.argsort(d2, kind="stable")
+    upto = np.cumsum(n[order])
+    out = np.empty(len(n))
+    out[order] = np.clip(h - (upto - n[order]), 0, n[order])
+    return out
+
+
+def _distances(x: np.ndarray, mean: np.ndarray, scatter: np.ndarray) -> np.ndarray:
+    gap = x - mean
+    return np.einsum("ij,ij->i", gap @ np.linalg.inv(scatter), gap)
+
+
+def best_starts(x: np.ndarray, n: np.ndarray, floor2: np.ndarray, share: float = SHARE, starts: int = STARTS, kept: int = KEPT) -> list[tuple[float, np.ndarray, np.ndarray]]:
+    """(log determinant, mean, scatter), lowest first, of rows x with weights n; the scatter includes floor2."""
+    h, p = share * n.sum(), x.shape[1]
+    rng = np.random.default_rng(len(x))
+    order = np.lexsort(x.T)  # the same draws whatever the order of the rows
+    x, n = x[order], n[order]
+    middle = np.median(x, axis=0)
+    first = [(middle, np.diag((1.4826 * np.median(np.abs(x - middle), axis=0)) ** 2) + floor2)]
+    for _ in range(starts if len(x) > p + 1 else 0):
+        pick = rng.choice(len(x), p + 1, replace=False)
+        mean, scatter = moments(x[pick], np.ones(p + 1))
+        first.append((mean, scatter + floor2))
+
+    def steps(mean, scatter, most):
+        low = np.inf
+        for _ in range(most):
+            mean, scatter = moments(x, nearest(_distances(x, mean, scatter), n, h))
+            scatter = scatter + floor2
+            now = np.linalg.slogdet(scatter)[1]
+            if now >= low - 1e-10:
+                break
+            low = now
+        return now, mean, scatter
+
+    some = sorted((steps(m, s, 2) for m, s in first), key=lambda t: t[0])[: 10 * kept]
+    found: list[tuple[float, np.ndarray, np.ndarray]] = []
+    for t in sorted((steps(m, s, 100) for _, m, s in some), key=lambda t: t[0]):
+        if all(abs(t[0] - u[0]) > 1e-7 for u in found) and len(found) < kept:
+            found.append(t)
+    return found
+
+
+_STATE = "gid string, cand int, mean array<double>, inverse array<double>, scatter array<double>, logdet double, done boolean"
+
+
+def _state_row(gid: str, cand: int, mean: np.ndarray, scatter: np.ndarray, floor2: np.ndarray, before: float) -> dict:
+    """scatter: without the floor."""
+    value, vector = np.linalg.eigh(scatter)  # eigenvalues below zero are rounding
+    whole = (vector * np.maximum(value, 0)) @ vector.T + floor2
+    logdet = float(np.linalg.slogdet(whole)[1])
+    return {"gid": gid, "cand": cand, "mean": mean.tolist(), "inverse": np.linalg.inv(whole).ravel().tolist(), "scatter": whole.ravel().tolist(), "logdet": logdet, "done": logdet >= before - 1e-7}
+
+
+def _rows(found: list[dict], schema: str) -> pa.RecordBatch:
+    kinds = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "array<double>": pa.list_(pa.float64())}
+    fields = [f.split(" ") for f in schema.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array([r[n] for r in found], kinds[k]) for n, k in fields], [n for n, _ in fields])
+
+
+def _cut_of(far: DataFrame, share: float) -> DataFrame:
+    """far (gid, cand, bin) -> (gid, cand, cut, part, median, total): the bin in which the share ends and how much of it counts, and the median's bin."""
+    counts = far.groupBy("gid", "cand", "bin").agg(F.count(F.lit(1)).alias("n"))
+    whole = Window.partitionBy("gid", "cand")
+    upto = counts.withColumn("upto", F.sum("n").over(whole.orderBy("bin"))).withColumn("total", F.sum("n").over(whole))
+    left = (share * F.col("total") - (F.col("upto") - F.col("n"))) / F.col("n")
+    ends = F.min(F.when(F.col("upto") >= share * F.col("total"), F.struct(F.col("bin"), left.alias("part")))).alias("x")
+    return upto.groupBy("gid", "cand").agg(ends, F.min(F.when(F.col("upto") >= 0.5 * F.col("total"), F.col("bin"))).alias("median"), F.max("total").alias("total")).select("gid", "cand", F.col("x.bin").alias("cut"), F.col("x.part").alias("part"), "median", "total")
+
+
+def _sums(far: DataFrame, cuts: DataFrame, names: list[str], groups: int, carried: list[str]) -> DataFrame:
+    """Moments, about the present mean, of the rows up to the cut."""
+    p = len(names)
+    cuts = F.broadcast(cuts) if groups <= BROADCAST_GROUPS else cuts
+    near = far.join(cuts, ["gid", "cand"]).where("bin <= cut").withColumn("w", F.when(F.col("bin") < F.col("cut"), F.lit(1.0)).otherwise(F.col("part")))
+    gap = [F.col(n) - F.col("mean")[i] for i, n in enumerate(names)]
+    sums = [F.sum(F.col("w") * gap[i]).alias(f"s{i}") for i in range(p)] + [F.sum(F.col("w") * gap[i] * gap[j]).alias(f"q{i}_{j}") for i in range(p) for j in range(i, p)]
+    return near.groupBy("gid", "cand").agg(F.sum("w").alias("w"), *sums, *[F.first(c).alias(c) for c in carried])
+
+
+def _renewed(t: dict, k: int, p: int) -> tuple[np.ndarray, np.ndarray]:
+    move = np.array([t[f"s{i}"][k] for i in range(p)]) / t["w"][k]
+    scatter = np.zeros((p, p))
+    for i in range(p):
+        for j in range(i, p):
+            scatter[i, j] = scatter[j, i] = t[f"q{i}_{j}"][k] / t["w"][k] - move[i] * move[j]
+    return np.array(t["mean"][k]) + move, scatter
+
+
+def _scaled(far: DataFrame, p: int) -> DataFrame:
+    """(gid, cand, scale, total): how far the median distance is beyond that of the chi-square law."""
+    at = F.pow(F.lit(2.0), (F.col("median") + 0.5) / BINS_PER_OCTAVE) / chi_square(p, 0.5)
+    return _cut_of(far, 0.5).select("gid", "cand", F.greatest(at, F.lit(1.0)).alias("scale"), "total")
+
+
 def estimate(rows: DataFrame, names: list[str], groups: int, share: float = SHARE, steps: int = STEPS) -> DataFrame:
-    """rows (gid, statistics) -> (gid, mean, inverse, scale): the scatter's inverse, scaled so that the median distance is at most that of the chi-square law."""
+    """rows (gid, statistics) -> (gid, n, mean, scatter, scale, logdet) of every group; logdet: of the subset, before the last step.
+
+    The scatter includes the floors; scale brings the median distance down to that of the chi-square law, never up.
+    """
     p = len(names)
-    pairs = [(i, j) for i in range(p) for j in range(i, p)]
     floor2 = np.diag([FLOORS[n] ** 2 for n in names])
-    middle = rows.groupBy("gid").agg(*[F.percentile_approx(n, [0.25, 0.5, 0.75], 1000).alias(n) for n in names])
-    inverse0 = F.array(*[(1 / F.greatest(((F.col(names[i])[2] - F.col(names[i])[0]) / 1.349) ** 2, F.lit(FLOORS[names[i]] ** 2)) if i == j else F.lit(0.0)) for i in range(p) for j in range(p)])
-    now = cut(middle.select("gid", F.array(*[F.col(n)[1].cast("double") for n in names]).alias("mean"), inverse0.alias("inverse")))
-    sums = [F.sum(n).alias(f"s{i}") for i, n in enumerate(names)] + [F.sum(F.col(names[i]) * F.col(names[j])).alias(f"q{i}_{j}") for i, j in pairs]
-    chi_median = chi_square(p, 0.5)
-
-    def renew(bins):
-        t = bins.to_pydict()
-        order = np.argsort(t["bin"])
-        n = np.array(t["n"], float)[order]
-        upto = np.cumsum(n)
-        k = int(np.searchsorted(upto, share * upto[-1])) + 1
-        half = int(np.searchsorted(upto, 0.5 * upto[-1]))
-        scale = 2.0 ** ((t["bin"][order[half]] + 0.5) / BINS_PER_OCTAVE) / chi_median
-        count = upto[k - 1]
-        take = lambda c: np.array(t[c], float)[order][:k].sum()
-        mean = np.array([take(f"s{i}") for i in range(p)]) / count
-        scatter = np.zeros((p, p))
-        for i, j in pairs:
-            scatter[i, j] = scatter[j, i] = take(f"q{i}_{j}") / count - mean[i] * mean[j]
-        # eigenvalues below zero are rounding
-        value, vector = np.linalg.eigh(scatter)
-        scatter = (vector * np.maximum(value, 0)) @ vector.T + floor2
-        return pa.table({"gid": [t["gid"][0]], "mean": [mean.tolist()], "inverse": [np.linalg.inv(scatter).ravel().tolist()], "scale": [float(max(scale, 1.0))]})
-
-    for step in range(steps + 1):
-        binned = _with(rows, now.select("gid", "mean", "inverse"), groups).withColumn("bin", _bin(_distance(names))).groupBy("gid", "bin").agg(F.count(F.lit(1)).alias("n"), *sums)
-        after = cut(binned.groupBy("gid").applyInArrow(renew, "gid string, mean array<double>, inverse array<double>, scale double"))
-        # the last pass only measures the scale of the estimate it was given
-        now = after if step < steps else now.select("gid", "mean", "inverse").join(after.select("gid", "scale"), "gid")
-    return cut(now)
-
-
-def judge(docs: DataFrame, tail: float = TAIL, least_rows: int = LEAST_ROWS) -> DataFrame:
+    sizes = rows.groupBy("gid").agg(F.count(F.lit(1)).alias("size"))
+    # equal rows are kept or left together, but are one weighted row
+    drawn = _with(rows, sizes, groups).where(F.pmod(F.xxhash64(*names), F.lit(1 << 30)) < F.lit(float(START_ROWS << 30)) / F.col("size"))
+    drawn = drawn.groupBy("gid", *names).agg(F.count(F.lit(1)).cast("double").alias("n"), F.max("size").alias("size"))
+    # a group whose rows are all of a hash that is not drawn starts from its medians
+    middle = rows.groupBy("gid").agg(*[F.percentile_approx(n, 0.5, 1000).alias(n) for n in names], F.lit(0.0).alias("n"), F.count(F.lit(1)).alias("size"))
+
+    def begin(members):
+        x = np.column_stack([np.asarray(members.column(n), float) for n in names])
+        n = np.asarray(members.column("n"))
+        real = n > 0
+        found = best_starts(x[real], n[real], floor2, share) if real.any() else [(np.inf, x[0], floor2)]
+        gid = members.column("gid")[0].as_py()
+        return pa.Table.from_batches([_rows([_state_row(gid, i, m, s - floor2, floor2, -np.inf) | {"done": False, "logdet": 1e300} for i, (_, m, s) in enumerate(found)], _STATE)])
+
+    now = cut(drawn.unionByName(middle).groupBy("gid").applyInArrow(begin, _STATE))
+
+    def far_of(state):
+        return _with(rows, state, groups).withColumn("bin", _bin(_distance(names)))
+
+    def renew(batches):
+        for batch in batches:
+            t = batch.to_pydict()
+            yield _rows([_state_row(g, c, *_renewed(t, k, p), floor2, t["logdet"][k]) for k, (g, c) in enumerate(zip(t["gid"], t["cand"]))], _STATE)
+
+    for _ in range(steps):
+        far = far_of(now.where("not done"))
+        after = _sums(far, cut(_cut_of(far, share)), names, groups, ["mean", "logdet"]).mapInArrow(renew, _STATE)
+        now = cut(now.where("done").union(after))
+        if now.where("not done").isEmpty():
+            break
+    best = cut(now.groupBy("gid").agg(F.min(F.struct("logdet", "cand", "mean", "inverse")).alias("x")).select("gid", F.lit(0).alias("cand"), "x.mean", "x.inverse", "x.logdet"))
+    far = far_of(best)
+    inner = F.floor(F.log2(F.lit(chi_square(p, 1 - INNER)) * F.col("scale")) * BINS_PER_OCTAVE).cast("int")
+    cuts = cut(_scaled(far, p).select("gid", "cand", inner.alias("cut"), F.lit(1.0).alias("part")))
+
+    def finish(batches):
+        for batch in batches:
+            t = batch.to_pydict()
+            yield _rows([_state_row(g, 0, *_renewed(t, k, p), floor2, -np.inf) | {"logdet": t["logdet"][k]} for k, g in enumerate(t["gid"])], _STATE)
+
+    last = cut(_sums(far, cuts, names, groups, ["mean", "logdet"]).mapInArrow(finish, _STATE))
+    scales = _scaled(far_of(last), p)
+    return cut(last.join(scales.select("gid", "scale", F.col("total").alias("n")), "gid").select("gid", "n", "mean", "scatter", "scale", "logdet"))
+
+
+def drawn_to(n: float, own: tuple, wider: tuple) -> tuple[np.ndarray, np.ndarray, float]:
+    """(mean, scatter, scale) of n rows, drawn towards a wider group's as if that were PRIOR_ROWS rows."""
+    k = PRIOR_ROWS
+    (m, s, c), (m0, s0, c0) = own, wider
+    gap = m - m0
+    return (n * m + k * m0) / (n + k), (n * s + k * s0 + n * k / (n + k) * np.outer(gap, gap)) / (n + k), float(np.exp((n * np.log(c) + k * np.log(c0)) / (n + k)))
+
+
+def judge(docs: DataFrame, tail: float = TAIL) -> DataFrame:
     """(doc_id, counts, base_failed, distance, kept) of every row of docs (doc_id, text, lang, source).
 
-    Groups with fewer rows than `least_rows` (that pass the fixed limits) are pooled by language, languages with
-    fewer with each other; null languages and sources are groups like any other. distance is null where the fixed
-    limits fail. An empty table gives an empty result.
+    Null languages and sources are groups like any other; null texts count as empty, texts of any length are counted
+    whole, repeated rows are rows of their own, and other columns of any name change nothing. distance is null where the
+    fixed limits fail. An empty table gives an empty result.
     """
     names = list(statistics())
+    p = len(names)
     base = cut(counted(docs).withColumn("base_failed", base_failed()))
     tested = base.where(~F.col("base_failed"))
-    own = F.to_json(F.struct("lang", "source"))
-    sizes = tested.groupBy("lang", "source").agg(F.count(F.lit(1)).alias("n"))
-    small = F.col("n") < least_rows
-    pooled = sizes.groupBy("lang").agg(F.sum(F.when(small, F.col("n")).otherwise(0)).alias("pool")).withColumnRenamed("lang", "l")
-    gid = F.when(~small, own).when(F.col("pool") >= least_rows, F.to_json(F.struct(F.col("lang").alias("pool_of")))).otherwise("rest")
-    named = cut(sizes.join(pooled, F.col("lang").eqNullSafe(F.col("l"))).select("lang", "source", gid.alias("gid")))
+    own, wide = F.to_json(F.struct(F.lit(1).alias("level"), "lang", "source")), F.to_json(F.struct(F.lit(2).alias("level"), "lang"))
+    placed = cut(tested.select("doc_id", *COUNTS, "base_failed", own.alias("gid"), wide.alias("wide"), *[x.alias(n) for n, x in statistics().items()]))
+    named = cut(placed.select("gid", "wide").distinct())
     groups = named.count()
-    keyed = named.select(F.col("lang").alias("l"), F.col("source").alias("s"), "gid")
-    placed = tested.join(F.broadcast(keyed) if groups <= BROADCAST_GROUPS else keyed, F.col("lang").eqNullSafe(F.col("l")) & F.col("source").eqNullSafe(F.col("s"))).drop("l", "s")
-    placed = cut(placed.select("doc_id", *COUNTS, "base_failed", "gid", *[x.alias(n) for n, x in statistics().items()]))
-    found = estimate(placed.select("gid", *names), names, groups)
-    limit = chi_square(len(names), tail)
-    verdict = _with(placed, found, groups).withColumn("distance", _distance(names) / F.col("scale")).select("doc_id", *COUNTS, "base_failed", "distance", (F.col("distance") <= limit).alias("kept"))
+    found = estimate(placed.select(F.explode(F.array("gid", "wide", F.lit("all"))).alias("gid"), *names), names, 3 * groups)
+    side = lambda on, x: found.select(F.col("gid").alias(on), F.struct("n", "mean", "scatter", "scale").alias(x))
+    joined = named.join(side("gid", "own"), "gid").join(side("wide", "lang"), "wide").join(side("all_", "whole"), F.col("all_") == "all")
+
+    def draw(batches):
+        for batch in batches:
+            out = []
+            for row in batch.to_pylist():
+                a, b, c = ((row[x]["n"], (np.array(row[x]["mean"]), np.array(row[x]["scatter"]).reshape(p, p), row[x]["scale"])) for x in ("own", "lang", "whole"))
+                mean, scatter, scale = drawn_to(a[0], a[1], drawn_to(b[0], b[1], c[1]))
+                out.append({"gid": row["gid"], "mean": mean.tolist(), "inverse": np.linalg.inv(scatter).ravel().tolist(), "scale": scale})
+            yield _rows(out, "gid string, mean array<double>, inverse array<double>, scale double")
+
+    final = cut(joined.mapInArrow(draw, "gid string, mean array<double>, inverse array<double>, scale double"))
+    limit = chi_square(p, tail)
+    verdict = _with(placed, final, groups).withColumn("distance", _distance(names) / F.col("scale")).select("doc_id", *COUNTS, "base_failed", "distance", (F.col("distance") <= limit).alias("kept"))
     return verdict.union(base.where("base_failed").select("doc_id", *COUNTS, "base_failed", F.lit(None).cast("double"), F.lit(False)))
 
 

@@ -136,14 +136,76 @@ def test_outliers(spark, make_docs, odd_rows):
     assert outliers.judge(make_docs([])).count() == 0
 
 
+def slow_least(x, share, floor2):
+    """The least log determinant over all subsets of share * n rows, with the one row that counts in part."""
+    import itertools
+
+    n, h, best = len(x), share * len(x), np.inf
+    whole = int(h + 1e-9)
+    for pick in itertools.combinations(range(n), whole):
+        for extra in [None] if abs(h - whole) < 1e-9 else [i for i in range(n) if i not in pick]:
+            w = np.zeros(n)
+            w[list(pick)] = 1
+            if extra is not None:
+                w[extra] = h - whole
+            best = min(best, np.linalg.slogdet(outliers.moments(x, w)[1] + floor2)[1])
+    return best
+
+
+def test_least_determinant_against_all_subsets(spark):
+    """Small groups: the subset found has the least determinant of all subsets, or nearly."""
+    rng = np.random.default_rng(6)
+    names = list(outliers.FLOORS)
+    floor2 = np.diag([outliers.FLOORS[n] ** 2 for n in names])
+    groups = {f"g{k}": np.vstack([rng.normal(0, 1, (9, 7)), rng.normal(rng.choice([0, 6]), 1, (3, 7))]) for k in range(6)}
+    df = spark.createDataFrame([(g, *map(float, r)) for g, x in groups.items() for r in x], "gid string, " + ", ".join(f"{n} double" for n in names))
+    got = {r.gid: r for r in outliers.estimate(df.repartition(5), names, len(groups)).collect()}
+    hits = 0
+    for g, x in groups.items():
+        least = slow_least(x, outliers.SHARE, floor2)
+        assert least - 1e-3 <= got[g].logdet <= least + 0.3, (g, least, got[g].logdet)
+        hits += got[g].logdet <= least + 1e-3
+        assert got[g].n == len(x)
+    assert hits >= 4
+
+
 def test_concentration_ignores_a_third_of_bad_rows(spark):
     rng = np.random.default_rng(2)
     names = list(outliers.FLOORS)
     good, bad = rng.normal(0, 2, (700, len(names))), rng.normal(60, 1, (200, len(names)))
-    rows = [("g", *map(float, x)) for x in np.vstack([good, bad])]
+    same = np.repeat(rng.normal(0, 1, (1, len(names))), 3000, axis=0)  # a row that repeats
+    rows = [("g", *map(float, x)) for x in np.vstack([good, bad])] + [("one", *map(float, x)) for x in same]
     df = spark.createDataFrame(rows, "gid string, " + ", ".join(f"{n} double" for n in names))
-    mean = outliers.estimate(df, names, 1).first()["mean"]
-    assert np.abs(np.array(mean)).max() < 0.6
+    found = {}
+    for n in (1, 8, 64):
+        got = {r.gid: r for r in outliers.estimate(df.repartition(n), names, 2).collect()}
+        assert np.abs(np.array(got["g"].mean)).max() < 0.6
+        assert np.allclose(got["one"].mean, same[0])
+        found[n] = np.array(got["g"].mean + got["g"].scatter)
+    assert np.allclose(found[1], found[8]) and np.allclose(found[1], found[64])
+
+
+def test_distances_against_numpy(spark, make_docs):
+    """A large group's distances are those of the estimate, drawn towards its language's, by plain linear algebra."""
+    rng = random.Random(18)
+    rows = [(i, " ".join(rng.choice(["a", "bb", "ccc#", "Dd", "e1"]) + str(rng.randrange(50)) for _ in range(rng.randrange(30, 200))), "en", "a" if i % 5 else "b") for i in range(300)]
+    docs = make_docs(rows)
+    got = {r.doc_id: r for r in outliers.judge(docs).collect()}
+    names = list(outliers.FLOORS)
+    stats = outliers.counted(docs).select("doc_id", "source", *[x.alias(n) for n, x in outliers.statistics().items()]).collect()
+    x = {r.doc_id: np.array([r[n] for n in names]) for r in stats}
+    member = {"all": list(x), "a": [r.doc_id for r in stats if r.source == "a"], "b": [r.doc_id for r in stats if r.source == "b"]}
+    df = spark.createDataFrame([(g, *map(float, x[i])) for g, ids in member.items() for i in ids], "gid string, " + ", ".join(f"{n} double" for n in names))
+    found = {r.gid: (r.n, (np.array(r.mean), np.array(r.scatter).reshape(7, 7), r.scale)) for r in outliers.estimate(df, names, 3).collect()}
+    whole = found["all"][1]
+    lang = outliers.drawn_to(300, whole, whole)
+    for r in stats:
+        n, own = found[r.source]
+        mean, scatter, scale = outliers.drawn_to(n, own, lang)
+        gap = x[r.doc_id] - mean
+        if not got[r.doc_id].base_failed:
+            assert got[r.doc_id].distance == pytest.approx(gap @ np.linalg.inv(scatter) @ gap / scale, rel=1e-6)
+            assert got[r.doc_id].kept == (got[r.doc_id].distance <= outliers.chi_square(7, outliers.TAIL))
 
 
 def test_targets():
