@@ -73,6 +73,15 @@ def test_edits_around_the_threshold(spark):
     compare(spark, texts, block=3)
 
 
+def test_a_group_of_edits_and_stragglers(spark):
+    """A text and many edits of it, from few words to a third of them, in buckets of one block and of several."""
+    rng = random.Random(21)
+    base = words(146, 1, 10**6)
+    texts = [" ".join(base)] + [edited(base, rng.randrange(0, 12), rng) for _ in range(250)]
+    compare(spark, texts)
+    compare(spark, texts, block=16)
+
+
 def test_given_documents(spark, medium):
     texts = [r.text for r in table(spark, medium, "documents").orderBy("doc_id").collect()]
     compare(spark, texts)
