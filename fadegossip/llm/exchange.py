@@ -66,9 +66,28 @@ class Merged:
 
 
 def _packed(entries: np.ndarray) -> bytes:
-    """Column by column; places only where there are any."""
-    places = entries["src"]
-    return entries["h"].tobytes() + entries["v"].tobytes() + (places.tobytes() if (places != NOWHERE).any() else b"") + bytes([int((places != NOWHERE).any())])
+    """Column by column: h, then v (or the few values it has and a byte for each entry), and places only where there are any."""
+    n, places = len(entries), entries["src"]
+    kinds, which = np.unique(entries["v"], return_inverse=True)
+    few = len(kinds) <= 256 and 8 * len(kinds) + n < 8 * n
+    v = kinds.tobytes() + which.astype(np.uint8).tobytes() if few else entries["v"].tobytes()
+    has = bool((places != NOWHERE).any())
+    return np.array([n, len(kinds) if few else 0, has], "<u4").tobytes() + entries["h"].tobytes() + v + (places.tobytes() if has else b"")
+
+
+def _unpacked(blob: bytes) -> np.ndarray:
+    n, kinds, has = np.frombuffer(blob, "<u4", 3).tolist()
+    out, at = np.zeros(n, ENTRY), 12
+
+    def column(size: int, dtype=np.uint64) -> np.ndarray:
+        nonlocal at
+        at += size * np.dtype(dtype).itemsize
+        return np.frombuffer(blob, dtype, size, at - size * np.dtype(dtype).itemsize)
+
+    out["h"] = column(n)
+    out["v"] = column(kinds)[column(n, np.uint8)] if kinds else column(n)
+    out["src"] = column(n) if has else NOWHERE
+    return out
 
 
 def _pack(parts: list[np.ndarray]) -> pa.Array:
@@ -99,15 +118,8 @@ def _split(distinct: np.ndarray, shards: int) -> tuple[list[int], list[np.ndarra
 
 def _read(column) -> tuple[np.ndarray, np.ndarray]:
     """All entries of blobs, and where each blob ends."""
-    out, sizes = [np.zeros(0, ENTRY)], []
-    for blob in column.to_pylist():
-        n = (len(blob) - 1) // (24 if blob[-1] else 16)
-        one = np.zeros(n, ENTRY)
-        one["h"], one["v"] = np.frombuffer(blob, np.uint64, n), np.frombuffer(blob, np.uint64, n, 8 * n)
-        one["src"] = np.frombuffer(blob[16 * n : -1], np.uint64) if blob[-1] else NOWHERE
-        out.append(one)
-        sizes.append(n)
-    return np.concatenate(out), np.cumsum(sizes, dtype=np.int64)
+    parts = [_unpacked(blob) for blob in column.to_pylist()]
+    return np.concatenate([np.zeros(0, ENTRY), *parts]), np.cumsum([len(x) for x in parts], dtype=np.int64)
 
 
 def told_to(distinct: np.ndarray, told) -> np.ndarray:
