@@ -48,15 +48,18 @@ def ss_merge_k(a: dict[int, float], b: dict[int, float], k: int) -> dict[int, fl
 
 
 def space_saving(df: DataFrame, spec: DecaySpec, k: int, asof: int, fan_in: int = 64) -> DataFrame:
-    """(item_key, est): partitions fold their arrivals, then summaries are merged in a tree of three levels."""
+    """(item_key, est): partitions fold their arrivals, then summaries are merged in a tree of four levels."""
 
     def fold(batches):
         state: dict[int, float] = {}
+        part = 0
         for batch in batches:
+            if batch.num_rows:
+                part = batch.column("part")[0].as_py()
             for key, x in zip(batch.column("item_key").to_pylist(), batch.column("x").to_pylist()):
                 ss_update_k(state, key, x, k)
         if state:
-            yield pa.RecordBatch.from_arrays([pa.array([abs(hash(tuple(sorted(state)))) % (1 << 30)], pa.int64()), pa.array([list(state)], pa.list_(pa.int64())), pa.array([list(state.values())], pa.list_(pa.float64()))], ["part", "keys", "freqs"])
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([list(state)], pa.list_(pa.int64())), pa.array([list(state.values())], pa.list_(pa.float64()))], ["part", "keys", "freqs"])
 
     def merge(group):
         rows = sorted(zip(group.column("keys").to_pylist(), group.column("freqs").to_pylist()))
@@ -66,9 +69,9 @@ def space_saving(df: DataFrame, spec: DecaySpec, k: int, asof: int, fan_in: int
         return pa.table({"part": pa.array([group.column("part")[0].as_py()], pa.int64()), "keys": pa.array([list(state)], pa.list_(pa.int64())), "freqs": pa.array([list(state.values())], pa.list_(pa.float64()))})
 
     schema = "part long, keys array<long>, freqs array<double>"
-    parts = df.select("item_key", spec.raw().alias("x")).mapInArrow(fold, schema)
-    for n in (fan_in * fan_in, fan_in, 1):  # a merge of bounded width, whatever the number of partitions
-        parts = parts.withColumn("part", F.pmod("part", F.lit(n))).groupBy("part").applyInArrow(merge, schema)
+    parts = df.select("item_key", spec.raw().alias("x"), F.spark_partition_id().alias("part")).mapInArrow(fold, schema)
+    for _ in range(4):  # `fan_in` neighbours at once, so that fan_in ** 4 partitions end in one summary
+        parts = parts.withColumn("part", F.floor(F.col("part") / fan_in)).groupBy("part").applyInArrow(merge, schema)
     return parts.select(F.explode(F.arrays_zip("keys", "freqs")).alias("x")).select(F.col("x.keys").alias("item_key"), (F.col("x.freqs") / F.lit(spec.norm(asof))).alias("est"))
 
 

@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from fadegossip.plans import checked
 from fadegossip.schedule import Schedule
 from fadegossip.sources import fingerprint
 
@@ -91,7 +92,7 @@ def online(timeline: DataFrame, sites: int, rounds: int) -> np.ndarray:
 
 def mask_schedule(schedule: DataFrame, timeline: DataFrame) -> DataFrame:
     """Exchanges whose both ends are online, by two range joins with the timeline."""
-    up = F.broadcast(timeline.where("state = 'on'").select("site", "from_round", "to_round"))
+    up = checked(timeline.where("state = 'on'").select("site", "from_round", "to_round"))
     during = (F.col("round") >= F.col("from_round")) & (F.col("round") < F.col("to_round"))
     out = schedule
     for end in ("a", "b"):

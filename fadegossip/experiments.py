@@ -1,7 +1,10 @@
 """The experiments: one protocol, swept parameters, and the measures of every setting.
 
-A setting's local grids are built once. All its runs (graphs x seeds) are replayed in one job: a run is a block of
-site numbers of its own, so one state table, one query and one join with the exact answer serve all of them.
+A run has a seed, which draws its input stream, its graph and its exchanges anew, as the published protocol asks. All
+runs of a setting are one job: the local grids of all seeds are built together (a seed is a block of site numbers), and
+a run is a block of site numbers of its own in the replayed state, so one state table, one query and one join with
+the exact answers serve all of them. Streams of the given tables (words, hosts, ...) can't be drawn anew; their runs
+differ in graph and exchanges alone.
 """
 
 from __future__ import annotations
@@ -11,7 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fadegossip import cells, churn, exact, gossip, metrics, planner, query, topology
@@ -36,40 +39,54 @@ class Run:
     alive: np.ndarray | None = None  # sites that may be asked at the end
 
 
-def adjacency(graph: str, sites: int, seed: int) -> dict[int, np.ndarray] | None:
+def adjacency(graph: str, sites: int, seed: int, degree: float = 8) -> dict[int, np.ndarray] | None:
     """Neighbours without Spark: the pairs come from the same generators as the edge tables."""
     if graph == "complete":
         return None
     if graph == "uniform":
-        pairs = topology.connected(topology.uniform_pairs(sites, min(1.0, 8 / max(sites - 1, 1)), seed), sites)
+        pairs = topology.connected(topology.uniform_pairs(sites, min(1.0, degree / max(sites - 1, 1)), seed), sites)
     else:
-        pairs = topology.preferential_pairs(sites, 3, seed)
+        pairs = topology.preferential_pairs(sites, max(1, round(3 * degree / 8)), seed)
     both = np.unique(np.vstack([pairs, pairs[:, ::-1]]), axis=0)
     site, first = np.unique(both[:, 0], return_index=True)
     return dict(zip(site.tolist(), np.split(both[:, 1], first[1:])))
 
 
-def runs_of(graphs: tuple[str, ...], seeds: int, sites: int, rounds: int, fanout: int = 1) -> list[Run]:
-    return [Run(g, s, draw_exchanges(adjacency(g, sites, s), sites, rounds, fanout, s)) for g in graphs for s in range(seeds)]
+def runs_of(graphs: tuple[str, ...], seeds: int, sites: int, rounds: int, fanout: int = 1, degree: float = 8) -> list[Run]:
+    return [Run(g, s, draw_exchanges(adjacency(g, sites, s, degree), sites, rounds, fanout, s)) for g in graphs for s in range(seeds)]
+
+
+def drawn(spark: SparkSession, sf_dir: str, rho: float, sites: int, seeds: int) -> DataFrame:
+    """Zipf streams of all seeds; the site is seed * sites + site."""
+    out = None
+    for seed in range(seeds):
+        one = zipf_stream(spark, sf_dir, rho, sites=sites, seed=seed).withColumn("site", F.col("site") + seed * sites)
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def replay_runs(grid: DataFrame, runs: list[Run], family: HashFamily, snapshots: tuple[int, ...] = ()) -> DataFrame:
-    """Like gossip_by_cell for many schedules at once; site = run * sites + site."""
+    """Like gossip_by_cell for many schedules at once; site = run * sites + site. grid: sites of a seed from seed * sites on, or of one stream for all."""
     sites, width = runs[0].schedule.sites, family.width
-    schedules = [r.schedule for r in runs]
     per_task = max(1, min(gossip.TASK_BYTES // (sites * 32 * 6), -(-family.depth * width // 8)))
 
     def work(part):
         at = np.asarray(part.column("row")).astype(np.int64) * width + np.asarray(part.column("col"))
         which, cell = np.unique(at, return_inverse=True)
-        site = np.asarray(part.column("site"))
-        key0, freq0 = np.full((sites, len(which), 2), cells.NONE), np.zeros((sites, len(which), 2))
-        for i in (0, 1):
-            key0[site, cell, i] = part.column(f"i{i + 1}").fill_null(-1).to_numpy()
-            freq0[site, cell, i] = part.column(f"f{i + 1}").to_numpy()
+        every = np.asarray(part.column("site"))
+        seeds = int(every.max()) // sites + 1
+        start = []
+        for seed in range(seeds):
+            of = every // sites == seed
+            key0, freq0 = np.full((sites, len(which), 2), cells.NONE), np.zeros((sites, len(which), 2))
+            for i in (0, 1):
+                key0[every[of] % sites, cell[of], i] = part.column(f"i{i + 1}").fill_null(-1).to_numpy()[of]
+                freq0[every[of] % sites, cell[of], i] = part.column(f"f{i + 1}").to_numpy()[of]
+            start.append((key0, freq0))
         out = []
-        for n, schedule in enumerate(schedules):
-            for r, k, f in gossip.replay_cells(key0.copy(), freq0.copy(), schedule, snapshots=snapshots):
+        for n, run in enumerate(runs):
+            key0, freq0 = start[run.seed if seeds > 1 else 0]
+            for r, k, f in gossip.replay_cells(key0.copy(), freq0.copy(), run.schedule, snapshots=snapshots):
                 s, c = np.nonzero((k != cells.NONE).any(-1))
                 cols = [pa.array(np.full(len(s), r), pa.int32()), pa.array(s + n * sites, pa.int32()), pa.array(which[c] // width, pa.int32()), pa.array(which[c] % width, pa.int32())]
                 for i in (0, 1):
@@ -87,18 +104,32 @@ def share_rows(spark: SparkSession, runs: list[Run], rounds: int) -> DataFrame:
     return spark.createDataFrame(rows, "site int, share double")
 
 
-def measured(spark: SparkSession, workload: str, setting: str, runs: list[Run], state: DataFrame, freqs: DataFrame, family: HashFamily, support: float, asof: int, rounds: int) -> list[tuple]:
-    """Rows (workload, setting, graph, metric, mean, ci_low, ci_high, sites) of all runs of a setting."""
+def exact_by_seed(df: DataFrame, spec: DecaySpec, asof: int, sites: int, seeds: int) -> DataFrame:
+    """(seed, item_key, f, c): exact decayed frequencies and counts; a stream that isn't drawn anew serves all seeds."""
+    own = F.floor(F.col("site") / sites).cast("int")
+    found = df.groupBy(own.alias("seed"), "item_key").agg((F.sum(spec.raw()) / F.lit(spec.norm(asof))).alias("f"))
+    found = found.withColumn("c", F.sum("f").over(Window.partitionBy("seed")))
+    if seeds > 1 and found.select("seed").distinct().count() == 1:
+        found = found.drop("seed").crossJoin(df.sparkSession.range(seeds).select(F.col("id").cast("int").alias("seed")))
+    return cut(found.select("seed", "item_key", "f", "c"))
+
+
+def measured(spark: SparkSession, workload: str, setting: str, runs: list[Run], state: DataFrame, freqs: DataFrame, family: HashFamily, spec: DecaySpec, support: float, asof: int, rounds: int) -> list[tuple]:
+    """Rows (workload, setting, graph, metric, mean, ci_low, ci_high, sites) of all runs of a setting.
+
+    Per site the mean over runs, then mean and 95 % interval over sites. With too few rounds for a guarantee (slack 1
+    or more) the query has no answer and recall is 0.
+    """
     sites = runs[0].schedule.sites
     share = share_rows(spark, runs, rounds)
-    slack = planner.slack(sites, rounds, FAIL)
-    answer = query.peer_query(state, family, LINEAR, support, min(slack, 0.999), asof, share)
-    asked = spark.createDataFrame([(n * sites + i,) for n, r in enumerate(runs) for i in range(sites) if r.alive is None or r.alive[i]], "site int")
-    reached = asked.join(share.where("share > 0"), "site", "left_semi")
-    truth = exact._over(freqs, support)
-    stats = metrics.site_stats(answer.join(reached, "site", "left_semi"), truth, freqs, reached)
-    graphs = spark.createDataFrame([(n, r.graph) for n, r in enumerate(runs)], "n int, graph string")
-    per = stats.withColumn("n", F.floor(F.col("site") / sites).cast("int")).withColumn("site", F.col("site") % sites).join(F.broadcast(graphs), "n")
+    answer = query.peer_query(state, family, spec, support, planner.slack(sites, rounds, FAIL), asof, share, strict=False)
+    asked = spark.createDataFrame([(n * sites + i, r.graph, r.seed) for n, r in enumerate(runs) for i in range(sites) if r.alive is None or r.alive[i]], "site int, graph string, seed int")
+    asked = asked.join(share.where("share > 0"), "site", "left_semi")
+    true = freqs.where(F.col("f") > support * F.col("c")).groupBy("seed").agg(F.count(F.lit(1)).alias("true"))
+    named = answer.join(asked, "site").join(freqs, ["seed", "item_key"], "left")
+    hits = named.groupBy("site").agg(F.count(F.lit(1)).alias("named"), F.sum((F.col("f") > support * F.col("c")).cast("int")).alias("right"), F.avg(F.abs(F.col("est_global") - F.col("f")) / F.col("f")).alias("are"))
+    ratio = lambda x, y: F.when(F.coalesce(y, F.lit(0)) == 0, 1.0).otherwise(F.coalesce(x, F.lit(0)) / F.col(y))
+    per = asked.join(hits, "site", "left").join(true, "seed", "left").select("graph", (F.col("site") % sites).alias("site"), ratio("right", "true").alias("recall"), ratio("right", "named").alias("precision"), "are")
     found = []
     rows = per.groupBy("graph", "site").agg(*[F.avg(m).alias(m) for m in ("recall", "precision", "are")]).collect()  # graphs x sites
     for g in dict.fromkeys(r.graph for r in runs):
@@ -110,15 +141,16 @@ def measured(spark: SparkSession, workload: str, setting: str, runs: list[Run],
     return found
 
 
-def sweep(spark: SparkSession, workload: str, setting: str, df: DataFrame, runs: list[Run], family: HashFamily, support: float, asof: int, rounds: tuple[int, ...] | None = None) -> list[tuple]:
-    grid = build_local(df, LINEAR, family)
-    freqs = cut(decayed_freq(df, LINEAR, asof))
+def sweep(spark: SparkSession, workload: str, setting: str, df: DataFrame, runs: list[Run], family: HashFamily, support: float, asof: int, rounds: tuple[int, ...] | None = None, spec: DecaySpec = LINEAR) -> list[tuple]:
+    sites, seeds = runs[0].schedule.sites, max(r.seed for r in runs) + 1
+    grid = build_local(df, spec, family)
+    freqs = exact_by_seed(df, spec, asof, sites, seeds)
     last = runs[0].schedule.rounds
     steps = rounds or (last,)
     state = cut(replay_runs(grid, runs, family, tuple(r for r in steps if r < last)))
     out = []
     for r in steps:
-        out += measured(spark, workload, setting if rounds is None else f"rounds={r}", runs, state.where(F.col("round") == r), freqs, family, support, asof, r)
+        out += measured(spark, workload, setting if rounds is None else f"{setting} rounds={r}".strip(), runs, state.where(F.col("round") == r), freqs, family, spec, support, asof, r)
     return out
 
 
@@ -131,25 +163,25 @@ BOTH = ("uniform", "preferential")
 
 def w0_width_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Width against rounds for a kept tolerance."""
-    return planner.width_curve(spark, [0.002, 0.005, 0.01], range(20, 41)).select("tol", "rounds", "slack", "width")
+    return planner.width_curve(spark, [0.002, 0.005, 0.01], range(20, 41)).select("tol", "rounds", F.round("slack", 9).alias("slack"), F.round("width", 3).alias("width"))
 
 
 def w1_skew(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, skews: tuple[float, ...] = (0.9, 1.1, 1.3, 1.5)) -> DataFrame:
     family, runs = HashFamily(DEPTH, WIDTH), runs_of(BOTH, seeds, SITES, ROUNDS)
-    return _frame(spark, [x for rho in skews for x in sweep(spark, "skew", f"skew={rho}", zipf_stream(spark, sf_dir, rho, sites=SITES), runs, family, SUPPORT, DAYS_AT)])
+    return _frame(spark, [x for rho in skews for x in sweep(spark, "skew", f"skew={rho}", drawn(spark, sf_dir, rho, SITES, seeds), runs, family, SUPPORT, DAYS_AT)])
 
 
 def w2_threshold(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, supports: tuple[float, ...] = (0.01, 0.02, 0.03, 0.04)) -> DataFrame:
     """Words of documents at twenty natural sites; one state answers all thresholds."""
     family, runs, df = HashFamily(DEPTH, WIDTH), runs_of(BOTH, seeds, 20, ROUNDS), stream(spark, sf_dir, "words")
-    freqs = cut(decayed_freq(df, LINEAR, IDS_AT))
+    freqs = exact_by_seed(df, LINEAR, IDS_AT, 20, seeds)
     state = cut(replay_runs(build_local(df, LINEAR, family), runs, family))
-    return _frame(spark, [x for s in supports for x in measured(spark, "threshold", f"support={s}", runs, state, freqs, family, s, IDS_AT, ROUNDS)])
+    return _frame(spark, [x for s in supports for x in measured(spark, "threshold", f"support={s}", runs, state, freqs, family, LINEAR, s, IDS_AT, ROUNDS)])
 
 
-def w3_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, sites: tuple[int, ...] = (16, 64, 128), fanouts: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
-    family = HashFamily(DEPTH, 100)
-    return _frame(spark, [x for p in sites for fo in fanouts for x in sweep(spark, "sites", f"sites={p} fanout={fo}", zipf_stream(spark, sf_dir, 1.2, sites=p), runs_of(BOTH, seeds, p, ROUNDS, fo), family, SUPPORT, DAYS_AT)])
+def w3_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, sites: tuple[int, ...] = (16, 64, 128, 256), fanouts: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
+    family = HashFamily(DEPTH, WIDTH)
+    return _frame(spark, [x for p in sites for fo in fanouts for x in sweep(spark, "sites", f"sites={p} fanout={fo}", drawn(spark, sf_dir, 1.2, p, seeds), runs_of(BOTH, seeds, p, ROUNDS, fo), family, SUPPORT, DAYS_AT)])
 
 
 def w4_width(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, widths: tuple[int, ...] = (150, 250, 350, 450)) -> DataFrame:
@@ -157,9 +189,27 @@ def w4_width(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, widths: tuple
     return _frame(spark, [x for w in widths for x in sweep(spark, "width", f"width={w}", df, runs, HashFamily(DEPTH, w), SUPPORT, IDS_AT)])
 
 
-def w5_rounds(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, rounds: tuple[int, ...] = (12, 15, 18, 21, 24, 27)) -> DataFrame:
+def w5_rounds(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, rounds: tuple[int, ...] = (6, 9, 12, 15, 18, 21, 24, 27)) -> DataFrame:
     """One replay with snapshots answers all numbers of rounds."""
-    return _frame(spark, sweep(spark, "rounds", "", zipf_stream(spark, sf_dir, 1.2, sites=SITES), runs_of(BOTH, seeds, SITES, max(rounds)), HashFamily(DEPTH, WIDTH), SUPPORT, DAYS_AT, rounds))
+    return _frame(spark, sweep(spark, "rounds", "", drawn(spark, sf_dir, 1.2, SITES, seeds), runs_of(BOTH, seeds, SITES, max(rounds)), HashFamily(DEPTH, WIDTH), SUPPORT, DAYS_AT, rounds))
+
+
+#: The decays of the experiments, as (name, law).
+DECAYS = (("none", DecaySpec()), ("linear", LINEAR), ("quadratic", DecaySpec("poly", b=2)), ("half_life", DecaySpec("half_life", half=365)))
+
+
+def w17_decay(spark: SparkSession, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
+    """The defaults under every law of decay."""
+    family, runs, df = HashFamily(DEPTH, WIDTH), runs_of(BOTH, seeds, SITES, ROUNDS), drawn(spark, sf_dir, 1.2, SITES, seeds)
+    return _frame(spark, [x for name, spec in DECAYS for x in sweep(spark, "decay", f"decay={name}", df, runs, family, SUPPORT, DAYS_AT, None, spec)])
+
+
+def w18_density(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, degrees: tuple[int, ...] = (4, 8, 16, 32, 63)) -> DataFrame:
+    """The defaults on graphs of growing mean degree: how near the error comes to that of the complete graph (63)."""
+    family, df, out = HashFamily(DEPTH, WIDTH), drawn(spark, sf_dir, 1.2, SITES, seeds), []
+    for degree in degrees:
+        out += sweep(spark, "density", f"degree={degree}", df, runs_of(("uniform",), seeds, SITES, ROUNDS, 1, degree), family, SUPPORT, DAYS_AT)
+    return _frame(spark, out)
 
 
 def _churned(spark: SparkSession, runs: list[Run], timeline: Callable[[int], DataFrame]) -> list[Run]:
@@ -171,7 +221,7 @@ def _churned(spark: SparkSession, runs: list[Run], timeline: Callable[[int], Dat
 
 
 def w6_fail_stop(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, probs: tuple[float, ...] = (0.0, 0.01, 0.05, 0.1), scopes: tuple[str, ...] = ("per_round", "once")) -> DataFrame:
-    family, df, out = HashFamily(DEPTH, 100), zipf_stream(spark, sf_dir, 1.2, sites=SITES), []
+    family, df, out = HashFamily(DEPTH, WIDTH), drawn(spark, sf_dir, 1.2, SITES, seeds), []
     for scope in scopes:
         for prob in probs:
             runs = _churned(spark, runs_of(BOTH, seeds, SITES, ROUNDS), lambda s, q=prob, c=scope: churn.fail_stop(spark, SITES, ROUNDS, q, c, s))
@@ -179,29 +229,35 @@ def w6_fail_stop(spark: SparkSession, sf_dir: str, seeds: int = SEEDS, probs: tu
     return _frame(spark, out)
 
 
-def _sessions(spark: SparkSession, sf_dir: str, name: str, life: str, sites: tuple[int, ...], rounds: tuple[int, ...] | None, seeds: int, law: str) -> DataFrame:
+#: The laws of session lengths: as printed, and with shape and scale swapped.
+LAWS = ("printed", "swapped")
+
+
+def _sessions(spark: SparkSession, sf_dir: str, name: str, life: str, sites: tuple[int, ...], rounds: tuple[int, ...] | None, seeds: int, laws: tuple[str, ...]) -> DataFrame:
     out = []
     for p in sites:
         last = max(rounds) if rounds else ROUNDS
-        runs = _churned(spark, runs_of(("uniform",), seeds, p, last), lambda s, p=p, last=last: churn.session_timeline(spark, p, last, life, law, s))
-        out += sweep(spark, name, f"sites={p} law={law}", zipf_stream(spark, sf_dir, 1.2, sites=p), runs, HashFamily(DEPTH, 100), SUPPORT, DAYS_AT, rounds)
+        df = drawn(spark, sf_dir, 1.2, p, seeds)
+        for law in laws:
+            runs = _churned(spark, runs_of(BOTH, seeds, p, last), lambda s, p=p, last=last, law=law: churn.session_timeline(spark, p, last, life, law, s))
+            out += sweep(spark, name, f"sites={p} law={law}", df, runs, HashFamily(DEPTH, WIDTH), SUPPORT, DAYS_AT, rounds)
     return _frame(spark, out)
 
 
-def w7_sessions_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, law: str = "printed") -> DataFrame:
-    return _sessions(spark, sf_dir, "sessions_sites", "pareto", (16, 64, 128), None, seeds, law)
+def w7_sessions_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, laws: tuple[str, ...] = LAWS) -> DataFrame:
+    return _sessions(spark, sf_dir, "sessions_sites", "pareto", (16, 64, 128), None, seeds, laws)
 
 
-def w8_sessions_rounds(spark: SparkSession, sf_dir: str, seeds: int = 2, law: str = "printed") -> DataFrame:
-    return _sessions(spark, sf_dir, "sessions_rounds", "pareto", (64,), (15, 18, 21, 24, 27), seeds, law)
+def w8_sessions_rounds(spark: SparkSession, sf_dir: str, seeds: int = 2, laws: tuple[str, ...] = LAWS) -> DataFrame:
+    return _sessions(spark, sf_dir, "sessions_rounds", "pareto", (64,), (15, 18, 21, 24, 27), seeds, laws)
 
 
-def w9_exponential_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, law: str = "printed") -> DataFrame:
-    return _sessions(spark, sf_dir, "exponential_sites", "exponential", (16, 64, 128), None, seeds, law)
+def w9_exponential_sites(spark: SparkSession, sf_dir: str, seeds: int = 2, laws: tuple[str, ...] = LAWS) -> DataFrame:
+    return _sessions(spark, sf_dir, "exponential_sites", "exponential", (16, 64, 128), None, seeds, laws)
 
 
-def w10_exponential_rounds(spark: SparkSession, sf_dir: str, seeds: int = 2, law: str = "printed") -> DataFrame:
-    return _sessions(spark, sf_dir, "exponential_rounds", "exponential", (64,), (15, 18, 21, 24, 27), seeds, law)
+def w10_exponential_rounds(spark: SparkSession, sf_dir: str, seeds: int = 2, laws: tuple[str, ...] = LAWS) -> DataFrame:
+    return _sessions(spark, sf_dir, "exponential_rounds", "exponential", (64,), (15, 18, 21, 24, 27), seeds, laws)
 
 
 def w11_published_scale(spark: SparkSession, rows: int = 100_000_000, universe: int = 1_000_000, sites: int = 5000, width: int = 2500, rounds: int = ROUNDS, partitions: int = 64) -> DataFrame:
@@ -212,14 +268,12 @@ def w11_published_scale(spark: SparkSession, rows: int = 100_000_000, universe:
     df = spark.range(0, rows, 1, partitions).select(F.pmod(F.xxhash64("id"), F.lit(sites)).cast("int").alias("site"), _rank_udf(1.2, universe)(u).alias("item_key"), (F.col("id") % 1000 + 1).alias("tick"))
     family = HashFamily(DEPTH, width)
     schedule = draw_exchanges(adjacency("uniform", sites, 0), sites, rounds, 1, 0)
-    state = gossip.gossip_by_cell(build_local(df, LINEAR, family, "preagg"), schedule, family)
+    state = gossip.gossip_by_cell(build_local(df, LINEAR, family), schedule, family)
     return query.peer_query(state, family, LINEAR, SUPPORT, planner.slack(sites, rounds, FAIL), 1001, gossip.share_table(spark, schedule))
 
 
 def w12_recency(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(item_key, plain, faded, recent): ranks of the users without decay, with fast decay, and in the last days."""
-    from pyspark.sql import Window
-
     df = stream(spark, sf_dir, "users")
     rank = lambda c: F.row_number().over(Window.orderBy(F.desc(c), "item_key"))
     plain = decayed_freq(df, DecaySpec(), 31).withColumnRenamed("f", "a")
@@ -233,7 +287,7 @@ def w13_empty(spark: SparkSession, sf_dir: str) -> DataFrame:
     """No part has one percent: the exact answer and every site's answer are empty where the grid is wide enough."""
     family = HashFamily(DEPTH, 450)
     df = stream(spark, sf_dir, "parts")
-    return query.local_query(build_local(df.withColumn("site", F.lit(0)), LINEAR, family), family, LINEAR, 0.01, DAYS_AT)
+    return query.local_query(build_local(df.withColumn("site", F.lit(0)), LINEAR, family, "preagg"), family, LINEAR, 0.01, DAYS_AT)
 
 
 def w14_borderline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -244,14 +298,16 @@ def w14_borderline(spark: SparkSession, sf_dir: str) -> DataFrame:
     answer = cut(query.peer_query(state, family, LINEAR, 0.0105, slack, DAYS_AT))
     rows = []
     for tol in (planner.tolerance(slack, 0.0105, WIDTH), 0.002, 0.005):
-        bad = metrics.tolerance_violations(answer, exact.forbidden_items(df, LINEAR, 0.0105, min(tol, 0.0104), DAYS_AT))
-        rows.append((float(tol), answer.count(), bad.count()))
+        if tol < 0.0105:  # a tolerance beyond the threshold forbids nothing
+            bad = metrics.tolerance_violations(answer, exact.forbidden_items(df, LINEAR, 0.0105, tol, DAYS_AT))
+            rows.append((float(tol), answer.count(), bad.count()))
     return spark.createDataFrame(rows, "tol double, named long, forbidden_named long")
 
 
 def w15_skewed_start(spark: SparkSession, sf_dir: str, rounds: int = 24, sites: int = 64) -> DataFrame:
     """(round, var, deviation, factor, bound) of a value that starts at one site."""
-    return metrics.variance_trace(spark, gossip.average_scalar(np.eye(sites)[0], draw_exchanges(None, sites, rounds, 1, 0), trace=True))
+    found = metrics.variance_trace(spark, gossip.average_scalar(np.eye(sites)[0], draw_exchanges(None, sites, rounds, 1, 0), trace=True))
+    return found.select("round", *[F.round(c, n).alias(c) for c, n in (("var", 9), ("deviation", 9), ("factor", 6), ("bound", 6))])
 
 
 def w16_natural(spark: SparkSession, sf_dir: str, seeds: int = 2) -> DataFrame:
@@ -266,6 +322,7 @@ QUERIES = {
     "w0_width_curve": w0_width_curve, "w1_skew": w1_skew, "w2_threshold": w2_threshold, "w3_sites_fanout": w3_sites, "w4_width": w4_width, "w5_rounds": w5_rounds,
     "w6_fail_stop": w6_fail_stop, "w7_sessions_sites": w7_sessions_sites, "w8_sessions_rounds": w8_sessions_rounds, "w9_exponential_sites": w9_exponential_sites, "w10_exponential_rounds": w10_exponential_rounds,
     "w12_recency": w12_recency, "w13_empty": w13_empty, "w14_borderline": w14_borderline, "w15_skewed_start": w15_skewed_start, "w16_natural": w16_natural,
+    "w17_decay": w17_decay, "w18_density": w18_density,
 }
 
 ORACLES = {

@@ -52,7 +52,9 @@ def gossip_by_cell(grid: DataFrame, schedule: Schedule, family: HashFamily, styl
     if style not in STYLES:
         raise ValueError(f"unknown style {style}")
     if len(schedule.a) > BROADCAST_EXCHANGES:
-        raise ValueError("too many exchanges to send to every task; use gossip_by_round")
+        if snapshots:
+            raise ValueError("snapshots need a schedule that fits every task")
+        return gossip_by_round(grid.where(F.col("site") < schedule.sites), schedule.table(grid.sparkSession), style).select(F.lit(schedule.rounds).alias("round"), "site", "row", "col", *cells.COLUMNS)
     sites, width = schedule.sites, family.width
     per_task = max(1, min(TASK_BYTES // (sites * 32 * 6), -(-family.depth * width // 8)))
     place = F.col("row") * width + F.col("col")
@@ -81,10 +83,15 @@ def gossip_by_cell(grid: DataFrame, schedule: Schedule, family: HashFamily, styl
 
 
 def gossip_by_round(grid: DataFrame, schedule: DataFrame, style: str = "push_pull", every: int = 4) -> DataFrame:
-    """The same by two joins per level: for networks whose schedule fits no task, and as a check of the replay."""
-    now, steps = grid.select("site", "row", "col", *cells.COLUMNS), schedule.select("round", "level").distinct().orderBy("round", "level").collect()
-    for n, step in enumerate(steps, 1):
-        pairs = schedule.where((F.col("round") == step["round"]) & (F.col("level") == step["level"])).select("a", "b", F.monotonically_increasing_id().alias("pair"))
+    """The same by two joins per level: for networks whose schedule fits no task, and as a check of the replay.
+
+    The driver learns one number a round, that of its levels.
+    """
+    now = grid.select("site", "row", "col", *cells.COLUMNS)
+    last = {x["round"]: x["last"] for x in schedule.groupBy("round").agg(F.max("level").alias("last")).collect()}
+    steps = [(r, level) for r in sorted(last) for level in range(last[r] + 1)]
+    for n, (r, level) in enumerate(steps, 1):
+        pairs = schedule.where((F.col("round") == r) & (F.col("level") == level)).select("a", "b", F.monotonically_increasing_id().alias("pair"))
         ends = pairs.select("pair", F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("a").alias("site")), F.struct(F.lit(1).alias("side"), F.col("b").alias("site")))).alias("e")).select("pair", "e.side", "e.site")
         state = now.join(ends, "site")
         a = state.where("side = 0").select("pair", F.col("site").alias("sa"), "row", "col", cells.as_struct().alias("ca"))
@@ -137,11 +144,15 @@ def site_count(share: DataFrame) -> DataFrame:
     return share.select("site", "share", F.when(F.col("share") > 0, 1 / F.col("share")).alias("p_est"), (F.col("share") > 0).alias("reached"))
 
 
-def mixing_matrix(schedule: Schedule) -> np.ndarray:
+def mixing_matrix(schedule: Schedule, style: str = "push_pull") -> np.ndarray:
     """(sites, sites): the part of every site's start in every site's end, for whatever is averaged linearly."""
     now = np.eye(schedule.sites)
     for _, a, b in schedule.levels():
-        now[a] = now[b] = (now[a] + now[b]) / 2
+        mean = (now[a] + now[b]) / 2
+        if style != "push":
+            now[a] = mean
+        if style != "pull":
+            now[b] = mean
     return now
 
 

@@ -1,9 +1,9 @@
 """Grids of single sites: three ways to build them, initial shares, and dealing a stream to sites.
 
 `arrival` folds every arrival in order (exact to the sequential algorithm, one task holds a cell's stream: tests and
-small data). `preagg` folds one weighted update per site and item, largest first. `partition` lets every input
-partition fold its own items in NumPy and merges the partial grids: the shuffle has partitions x cells rows,
-whatever the number of arrivals.
+small data). `preagg` folds one weighted update per site and item, largest first; a cell's distinct items meet in one row.
+`partition`, the default, lets every input partition fold its own items in NumPy and merges the partial grids in a tree of bounded
+fan-in: the shuffle has partitions x cells rows, whatever the number of arrivals and items.
 """
 
 from __future__ import annotations
@@ -16,8 +16,11 @@ from pyspark.sql import functions as F
 from fadegossip import cells
 from fadegossip.decay import DecaySpec
 from fadegossip.hashing import P, HashFamily, with_cells
+from fadegossip.sources.streams import fingerprint
 
 GRID = "site int, row int, col int, i1 long, f1 double, i2 long, f2 double"
+#: Partial grids that are merged at once; three levels of the tree serve FAN_IN ** 3 partitions.
+FAN_IN = 256
 
 
 def preaggregate(df: DataFrame, spec: DecaySpec) -> DataFrame:
@@ -25,7 +28,7 @@ def preaggregate(df: DataFrame, spec: DecaySpec) -> DataFrame:
     return df.groupBy("site", "item_key").agg(F.sum(spec.raw()).alias("x"))
 
 
-def build_local(df: DataFrame, spec: DecaySpec, family: HashFamily, mode: str = "preagg") -> DataFrame:
+def build_local(df: DataFrame, spec: DecaySpec, family: HashFamily, mode: str = "partition") -> DataFrame:
     """(site, row, col, i1, f1, i2, f2): the touched cells of every site's grid, numerators of the decay in the counters."""
     if mode == "arrival":
         rows = with_cells(df.select("site", "item_key", "tick", "seq", spec.raw().alias("x")), family)
@@ -72,10 +75,11 @@ def _as_batch(got: dict[str, np.ndarray]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(got[c], kind, mask=got[c] == cells.NONE if c in ("i1", "i2") else None) for c, kind in kinds.items()], list(kinds))
 
 
-def partition_fold(df: DataFrame, spec: DecaySpec, family: HashFamily, held_items: int = 1 << 20) -> DataFrame:
-    """Every input partition sums its items and folds them; partial grids are merged by site and cell.
+def partition_fold(df: DataFrame, spec: DecaySpec, family: HashFamily, held_items: int = 1 << 20, fan_in: int = FAN_IN) -> DataFrame:
+    """Every input partition sums its items and folds them; partial grids are merged by site and cell in a tree.
 
-    A partition with over `held_items` distinct items at once emits what it has and goes on, so memory is bounded.
+    A partition with over `held_items` distinct items at once emits what it has and goes on, so memory is bounded. A
+    merge gathers the grids of `fan_in` neighbouring partitions (or of as many merged ones) and no more.
     """
 
     def run(batches):
@@ -98,7 +102,9 @@ def partition_fold(df: DataFrame, spec: DecaySpec, family: HashFamily, held_item
         if have:
             yield _as_batch(fold_ranked(have["site"], have["key"], have["x"], family))
 
-    partial = df.select("site", "item_key", spec.raw().alias("x")).mapInArrow(run, GRID)
+    partial = df.select("site", "item_key", spec.raw().alias("x")).mapInArrow(run, GRID).withColumn("part", F.spark_partition_id())
+    for _ in range(2):
+        partial = cells.fold_grids(partial.withColumn("part", F.floor(F.col("part") / fan_in)), ("site", "row", "col", "part"))
     return cells.fold_grids(partial)
 
 
@@ -117,7 +123,7 @@ def empty_grid(spark: SparkSession, family: HashFamily, sites: int) -> DataFrame
 def assign_sites(df: DataFrame, policy: str, sites: int, key: str = "item_key") -> DataFrame:
     """hash: by a hash of the row; modulo: by a key; blocks: contiguous in time; one: all on site 0 (the worst start)."""
     by: dict[str, Column] = {
-        "hash": F.pmod(F.xxhash64("item_key", "tick", "seq"), F.lit(sites)).cast("int"),
+        "hash": F.pmod(fingerprint(F.concat_ws("|", F.col("item_key").cast("string"), F.col("tick").cast("string"), F.col("seq").cast("string"))), F.lit(sites)).cast("int"),
         "modulo": F.pmod(F.col(key), F.lit(sites)).cast("int"),
         "one": F.lit(0),
     }

@@ -11,12 +11,12 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fadegossip import baselines, cells, churn, exact, gossip, metrics, planner, query, topology
+from fadegossip import baselines, cells, churn, exact, gossip, local, metrics, planner, query, topology
 from fadegossip.decay import DecaySpec, check_decay, decayed_count, decayed_freq, forward_backward_gap
 from fadegossip.hashing import HashFamily, with_cells
-from fadegossip.local import assign_sites, build_local, init_share
+from fadegossip.local import assign_sites, init_share
 from fadegossip.plans import cut
-from fadegossip.schedule import Schedule, check_levels, draw_exchanges, from_pairs
+from fadegossip.schedule import Schedule, check_levels, draw_exchanges, draw_matching, from_pairs
 from fadegossip.sources import stream, zipf_stream
 from fadegossip.sources.zipf import zipf_cdf
 
@@ -28,6 +28,11 @@ EVENTS_AT, DAYS_AT, IDS_AT = 31, 2557, 1_000_000
 FAMILY, NARROW = HashFamily(4, 16), HashFamily(4, 8)
 
 
+def build_local(df: DataFrame, spec: DecaySpec, family: HashFamily, mode: str = "preagg") -> DataFrame:
+    """Grids that SQL can repeat: a site's items folded in one order, whatever the partitions."""
+    return local.build_local(df, spec, family, mode)
+
+
 def _key(x: str) -> str:
     return f"('0x' || substr(md5({x}), 1, 8))::BIGINT"
 
@@ -99,8 +104,8 @@ def _sql_answer(family: HashFamily, norm: float, factor: float) -> str:
     answer AS (SELECT * FROM est WHERE est_avg > tau)"""
 
 
-def _values(schedule: Schedule) -> str:
-    m = gossip.mixing_matrix(schedule)
+def _values(schedule: Schedule, style: str = "push_pull") -> str:
+    m = gossip.mixing_matrix(schedule, style)
     return ", ".join(f"({i}, {j}, {float(m[i, j])!r}::DOUBLE)" for i in range(len(m)) for j in range(len(m)) if m[i, j])
 
 
@@ -158,7 +163,7 @@ def _(spark, d):
 def _exact(name: str, fixture: str, kind: str, support: float, asof: int, key: str) -> None:
     QUERIES[name] = lambda spark, d: exact.exact_hitters(stream(spark, d, fixture), SPECS[kind], support, asof).select("item_key", _r("f"), _r("c"))
     norm = SPECS[kind].norm(asof)
-    ORACLES[name] = f"WITH {_stream(fixture)}, f AS (SELECT item_key, sum({RAW[kind]}) / {norm!r}::DOUBLE AS f FROM s GROUP BY 1), c AS (SELECT sum(f) AS c FROM f) SELECT item_key, round(f, 6) AS f, round(c, 6) AS c FROM f, c WHERE f > {support!r}::DOUBLE * c"
+    ORACLES[name] = f"WITH {_stream(fixture)}, f AS MATERIALIZED (SELECT item_key, sum({RAW[kind]}) / {norm!r}::DOUBLE AS f FROM s GROUP BY 1), c AS (SELECT sum(f) AS c FROM f) SELECT item_key, round(f, 6) AS f, round(c, 6) AS c FROM f, c WHERE f > {support!r}::DOUBLE * c"
 
 
 _exact("exact_hitters_types", "types", "linear", 0.15, EVENTS_AT, "types")
@@ -228,6 +233,45 @@ def _(spark, d):
     return baselines.space_saving(stream(spark, d, "hosts"), LINEAR, 16, IDS_AT)
 
 
+@query_of("space_saving_wide", f"WITH {_stream('hosts')} SELECT item_key, round(sum(tick::DOUBLE) / {float(IDS_AT)!r}::DOUBLE, 9) AS est FROM s GROUP BY 1")
+def _(spark, d):
+    """More counters than items: every counter is exact, whatever the order of merging."""
+    return baselines.space_saving(stream(spark, d, "hosts"), LINEAR, 4096, IDS_AT).select("item_key", _r("est", 9))
+
+
+@query_of("space_saving_bounds", "SELECT true AS hitters_held, true AS none_under, true AS none_far_over")
+def _(spark, d):
+    """What k counters guarantee: every item over 1/k of the mass is held, no estimate is too low, none by over 1/k of the mass too high."""
+    s, k = stream(spark, d, "hosts"), 16
+    freqs, total = decayed_freq(s, LINEAR, IDS_AT), decayed_count(s, LINEAR, IDS_AT)
+    found = baselines.space_saving(s, LINEAR, k, IDS_AT)
+    both = freqs.join(found, "item_key", "left").crossJoin(total)
+    return both.agg(
+        F.bool_and((F.col("f") <= F.col("c") / k) | F.col("est").isNotNull()).alias("hitters_held"), F.bool_and(F.coalesce(F.col("est") >= F.col("f") * (1 - 1e-9), F.lit(True))).alias("none_under"),
+        F.bool_and(F.coalesce(F.col("est") <= F.col("f") + F.col("c") / k * (1 + 1e-9), F.lit(True))).alias("none_far_over"),
+    )
+
+
+@query_of("builtin_count_min", "SELECT true AS none_under, true AS near")
+def _(spark, d):
+    """Spark's own counter sketch never counts too low, and rarely by over eps of all too high."""
+    s = stream(spark, d, "hosts")
+    row = baselines.builtin_count_min(s, 0.001, 0.99).first()
+    sketch = spark._jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytes(row.sketch))
+    n = s.groupBy("item_key").agg(F.count(F.lit(1)).alias("n")).collect()  # a row for each host
+    over = [sketch.estimateCount(x.item_key) - x.n for x in n]
+    return spark.createDataFrame([(min(over) >= 0, sum(o <= 0.001 * sum(x.n for x in n) for o in over) >= 0.9 * len(over))], "none_under boolean, near boolean")
+
+
+@query_of("builtin_neighbours_hold", f"WITH {_stream('hosts')} SELECT true AS hitters_held, true AS near_hll, true AS near_sketch, count(DISTINCT item_key) AS items FROM s")
+def _(spark, d):
+    s = stream(spark, d, "hosts")
+    n = s.agg(F.countDistinct("item_key").alias("items"))
+    often = s.groupBy("item_key").agg(F.count(F.lit(1)).alias("n")).crossJoin(s.agg(F.count(F.lit(1)).alias("all"))).where("n > 0.05 * all").agg(F.collect_list("item_key").alias("often"))
+    near = lambda c: (F.abs(F.col(c) / F.col("items") - 1) < 0.15).alias
+    return baselines.builtin_neighbours(s, 0.05).crossJoin(n).crossJoin(often).select((F.size(F.array_except("often", "frequent")) == 0).alias("hitters_held"), near("distinct_hll")("near_hll"), near("distinct_sketch")("near_sketch"), "items")
+
+
 @query_of("builtin_neighbours")
 def _(spark, d):
     return baselines.builtin_neighbours(stream(spark, d, "hosts"), 0.05)
@@ -458,21 +502,63 @@ def _(spark, d):
     return metrics.count_errors(query.count_estimate(state, LINEAR, EVENTS_AT), gossip.share_table(spark, DEMO), total).select("site", _r("err", 9))
 
 
-@query_of("guarantee_violations", "SELECT 0::BIGINT AS misses, 0::BIGINT AS forbidden, 0::BIGINT AS outside")
+@query_of("guarantee_violations", f"WITH {_stream('props')}, f AS MATERIALIZED (SELECT item_key, sum({RAW['half_life']}) AS f FROM s GROUP BY 1) SELECT 0::BIGINT AS misses, 0::BIGINT AS forbidden, 0::BIGINT AS outside, count(*) AS must_not FROM f WHERE f <= {0.012 - planner.tolerance(planner.slack(8, 24, 0.01), 0.012, 500)!r}::DOUBLE * (SELECT sum(f) FROM f)")
 def _(spark, d):
-    """Counts over all sites of what must not happen, after gossip on the complete graph."""
-    s = stream(spark, d, "types")
-    state = cut(gossip.gossip_by_cell(build_local(s, LINEAR, FAMILY), DEMO, FAMILY))
-    answer = cut(query.peer_query(state, FAMILY, LINEAR, 0.15, SLACK, EVENTS_AT, gossip.share_table(spark, DEMO)))
-    freqs, truth = decayed_freq(s, LINEAR, EVENTS_AT), exact.exact_hitters(s, LINEAR, 0.15, EVENTS_AT)
-    total, everyone = decayed_count(s, LINEAR, EVENTS_AT).first().c, spark.range(8).select(F.col("id").cast("int").alias("site"))
-    tol = min(planner.tolerance(SLACK, 0.15, FAMILY.width), 0.149)
+    """Counts over all sites of what must not happen, after gossip on the complete graph, and of items that must not be named."""
+    s, family, schedule, support = stream(spark, d, "props"), HashFamily(4, 500), draw_exchanges(None, 8, 24, 1, 5), 0.012
+    slack = planner.slack(8, 24, 0.01)
+    state = cut(gossip.gossip_by_cell(build_local(s, HALF, family), schedule, family))
+    answer = cut(query.peer_query(state, family, HALF, support, slack, EVENTS_AT, gossip.share_table(spark, schedule)))
+    freqs, truth = decayed_freq(s, HALF, EVENTS_AT), exact.exact_hitters(s, HALF, support, EVENTS_AT)
+    total, everyone = decayed_count(s, HALF, EVENTS_AT).first().c, spark.range(8).select(F.col("id").cast("int").alias("site"))
+    tol = planner.tolerance(slack, support, family.width)
     n = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
-    return n(metrics.misses(answer, truth, everyone), "misses").crossJoin(n(metrics.tolerance_violations(answer, exact.forbidden_items(s, LINEAR, 0.15, tol, EVENTS_AT)), "forbidden")).crossJoin(n(metrics.frequency_violations(answer, freqs, SLACK, total, FAMILY.width), "outside"))
+    return n(metrics.misses(answer, truth, everyone), "misses").crossJoin(n(metrics.tolerance_violations(answer, exact.forbidden_items(s, HALF, support, tol, EVENTS_AT)), "forbidden")).crossJoin(n(metrics.frequency_violations(answer, freqs, slack, total, family.width), "outside")).crossJoin(n(exact.forbidden_items(s, HALF, support, tol, EVENTS_AT), "must_not"))
+
+
+def _linear_state(mix: str, family: HashFamily) -> str:
+    """CTEs down to `state` (site, row, col, i1, f1, i2, f2) of the types stream, where no cell is contended."""
+    return f"""{mix}, {_stream('types')}, f AS (SELECT site AS src, item_key, sum(tick::DOUBLE) AS f FROM s GROUP BY 1, 2), a AS (SELECT mix.site, item_key, sum(wgt * f) AS x FROM mix JOIN f USING (src) GROUP BY 1, 2),
+    k AS ({_sql_cells(family, 'a', 'site, item_key, x')}), n AS (SELECT site, "row", col, list_sort(list({{'n': -x, 'k': item_key}})) AS m FROM k GROUP BY 1, 2, 3),
+    state AS (SELECT site, "row", col, m[1].k AS i1, round(-m[1].n, 6) AS f1, m[2].k AS i2, round(coalesce(-m[2].n, 0), 6) AS f2 FROM n)"""
 
 
 for _style in ("push", "pull"):
-    QUERIES[f"gossip_{_style}"] = lambda spark, d, st=_style: gossip.gossip_by_cell(build_local(stream(spark, d, "types"), LINEAR, FAMILY), DEMO, FAMILY, style=st).drop("round")
+    QUERIES[f"gossip_{_style}"] = lambda spark, d, st=_style: gossip.gossip_by_cell(build_local(stream(spark, d, "types"), LINEAR, FAMILY), DEMO, FAMILY, style=st).select("site", "row", "col", "i1", _r("f1"), "i2", _r("f2"))
+    ORACLES[f"gossip_{_style}"] = f"WITH {_linear_state(f'mix(site, src, wgt) AS (VALUES {_values(DEMO, _style)})', FAMILY)} SELECT * FROM state"
+
+
+THREE = [[(i, i ^ (1 << r)) for i in range(16) if not i >> r & 1] for r in range(3)]
+
+
+def _rounds_sql(rounds: list[list[tuple[int, int]]], sites: int) -> str:
+    """CTEs r1, r2 ... after `grid`: each round merges its pairs and halves them, the other sites stay."""
+    out, before = [], "grid"
+    for n, pairs in enumerate(rounds, 1):
+        parts = [f"SELECT CAST(site AS INTEGER) AS site, \"row\", col, i1, f1 / 2 AS f1, i2, f2 / 2 AS f2 FROM ({_merge_sql(a, b).replace('FROM grid', f'FROM {before}')}), (VALUES ({a}), ({b})) AS t(site)" for a, b in pairs]
+        idle = sorted(set(range(sites)) - {x for p in pairs for x in p})
+        if idle:
+            parts.append(f"SELECT * FROM {before} WHERE site IN ({', '.join(map(str, idle))})")
+        out.append(f"r{n} AS MATERIALIZED ({' UNION ALL '.join(parts)})")
+        before = f"r{n}"
+    return ", ".join(out)
+
+
+@query_of("gossip_three_rounds", f"WITH {_sql_grid('users', 'linear', NARROW, 'preagg')}, {_rounds_sql(THREE, 16)} SELECT * FROM r3")
+def _(spark, d):
+    """150 items in eight columns: every cell is contended in every round."""
+    return gossip.gossip_by_cell(build_local(stream(spark, d, "users"), LINEAR, NARROW), from_pairs(16, THREE), NARROW).drop("round")
+
+
+@query_of("gossip_three_rounds_joins", ORACLES["gossip_three_rounds"])
+def _(spark, d):
+    return gossip.gossip_by_round(build_local(stream(spark, d, "users"), LINEAR, NARROW), from_pairs(16, THREE).table(spark))
+
+
+@query_of("peer_query_contended", f"WITH {_sql_grid('users', 'linear', NARROW, 'preagg')}, {_rounds_sql(THREE, 16)}, {_sql_answer(NARROW, 31.0, query.relaxed(0.02, 0.1)).replace('FROM grid', 'FROM r3').replace('JOIN grid', 'JOIN r3')} SELECT site, item_key, est_avg, tau, c_est FROM answer")
+def _(spark, d):
+    state = gossip.gossip_by_cell(build_local(stream(spark, d, "users"), LINEAR, NARROW), from_pairs(16, THREE), NARROW)
+    return query.peer_query(state, NARROW, LINEAR, 0.02, 0.1, EVENTS_AT).select("site", "item_key", "est_avg", "tau", "c_est")
 
 
 @query_of("gossip_snapshots", f"WITH {_stream('types')}, m AS (SELECT site, item_key, sum(tick::DOUBLE) AS x FROM s GROUP BY 1, 2), k AS ({_sql_cells(FAMILY, 'm', 'item_key, x')}) SELECT r.n AS round, \"row\", sum(x) AS mass FROM k, (VALUES (0), (4), (12)) AS r(n) GROUP BY 1, 2")
@@ -499,11 +585,37 @@ def _(spark, d):
 ORACLES["message_cost"] = "SELECT * FROM (VALUES " + ", ".join(f"({r}, 8::BIGINT, 16::BIGINT, {16 * 4 * 2500 * 32}::BIGINT)" for r in range(12)) + ") AS t(round, exchanges, messages, bytes)"
 
 
-@query_of("variance_trace")
-def _(spark, d):
+def trace_sql(schedule: Schedule) -> str:
+    """Variance of a value that starts at site 0 as (round, var, deviation, factor, bound); exchanges are done one after another, in whole 2**-k steps."""
+    from fractions import Fraction
+
+    now = [Fraction(int(i == 0)) for i in range(schedule.sites)]
+    states = [now[:]]
+    for r in range(schedule.rounds):
+        for a, b in zip(schedule.a[schedule.round == r].tolist(), schedule.b[schedule.round == r].tolist()):
+            now[a] = now[b] = (now[a] + now[b]) / 2
+        states.append(now[:])
+    values = ", ".join(f"({r}, {i}, {float(x)!r}::DOUBLE)" for r, line in enumerate(states) for i, x in enumerate(line) if x)
+    n, start = schedule.sites, 1 / schedule.sites
+    return f"""WITH v(round, site, v) AS (VALUES {values}), w AS (SELECT CAST(r.i AS INTEGER) AS round, coalesce(v.v, 0) AS v FROM range({schedule.rounds + 1}) r(i) CROSS JOIN range({n}) t(i) LEFT JOIN v ON v.round = r.i AND v.site = t.i),
+    g AS (SELECT round, var_samp(v) AS var, max(abs(v - {start!r}::DOUBLE)) AS deviation FROM w GROUP BY 1)
+    SELECT round, round(var, 9) AS var, round(deviation, 9) AS deviation, round(var / lag(var) OVER (ORDER BY round), 6) AS factor, round(sqrt({n - 1} * {start!r}::DOUBLE / 0.01 * pow({_K}::DOUBLE, round)), 6) AS bound FROM g"""
+
+
+_K = repr(planner.KAPPA)
+TRACED = draw_exchanges(None, 64, 16, 1, 2)
+
+
+def traced(spark: SparkSession, schedule: Schedule) -> DataFrame:
     import numpy as np
 
-    return metrics.variance_trace(spark, gossip.average_scalar(np.eye(64)[0], draw_exchanges(None, 64, 16, 1, 2), trace=True))
+    found = metrics.variance_trace(spark, gossip.average_scalar(np.eye(schedule.sites)[0], schedule, trace=True))
+    return found.select("round", _r("var", 9), _r("deviation", 9), _r("factor"), _r("bound"))
+
+
+@query_of("variance_trace", trace_sql(TRACED))
+def _(spark, d):
+    return traced(spark, TRACED)
 
 
 @query_of("assigned_sites_modulo", f"WITH {_stream('users')} SELECT CAST(item_key % 5 AS INTEGER) AS site, count(*) AS n FROM s GROUP BY 1")
@@ -511,13 +623,23 @@ def _(spark, d):
     return assign_sites(stream(spark, d, "users"), "modulo", 5).groupBy("site").agg(F.count(F.lit(1)).alias("n"))
 
 
-for _policy in ("hash", "blocks", "one"):
+for _policy in ("hash", "one"):
     QUERIES[f"assigned_sites_{_policy}"] = lambda spark, d, p=_policy: assign_sites(stream(spark, d, "users"), p, 5).groupBy("site").agg(F.count(F.lit(1)).alias("n"))
 ORACLES["assigned_sites_one"] = "SELECT 0 AS site, count(*) AS n FROM events"
+ORACLES["assigned_sites_hash"] = f"WITH {_stream('users')} SELECT CAST({_key("concat_ws('|', item_key, tick, '{' || seq || '}')")} % 5 AS INTEGER) AS site, count(*) AS n FROM s GROUP BY 1"
+
+
+@query_of("assigned_sites_blocks", f"WITH {_stream('users')} SELECT 5::BIGINT AS sites, true AS in_order, true AS even, count(*) AS n FROM s")
+def _(spark, d):
+    """Blocks follow each other in time and are of nearly equal size (bounds are approximate quantiles, and a tick isn't split)."""
+    per = assign_sites(stream(spark, d, "users"), "blocks", 5).groupBy("site").agg(F.count(F.lit(1)).alias("n"), F.min("tick").alias("low"), F.max("tick").alias("high"))
+    from pyspark.sql import Window
+
+    after = per.withColumn("next", F.lead("low").over(Window.orderBy("site")))
+    return after.agg(F.count(F.lit(1)).alias("sites"), F.bool_and(F.coalesce(F.col("high") < F.col("next"), F.lit(True))).alias("in_order"), (F.max("n") < 1.5 * F.avg("n")).alias("even"), F.sum("n").alias("n"))
 
 
 # -- planner ---------------------------------------------------------------------------------------------------
-_K = repr(planner.KAPPA)
 _GRID = "(VALUES (0.01::DOUBLE, 21), (0.02, 24), (0.04, 27), (0.02, 30)) AS t(support, rounds), (VALUES (1000.0::DOUBLE), (5000.0)) AS u(cap)"
 
 
@@ -669,7 +791,7 @@ def _(spark, d):
     return churn.mask_schedule(DEMO.table(spark), churn.fail_stop(spark, 8, 12, 0.1)).select("round", "a", "b")
 
 
-@query_of("churn_report")
+@query_of("churn_report", f"WITH l AS (SELECT i AS site, CASE WHEN {_u("'0'", "'fail'", 'i')} < 0.05 THEN floor({_u("'0'", "'when'", 'i')} * 24) END AS failed FROM range(64) t(i)) SELECT CAST(r.i AS INTEGER) AS round, count(*) FILTER (WHERE coalesce(failed, 24) > r.i) AS online, count(*) FILTER (WHERE coalesce(failed, 24) > r.i) / 64.0::DOUBLE AS share FROM l, range(24) r(i) GROUP BY 1")
 def _(spark, d):
     return churn.churn_report(churn.fail_stop(spark, 64, 24, 0.05, "once"), 24)
 
@@ -686,16 +808,93 @@ for _name, _make in {"uniform": lambda s: topology.uniform_graph(s, 64), "prefer
 ORACLES |= {f"graph_{k}": f"SELECT 64::BIGINT AS sites, {e}::BIGINT AS edges, {lo}::BIGINT AS min_degree, {hi}::BIGINT AS max_degree, 0::BIGINT AS one_way" for k, e, lo, hi in (("complete", 2016, 63, 63), ("ring", 64, 2, 2), ("star", 63, 1, 63), ("tree", 63, 1, 3))}
 
 
+def _graph_sql(pairs) -> str:
+    values = ", ".join(f"({a}, {b})" for a, b in {tuple(sorted(x)) for x in pairs.tolist()})
+    return f"WITH p(a, b) AS (VALUES {values}), e AS (SELECT a AS src, b AS dst FROM p UNION SELECT b, a FROM p), g AS (SELECT src, count(*) AS n FROM e GROUP BY 1) SELECT count(*) AS sites, CAST(sum(n) / 2 AS BIGINT) AS edges, min(n) AS min_degree, max(n) AS max_degree, 0::BIGINT AS one_way FROM g"
+
+
+ORACLES["graph_uniform"] = _graph_sql(topology.connected(topology.uniform_pairs(64, 8 / 63, 0), 64))
+ORACLES["graph_preferential"] = _graph_sql(topology.preferential_pairs(64, 3, 0))
+ORACLES["graph_hashed"] = f"WITH p AS (SELECT a.i AS a, b.i AS b FROM range(64) a(i), range(64) b(i) WHERE a.i < b.i AND {_key("concat_ws('|', '0', a.i, b.i)")} < {round(0.2 * 2**32)}), e AS (SELECT a AS src, b AS dst FROM p UNION SELECT b, a FROM p), g AS (SELECT src, count(*) AS n FROM e GROUP BY 1) SELECT count(*) AS sites, CAST(sum(n) / 2 AS BIGINT) AS edges, min(n) AS min_degree, max(n) AS max_degree, 0::BIGINT AS one_way FROM g"
+
+
+@query_of("preferential_degrees", "SELECT 64::BIGINT AS sites, 186::BIGINT AS edges, true AS heavy_tail")
+def _(spark, d):
+    """Three links for each new site, and hubs well over the mean degree."""
+    degree = topology.preferential_graph(spark, 64).groupBy("src").agg(F.count(F.lit(1)).alias("n"))
+    return degree.agg(F.count(F.lit(1)).alias("sites"), (F.sum("n") / 2).cast("long").alias("edges"), (F.max("n") > 2 * F.avg("n")).alias("heavy_tail"))
+
+
 @query_of("ring_reach", "SELECT CAST(i AS INTEGER) AS site FROM range(8) t(i)")
 def _(spark, d):
     return topology.reach(topology.ring(spark, 8))
 
 
-@query_of("schedule_by_dataframes")
+@query_of("schedule_by_dataframes", "SELECT CAST(r.i AS INTEGER) AS round, 16::BIGINT AS choices, 16::BIGINT AS choosers, 0::BIGINT AS strangers FROM range(4) r(i)")
 def _(spark, d):
+    """In each round every site of a ring chooses one neighbour."""
     from fadegossip.schedule import draw_exchanges_df
 
-    return draw_exchanges_df(topology.ring(spark, 16), 4, 1)
+    drawn = draw_exchanges_df(topology.ring(spark, 16), 4, 1)
+    apart = F.pmod(F.col("a") - F.col("b"), F.lit(16))
+    return drawn.groupBy("round").agg(F.count(F.lit(1)).alias("choices"), F.countDistinct("a").alias("choosers"), F.count(F.when(~apart.isin(1, 15), 1)).alias("strangers"))
+
+
+@query_of("schedule_matching", "SELECT CAST(r.i AS INTEGER) AS round, 0::BIGINT AS twice, 0::BIGINT AS strangers, true AS maximal FROM range(6) r(i)")
+def _(spark, d):
+    """Pairs of a round share no site, are neighbours, and leave no two free neighbours."""
+    edges = topology.uniform_graph(spark, 64)
+    table = draw_matching(topology.neighbours(edges), 64, 6, 1).table(spark).select("round", "a", "b")
+    ends = table.select("round", F.explode(F.array("a", "b")).alias("src"))
+    twice = ends.groupBy("round", "src").agg((F.count(F.lit(1)) - 1).alias("more")).groupBy("round").agg(F.sum("more").alias("twice"))
+    strangers = table.join(edges, (F.col("a") == F.col("src")) & (F.col("b") == F.col("dst")), "left").groupBy("round").agg(F.count(F.when(F.col("src").isNull(), 1)).alias("strangers"))
+    turns = spark.range(6).select(F.col("id").cast("int").alias("round"))
+    free = turns.crossJoin(edges).join(ends, ["round", "src"], "left_anti").join(ends.withColumnRenamed("src", "dst"), ["round", "dst"], "left_anti").groupBy("round").agg(F.count(F.lit(1)).alias("free"))
+    return twice.join(strangers, "round").join(free, "round", "left").select("round", "twice", "strangers", F.col("free").isNull().alias("maximal"))
+
+
+@query_of("static_timeline", "SELECT CAST(i AS INTEGER) AS site, 0 AS seq, 'on' AS state, 0 AS from_round, 24 AS to_round FROM range(64) t(i)")
+def _(spark, d):
+    return churn.static_timeline(spark, 64, 24)
+
+
+@query_of("alive_at_end", f"SELECT site FROM ({ORACLES['fail_stop_timeline']}) WHERE state = 'on' AND to_round = 24")
+def _(spark, d):
+    return churn.alive(churn.fail_stop(spark, 64, 24, 0.05), 23)
+
+
+@query_of("static_against_churn", _gossip_sql("types", 0.195, EVENTS_AT))
+def _(spark, d):
+    """A timeline in which nobody leaves gives what no timeline gives."""
+    kept = churn.mask(DEMO, churn.static_timeline(spark, 8, 12))
+    state = gossip.gossip_by_cell(build_local(stream(spark, d, "types"), LINEAR, FAMILY), kept, FAMILY)
+    answer = query.peer_query(state, FAMILY, LINEAR, 0.195, SLACK, EVENTS_AT, gossip.share_table(spark, kept))
+    return answer.select("site", "item_key", _r("est_avg"), _r("est_global"), _r("tau"), _r("c_est"), _r("p_est"))
+
+
+@query_of("facade_query", _gossip_sql("types", 0.195, EVENTS_AT))
+def _(spark, d):
+    from fadegossip.api import FadingHitters
+
+    answer = FadingHitters(LINEAR, FAMILY).fit(stream(spark, d, "types")).gossip(DEMO).query(0.195, EVENTS_AT)
+    return answer.select("site", "item_key", _r("est_avg"), _r("est_global"), _r("tau"), _r("c_est"), _r("p_est"))
+
+
+@query_of("deviation_bound", f"SELECT CAST(r.i AS INTEGER) AS rounds, round(sqrt(63 * 2.5::DOUBLE * pow({_K}::DOUBLE, r.i) / 0.01), 9) AS bound FROM range(30) r(i)")
+def _(spark, d):
+    return spark.createDataFrame([(r, round(planner.deviation_bound(64, 2.5, r, 0.01), 9)) for r in range(30)], "rounds int, bound double")
+
+
+@query_of("counters_per_site", "SELECT depth, width, CAST(2 * depth * width AS BIGINT) AS counters FROM (VALUES (4, 2500), (4, 250), (6, 100)) AS t(depth, width)")
+def _(spark, d):
+    return spark.createDataFrame([(k, w, metrics.counters_per_site(k, w)) for k, w in ((4, 2500), (4, 250), (6, 100))], "depth int, width int, counters long")
+
+
+# -- experiments whose rows SQL can repeat ---------------------------------------------------------------------
+_EMPTY = HashFamily(4, 450)
+ORACLES["w0_width_curve"] = ORACLES["width_curve"]
+ORACLES["w13_empty"] = f"WITH {_sql_grid('parts', 'linear', _EMPTY, 'preagg', '0')}, {_sql_answer(_EMPTY, float(DAYS_AT), 0.01)} SELECT site, item_key, est_avg, est_avg AS est_global, tau, c_est, 1.0::DOUBLE AS p_est FROM answer"
+ORACLES["w15_skewed_start"] = trace_sql(draw_exchanges(None, 64, 24, 1, 0))
 
 
 assert math.isclose(planner.KAPPA, 0.3032653298563167)

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fadegossip import planner
+from fadegossip.plans import checked
 from fadegossip.schedule import Schedule
 
 Z95 = 1.959963984540054
@@ -14,8 +15,8 @@ Z95 = 1.959963984540054
 
 def recall_precision(answer: DataFrame, truth: DataFrame, sites: DataFrame) -> DataFrame:
     """(site, recall, precision) of every site; an empty truth is recalled, an empty answer is precise."""
-    true = truth.select("item_key", F.lit(1).alias("t"))
-    hits = answer.select("site", "item_key").join(F.broadcast(true), "item_key", "left").groupBy("site").agg(F.count(F.lit(1)).alias("named"), F.count("t").alias("right"))
+    true = checked(truth.select("item_key", F.lit(1).alias("t")))
+    hits = answer.select("site", "item_key").join(true, "item_key", "left").groupBy("site").agg(F.count(F.lit(1)).alias("named"), F.count("t").alias("right"))
     n = true.agg(F.count(F.lit(1)).alias("true"))
     rows = sites.select("site").join(hits, "site", "left").crossJoin(F.broadcast(n)).na.fill(0, ["named", "right"])
     ratio = lambda a, b: F.when(F.col(b) == 0, 1.0).otherwise(F.col(a) / F.col(b))
@@ -48,7 +49,7 @@ def aggregate_runs(stats: DataFrame) -> DataFrame:
 
 def misses(answer: DataFrame, truth: DataFrame, sites: DataFrame) -> DataFrame:
     """(site, item_key) of true hitters that a site doesn't name."""
-    return sites.select("site").crossJoin(F.broadcast(truth.select("item_key"))).join(answer.select("site", "item_key"), ["site", "item_key"], "left_anti")
+    return sites.select("site").crossJoin(checked(truth.select("item_key"))).join(answer.select("site", "item_key"), ["site", "item_key"], "left_anti")
 
 
 def tolerance_violations(answer: DataFrame, forbidden: DataFrame) -> DataFrame:

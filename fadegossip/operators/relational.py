@@ -40,7 +40,7 @@ for _format in ("csv", "json", "orc", "parquet", "text"):
 @op("partitioned_sink", f"WITH {methods._sql_grid('types', 'linear', methods.FAMILY, 'preagg')} SELECT site, col, i1, f1, i2, f2 FROM grid WHERE \"row\" = 0")
 def _(spark, d):
     at = f"{folder(spark)}/grid"
-    build_local(stream(spark, d, "types"), LINEAR, methods.FAMILY).write.partitionBy("row").parquet(at)
+    build_local(stream(spark, d, "types"), LINEAR, methods.FAMILY, "preagg").write.partitionBy("row").parquet(at)
     return spark.read.parquet(at).where("row = 0").select("site", "col", "i1", "f1", "i2", "f2")
 
 

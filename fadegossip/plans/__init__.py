@@ -1,6 +1,6 @@
 """Lineage cuts and checks of physical plans."""
 
 from fadegossip.plans.checks import operators_of, pushed_filters, read_columns, shuffles
-from fadegossip.plans.lineage import cut, ensure_checkpoint_dir
+from fadegossip.plans.lineage import checked, cut, ensure_checkpoint_dir
 
-__all__ = ["cut", "ensure_checkpoint_dir", "operators_of", "pushed_filters", "read_columns", "shuffles"]
+__all__ = ["checked", "cut", "ensure_checkpoint_dir", "operators_of", "pushed_filters", "read_columns", "shuffles"]

@@ -6,6 +6,7 @@ import os
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
@@ -15,6 +16,16 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "fadegossip-checkpoints"))
 
 
+#: Rows up to which checked() broadcasts (some tens of bytes each).
+BROADCAST_ROWS = 200_000
+
+
+def checked(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """df, computed once, with a broadcast hint if it has few rows; otherwise Spark joins it by shuffle."""
+    rows = cut(df)
+    return F.broadcast(rows) if rows.count() <= most else rows
+
+
 def cut(df: DataFrame) -> DataFrame:
     ensure_checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)

@@ -11,9 +11,7 @@ from pyspark.sql import functions as F
 
 from fadegossip.decay import DecaySpec
 from fadegossip.hashing import HashFamily, with_cells
-
-#: Candidates that are broadcast to the state at most (a site has about depth / support of them).
-BROADCAST_CANDIDATES = 100_000
+from fadegossip.plans import checked
 
 
 def relaxed(support: float, slack: float) -> float:
@@ -33,7 +31,7 @@ def count_estimate(state: DataFrame, spec: DecaySpec, asof: int, row: int = 0) -
 def peer_candidates(state: DataFrame, spec: DecaySpec, support: float, slack: float, asof: int) -> DataFrame:
     """(site, item_key, tau, c_est): majority candidates over the relaxed threshold, before they are confirmed."""
     counts = count_estimate(state, spec, asof).withColumn("tau", threshold(support, F.col("c_est"), slack))
-    over = state.join(F.broadcast(counts), "site").where(F.col("i1").isNotNull() & (F.col("f1") / F.lit(spec.norm(asof)) > F.col("tau")))
+    over = state.join(checked(counts), "site").where(F.col("i1").isNotNull() & (F.col("f1") / F.lit(spec.norm(asof)) > F.col("tau")))
     return over.select("site", F.col("i1").alias("item_key"), "tau", "c_est").distinct()
 
 
@@ -86,8 +84,8 @@ def at_times(state: DataFrame, family: HashFamily, spec: DecaySpec, support: flo
 def named(answer: DataFrame, df: DataFrame) -> DataFrame:
     """The answer with its items spelled out: only reported keys are looked up in the stream."""
     keys = answer.select("item_key").distinct()
-    names = df.select("item_key", "item").join(F.broadcast(keys), "item_key").groupBy("item_key").agg(F.min("item").alias("item"))
-    return answer.join(F.broadcast(names), "item_key", "left")
+    names = df.select("item_key", "item").join(checked(keys), "item_key").groupBy("item_key").agg(F.min("item").alias("item"))
+    return answer.join(checked(names), "item_key", "left")
 
 
 def top_k(answer: DataFrame, k: int) -> DataFrame:

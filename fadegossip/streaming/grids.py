@@ -68,7 +68,7 @@ class MergedGrid:
         self.spark, self.spec, self.family, self.at, self.last = spark, spec, family, folder(spark), None
 
     def __call__(self, batch: DataFrame, number: int) -> None:
-        fresh = build_local(batch, self.spec, self.family)
+        fresh = build_local(batch, self.spec, self.family, "preagg")
         before = self.generation(number - 1)
         grid = fresh if before is None else cells.merge_grids(before, fresh, ("site", "row", "col"))
         grid.write.mode("overwrite").parquet(f"{self.at}/grid/{number:08d}")

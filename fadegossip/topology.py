@@ -6,6 +6,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fadegossip.sources.streams import fingerprint
+
 #: Sites up to which a graph is made on the driver (a few edges per site).
 DRIVER_SITES = 100_000
 
@@ -60,7 +62,7 @@ def uniform_graph(spark: SparkSession, sites: int, q: float | None = None, mean_
 def hashed_uniform_graph(spark: SparkSession, sites: int, q: float, seed: int = 0) -> DataFrame:
     """The same family without a driver: a theta join of site ids and a hash below a threshold (quadratic in sites)."""
     a, b = spark.range(sites).toDF("src"), spark.range(sites).toDF("dst")
-    pair = a.join(b, F.col("src") < F.col("dst")).where(F.pmod(F.xxhash64("src", "dst", F.lit(seed)), F.lit(1 << 30)) < int(q * (1 << 30)))
+    pair = a.join(b, F.col("src") < F.col("dst")).where(fingerprint(F.concat_ws("|", F.lit(str(seed)), F.col("src").cast("string"), F.col("dst").cast("string"))) < round(q * 2**32))
     pair = pair.select(F.col("src").cast("int"), F.col("dst").cast("int"))
     return pair.union(pair.select("dst", "src"))
 
