@@ -136,10 +136,6 @@ def chi_square(p: int, tail: float) -> float:
 BINS_PER_OCTAVE = 256
 
 
-def _bin(d2: Column) -> Column:
-    return F.floor(F.log2(F.greatest(d2, F.lit(2.0**-20))) * BINS_PER_OCTAVE).cast("int")
-
-
 def _distance(names: list[str]) -> Column:
     """Squared Mahalanobis distance of the row's statistics from the estimate joined to it (mean, inverse)."""
     p = len(names)
@@ -152,10 +148,6 @@ def _distance(names: list[str]) -> Column:
     return F.greatest(total, F.lit(0.0))
 
 
-def _with(rows: DataFrame, estimates: DataFrame, groups: int) -> DataFrame:
-    return rows.join(F.broadcast(estimates) if groups <= BROADCAST_GROUPS else estimates, "gid")
-
-
 def moments(x: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Weighted mean and scatter."""
     mean = weight @ x / weight.sum()
@@ -209,71 +201,140 @@ def best_starts(x: np.ndarray, n: np.ndarray, floor2: np.ndarray, share: float =
     return found
 
 
-_STATE = "gid string, cand int, mean array<double>, inverse array<double>, scatter array<double>, logdet double, done boolean"
-
-
-def _state_row(gid: str, cand: int, mean: np.ndarray, scatter: np.ndarray, floor2: np.ndarray, before: float) -> dict:
-    """scatter: without the floor."""
-    value, vector = np.linalg.eigh(scatter)  # eigenvalues below zero are rounding
-    whole = (vector * np.maximum(value, 0)) @ vector.T + floor2
-    logdet = float(np.linalg.slogdet(whole)[1])
-    return {"gid": gid, "cand": cand, "mean": mean.tolist(), "inverse": np.linalg.inv(whole).ravel().tolist(), "scatter": whole.ravel().tolist(), "logdet": logdet, "done": logdet >= before - 1e-7}
+class _State:
+    """Estimates of some groups, several (`cand`) for each, on the driver; tasks get it broadcast."""
+
+    def __init__(self, rows: list, floor2: np.ndarray):
+        """rows: (gid, mean, scatter without the floor)."""
+        self.floor2, self.gid = floor2, np.array([r[0] for r in rows], np.int64)
+        p = len(floor2)
+        self.mean = np.array([r[1] for r in rows], float).reshape(-1, p)
+        self.scatter = np.array([self._whole(np.array(r[2])) for r in rows]).reshape(-1, p, p)
+        self.inverse = np.linalg.inv(self.scatter) if len(rows) else self.scatter
+        self.logdet = np.full(len(rows), np.inf)
+        self.done = np.zeros(len(rows), bool)
+
+    def _whole(self, scatter: np.ndarray) -> np.ndarray:
+        value, vector = np.linalg.eigh(scatter)  # eigenvalues below zero are rounding
+        return (vector * np.maximum(value, 0)) @ vector.T + self.floor2
+
+    def renew(self, at: int, sums: np.ndarray) -> None:
+        """sums: weight, first and second moments about the present mean."""
+        p = len(self.floor2)
+        move, scatter = sums[1 : 1 + p] / sums[0], np.zeros((p, p))
+        scatter[np.triu_indices(p)] = sums[1 + p :] / sums[0]
+        scatter = self._whole(scatter + np.triu(scatter, 1).T - np.outer(move, move))
+        self.mean[at] += move
+        self.scatter[at], self.inverse[at] = scatter, np.linalg.inv(scatter)
+        now = np.linalg.slogdet(scatter)[1]
+        self.done[at] = now >= self.logdet[at] - 1e-6
+        self.logdet[at] = now
+
+    def take(self, at: np.ndarray) -> _State:
+        out = _State([], self.floor2)
+        for c in ("gid", "mean", "scatter", "inverse", "logdet", "done"):
+            setattr(out, c, getattr(self, c)[at])
+        return out
+
+
+def _met(batches, keys: tuple[str, ...], names: list[str], state: _State):
+    """(place in the state, rows' gaps from the mean, rows' bins) for every group of a batch."""
+    order = np.argsort(state.gid, kind="stable")
+    ordered = state.gid[order]
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        x = np.column_stack([np.asarray(batch.column(n), float) for n in names])
+        for key in keys:
+            gid = np.asarray(batch.column(key))
+            turn = np.argsort(gid, kind="stable")
+            cuts = np.concatenate(([0], np.flatnonzero(np.diff(gid[turn])) + 1, [len(gid)]))
+            for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
+                rows = x[turn[a:b]]
+                for k in range(*np.searchsorted(ordered, [gid[turn[a]], gid[turn[a]] + 1]).tolist()):
+                    gap = rows - state.mean[order[k]]
+                    d2 = np.einsum("ij,ij->i", gap @ state.inverse[order[k]], gap)
+                    yield int(order[k]), gap, np.floor(np.log2(np.maximum(d2, 2.0**-20)) * BINS_PER_OCTAVE).astype(np.int64)
+
+
+def _cuts(rows: DataFrame, keys: tuple[str, ...], names: list[str], state: _State, share: float) -> dict[str, np.ndarray]:
+    """For each estimate the bin in which the share of its rows ends, how much of that bin counts, the median's bin, and the number of rows."""
+    shared = rows.sparkSession.sparkContext.broadcast(state)
 
-
-def _rows(found: list[dict], schema: str) -> pa.RecordBatch:
-    kinds = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "array<double>": pa.list_(pa.float64())}
-    fields = [f.split(" ") for f in schema.split(", ")]
-    return pa.RecordBatch.from_arrays([pa.array([r[n] for r in found], kinds[k]) for n, k in fields], [n for n, _ in fields])
-
-
-def _cut_of(far: DataFrame, share: float) -> DataFrame:
-    """far (gid, cand, bin) -> (gid, cand, cut, part, median, total): the bin in which the share ends and how much of it counts, and the median's bin."""
-    counts = far.groupBy("gid", "cand", "bin").agg(F.count(F.lit(1)).alias("n"))
-    whole = Window.partitionBy("gid", "cand")
+    def run(batches):
+        held: list[np.ndarray] = []
+        low, wide = -20 * BINS_PER_OCTAVE, 1 << 20
+
+        def counted():
+            code, n = np.unique(np.concatenate(held), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(code // wide, pa.int32()), pa.array(code % wide + low, pa.int32()), pa.array(n, pa.int64())], ["at", "bin", "n"])
+
+        for at, _, bins in _met(batches, keys, names, shared.value):
+            held.append(at * wide + bins - low)
+            if len(held) > 20_000:
+                yield counted()
+                held = []
+        if held:
+            yield counted()
+
+    counts = rows.select(*keys, *names).mapInArrow(run, "at int, bin int, n long").groupBy("at", "bin").agg(F.sum("n").alias("n"))
+    whole = Window.partitionBy("at")
     upto = counts.withColumn("upto", F.sum("n").over(whole.orderBy("bin"))).withColumn("total", F.sum("n").over(whole))
     left = (share * F.col("total") - (F.col("upto") - F.col("n"))) / F.col("n")
     ends = F.min(F.when(F.col("upto") >= share * F.col("total"), F.struct(F.col("bin"), left.alias("part")))).alias("x")
-    return upto.groupBy("gid", "cand").agg(ends, F.min(F.when(F.col("upto") >= 0.5 * F.col("total"), F.col("bin"))).alias("median"), F.max("total").alias("total")).select("gid", "cand", F.col("x.bin").alias("cut"), F.col("x.part").alias("part"), "median", "total")
+    found = upto.groupBy("at").agg(ends, F.min(F.when(F.col("upto") >= 0.5 * F.col("total"), F.col("bin"))).alias("median"), F.max("total").alias("total"))
+    got = found.select("at", "x.bin", "x.part", "median", "total").collect()  # a row for each estimate
+    out = {"bin": np.zeros(len(state.gid), np.int64), "part": np.zeros(len(state.gid)), "median": np.zeros(len(state.gid)), "total": np.zeros(len(state.gid), np.int64)}
+    for r in got:
+        out["bin"][r.at], out["part"][r.at], out["median"][r.at], out["total"][r.at] = r.bin, r.part, r.median, r.total
+    return out
 
 
-def _sums(far: DataFrame, cuts: DataFrame, names: list[str], groups: int, carried: list[str]) -> DataFrame:
-    """Moments, about the present mean, of the rows up to the cut."""
+def _step(rows: DataFrame, keys: tuple[str, ...], names: list[str], state: _State, bins: np.ndarray, part: np.ndarray) -> None:
+    """Renews every estimate by the rows up to its bin, those of the bin itself weighing `part`."""
+    shared = rows.sparkSession.sparkContext.broadcast((state, bins, part))
     p = len(names)
-    cuts = F.broadcast(cuts) if groups <= BROADCAST_GROUPS else cuts
-    near = far.join(cuts, ["gid", "cand"]).where("bin <= cut").withColumn("w", F.when(F.col("bin") < F.col("cut"), F.lit(1.0)).otherwise(F.col("part")))
-    gap = [F.col(n) - F.col("mean")[i] for i, n in enumerate(names)]
-    sums = [F.sum(F.col("w") * gap[i]).alias(f"s{i}") for i in range(p)] + [F.sum(F.col("w") * gap[i] * gap[j]).alias(f"q{i}_{j}") for i in range(p) for j in range(i, p)]
-    return near.groupBy("gid", "cand").agg(F.sum("w").alias("w"), *sums, *[F.first(c).alias(c) for c in carried])
+    pairs = np.triu_indices(p)
+    size = 1 + p + len(pairs[0])
 
+    def run(batches):
+        sums: dict[int, np.ndarray] = {}
+        now, bins, part = shared.value
+        for at, gap, own in _met(batches, keys, names, now):
+            w = np.where(own < bins[at], 1.0, np.where(own == bins[at], part[at], 0.0))
+            weighed = gap * w[:, None]
+            sums[at] = sums.get(at, 0) + np.concatenate(([w.sum()], weighed.sum(0), (weighed.T @ gap)[pairs]))
+        if sums:
+            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), *[pa.array([x[i] for x in sums.values()]) for i in range(size)]], ["at", *[f"m{i}" for i in range(size)]])
 
-def _renewed(t: dict, k: int, p: int) -> tuple[np.ndarray, np.ndarray]:
-    move = np.array([t[f"s{i}"][k] for i in range(p)]) / t["w"][k]
-    scatter = np.zeros((p, p))
-    for i in range(p):
-        for j in range(i, p):
-            scatter[i, j] = scatter[j, i] = t[f"q{i}_{j}"][k] / t["w"][k] - move[i] * move[j]
-    return np.array(t["mean"][k]) + move, scatter
+    found = rows.select(*keys, *names).mapInArrow(run, "at int, " + ", ".join(f"m{i} double" for i in range(size)))
+    for r in found.groupBy("at").agg(*[F.sum(f"m{i}").alias(f"m{i}") for i in range(size)]).collect():  # a row for each estimate
+        state.renew(r[0], np.array(r[1:], float))
 
 
-def _scaled(far: DataFrame, p: int) -> DataFrame:
-    """(gid, cand, scale, total): how far the median distance is beyond that of the chi-square law."""
-    at = F.pow(F.lit(2.0), (F.col("median") + 0.5) / BINS_PER_OCTAVE) / chi_square(p, 0.5)
-    return _cut_of(far, 0.5).select("gid", "cand", F.greatest(at, F.lit(1.0)).alias("scale"), "total")
+def _scale(cuts: dict[str, np.ndarray], p: int) -> np.ndarray:
+    """How far the median distance is beyond that of the chi-square law."""
+    return np.maximum(2.0 ** ((cuts["median"] + 0.5) / BINS_PER_OCTAVE) / chi_square(p, 0.5), 1.0)
 
 
-def estimate(rows: DataFrame, names: list[str], groups: int, share: float = SHARE, steps: int = STEPS) -> DataFrame:
-    """rows (gid, statistics) -> (gid, n, mean, scatter, scale, logdet) of every group; logdet: of the subset, before the last step.
+def estimate(rows: DataFrame, names: list[str], keys: tuple[str, ...] = ("gid",), share: float = SHARE, steps: int = STEPS, groups_at_once: int = BROADCAST_GROUPS) -> DataFrame:
+    """rows (keys: long numbers of the groups a row is in, statistics) -> (gid, n, mean, scatter, scale, logdet) of every group.
 
-    The scatter includes the floors; scale brings the median distance down to that of the chi-square law, never up.
+    The scatter includes the floors; scale brings the median distance down to that of the chi-square law, never up;
+    logdet is that of the subset, before the last step. Up to `groups_at_once` groups are estimated side by side (their few
+    numbers are on the driver and broadcast), more of them in several turns.
     """
-    p = len(names)
+    spark, p = rows.sparkSession, len(names)
     floor2 = np.diag([FLOORS[n] ** 2 for n in names])
-    sizes = rows.groupBy("gid").agg(F.count(F.lit(1)).alias("size"))
-    # equal rows are kept or left together, but are one weighted row
-    drawn = _with(rows, sizes, groups).where(F.pmod(F.xxhash64(*names), F.lit(1 << 30)) < F.lit(float(START_ROWS << 30)) / F.col("size"))
-    drawn = drawn.groupBy("gid", *names).agg(F.count(F.lit(1)).cast("double").alias("n"), F.max("size").alias("size"))
-    # a group whose rows are all of a hash that is not drawn starts from its medians
-    middle = rows.groupBy("gid").agg(*[F.percentile_approx(n, 0.5, 1000).alias(n) for n in names], F.lit(0.0).alias("n"), F.count(F.lit(1)).alias("size"))
+    long = rows.select(F.explode(F.array(*keys)).alias("gid"), F.xxhash64(*names).alias("h"), *names)
+    sizes = cut(long.groupBy("gid").agg(F.count(F.lit(1)).alias("size"), F.min(F.struct("h", *names)).alias("least")))
+    groups = sizes.count()
+    some = F.broadcast(sizes.select("gid", "size")) if groups <= groups_at_once else sizes.select("gid", "size")
+    # equal rows are drawn or left together, but are one weighted row
+    drawn = long.join(some, "gid").where(F.pmod("h", F.lit(1 << 30)) < F.lit(float(START_ROWS << 30)) / F.col("size"))
+    drawn = drawn.groupBy("gid", *names).agg(F.count(F.lit(1)).cast("double").alias("n"))
+    # a group of which no hash is drawn starts from the row of the least hash
+    drawn = drawn.unionByName(sizes.select("gid", *[f"least.{n}" for n in names], F.lit(0.0).alias("n")))
 
     def begin(members):
         x = np.column_stack([np.asarray(members.column(n), float) for n in names])
@@ -281,37 +342,32 @@ def estimate(rows: DataFrame, names: list[str], groups: int, share: float = SHAR
         real = n > 0
         found = best_starts(x[real], n[real], floor2, share) if real.any() else [(np.inf, x[0], floor2)]
         gid = members.column("gid")[0].as_py()
-        return pa.Table.from_batches([_rows([_state_row(gid, i, m, s - floor2, floor2, -np.inf) | {"done": False, "logdet": 1e300} for i, (_, m, s) in enumerate(found)], _STATE)])
-
-    now = cut(drawn.unionByName(middle).groupBy("gid").applyInArrow(begin, _STATE))
-
-    def far_of(state):
-        return _with(rows, state, groups).withColumn("bin", _bin(_distance(names)))
-
-    def renew(batches):
-        for batch in batches:
-            t = batch.to_pydict()
-            yield _rows([_state_row(g, c, *_renewed(t, k, p), floor2, t["logdet"][k]) for k, (g, c) in enumerate(zip(t["gid"], t["cand"]))], _STATE)
-
-    for _ in range(steps):
-        far = far_of(now.where("not done"))
-        after = _sums(far, cut(_cut_of(far, share)), names, groups, ["mean", "logdet"]).mapInArrow(renew, _STATE)
-        now = cut(now.where("done").union(after))
-        if now.where("not done").isEmpty():
-            break
-    best = cut(now.groupBy("gid").agg(F.min(F.struct("logdet", "cand", "mean", "inverse")).alias("x")).select("gid", F.lit(0).alias("cand"), "x.mean", "x.inverse", "x.logdet"))
-    far = far_of(best)
-    inner = F.floor(F.log2(F.lit(chi_square(p, 1 - INNER)) * F.col("scale")) * BINS_PER_OCTAVE).cast("int")
-    cuts = cut(_scaled(far, p).select("gid", "cand", inner.alias("cut"), F.lit(1.0).alias("part")))
-
-    def finish(batches):
-        for batch in batches:
-            t = batch.to_pydict()
-            yield _rows([_state_row(g, 0, *_renewed(t, k, p), floor2, -np.inf) | {"logdet": t["logdet"][k]} for k, g in enumerate(t["gid"])], _STATE)
-
-    last = cut(_sums(far, cuts, names, groups, ["mean", "logdet"]).mapInArrow(finish, _STATE))
-    scales = _scaled(far_of(last), p)
-    return cut(last.join(scales.select("gid", "scale", F.col("total").alias("n")), "gid").select("gid", "n", "mean", "scatter", "scale", "logdet"))
+        return pa.table({"gid": pa.array([gid] * len(found), pa.int64()), "mean": pa.array([m.tolist() for _, m, _ in found], pa.list_(pa.float64())), "scatter": pa.array([(s - floor2).ravel().tolist() for _, _, s in found], pa.list_(pa.float64()))})
+
+    starts = cut(drawn.groupBy("gid").applyInArrow(begin, "gid long, mean array<double>, scatter array<double>"))
+    turns = max(1, -(-groups // groups_at_once))
+    out = None
+    for turn in range(turns):
+        got = starts.where(F.pmod("gid", F.lit(turns)) == turn).orderBy("gid", "mean").collect()  # at most KEPT rows for each group of a turn
+        state = _State([(r.gid, r.mean, np.array(r.scatter).reshape(p, p)) for r in got], floor2)
+        for _ in range(steps):
+            at = np.flatnonzero(~state.done)
+            if not len(at):
+                break
+            live = state.take(at)
+            cuts = _cuts(rows, keys, names, live, share)
+            _step(rows, keys, names, live, cuts["bin"], cuts["part"])
+            for c in ("mean", "scatter", "inverse", "logdet", "done"):
+                getattr(state, c)[at] = getattr(live, c)
+        best = state.take(np.array([min(np.flatnonzero(state.gid == g), key=lambda k: state.logdet[k]) for g in np.unique(state.gid)], np.int64))
+        logdet = best.logdet.copy()
+        inner = chi_square(p, 1 - INNER) * _scale(_cuts(rows, keys, names, best, 0.5), p)
+        _step(rows, keys, names, best, np.floor(np.log2(inner) * BINS_PER_OCTAVE).astype(np.int64), np.ones(len(inner)))
+        last = _cuts(rows, keys, names, best, 0.5)
+        found = zip(best.gid.tolist(), last["total"].tolist(), best.mean.tolist(), best.scatter.reshape(-1, p * p).tolist(), _scale(last, p).tolist(), logdet.tolist())
+        one = spark.createDataFrame(list(found), "gid long, n long, mean array<double>, scatter array<double>, scale double, logdet double")
+        out = one if out is None else out.union(cut(one))
+    return out
 
 
 def drawn_to(n: float, own: tuple, wider: tuple) -> tuple[np.ndarray, np.ndarray, float]:
@@ -333,26 +389,30 @@ def judge(docs: DataFrame, tail: float = TAIL) -> DataFrame:
     p = len(names)
     base = cut(counted(docs).withColumn("base_failed", base_failed()))
     tested = base.where(~F.col("base_failed"))
-    own, wide = F.to_json(F.struct(F.lit(1).alias("level"), "lang", "source")), F.to_json(F.struct(F.lit(2).alias("level"), "lang"))
-    placed = cut(tested.select("doc_id", *COUNTS, "base_failed", own.alias("gid"), wide.alias("wide"), *[x.alias(n) for n, x in statistics().items()]))
-    named = cut(placed.select("gid", "wide").distinct())
-    groups = named.count()
-    found = estimate(placed.select(F.explode(F.array("gid", "wide", F.lit("all"))).alias("gid"), *names), names, 3 * groups)
-    side = lambda on, x: found.select(F.col("gid").alias(on), F.struct("n", "mean", "scatter", "scale").alias(x))
-    joined = named.join(side("gid", "own"), "gid").join(side("wide", "lang"), "wide").join(side("all_", "whole"), F.col("all_") == "all")
+    keys = {"own": F.xxhash64(F.lit(1), F.col("lang").isNull(), F.coalesce("lang", F.lit("")), F.col("source").isNull(), F.coalesce("source", F.lit(""))), "wide": F.xxhash64(F.lit(2), F.col("lang").isNull(), F.coalesce("lang", F.lit(""))), "whole": F.xxhash64(F.lit(3))}
+    placed = cut(tested.select("doc_id", *COUNTS, "base_failed", *[x.alias(n) for n, x in keys.items()], *[x.alias(n) for n, x in statistics().items()]))
+    named = placed.select(*keys).distinct()
+    found = estimate(placed.select(*keys, *names), names, tuple(keys))
+    joined = named
+    for key in keys:
+        joined = joined.join(found.select(F.col("gid").alias(key), F.struct("n", "mean", "scatter", "scale").alias(f"{key}_")), key)
 
     def draw(batches):
         for batch in batches:
-            out = []
+            gids, means, inverses, scales = [], [], [], []
             for row in batch.to_pylist():
-                a, b, c = ((row[x]["n"], (np.array(row[x]["mean"]), np.array(row[x]["scatter"]).reshape(p, p), row[x]["scale"])) for x in ("own", "lang", "whole"))
-                mean, scatter, scale = drawn_to(a[0], a[1], drawn_to(b[0], b[1], c[1]))
-                out.append({"gid": row["gid"], "mean": mean.tolist(), "inverse": np.linalg.inv(scatter).ravel().tolist(), "scale": scale})
-            yield _rows(out, "gid string, mean array<double>, inverse array<double>, scale double")
-
-    final = cut(joined.mapInArrow(draw, "gid string, mean array<double>, inverse array<double>, scale double"))
+                a, b, c = ((row[x]["n"], (np.array(row[x]["mean"]), np.array(row[x]["scatter"]).reshape(p, p), row[x]["scale"])) for x in ("own_", "wide_", "whole_"))
+                mean, scatter, scale = drawn_to(*a, drawn_to(*b, c[1]))
+                gids.append(row["own"])
+                means.append(mean.tolist())
+                inverses.append(np.linalg.inv(scatter).ravel().tolist())
+                scales.append(scale)
+            yield pa.RecordBatch.from_arrays([pa.array(gids, pa.int64()), pa.array(means, pa.list_(pa.float64())), pa.array(inverses, pa.list_(pa.float64())), pa.array(scales, pa.float64())], ["gid", "mean", "inverse", "scale"])
+
+    final = cut(joined.mapInArrow(draw, "gid long, mean array<double>, inverse array<double>, scale double"))
     limit = chi_square(p, tail)
-    verdict = _with(placed, final, groups).withColumn("distance", _distance(names) / F.col("scale")).select("doc_id", *COUNTS, "base_failed", "distance", (F.col("distance") <= limit).alias("kept"))
+    near = placed.join(F.broadcast(final) if final.count() <= BROADCAST_GROUPS else final, F.col("own") == F.col("gid"))
+    verdict = near.withColumn("distance", _distance(names) / F.col("scale")).select("doc_id", *COUNTS, "base_failed", "distance", (F.col("distance") <= limit).alias("kept"))
     return verdict.union(base.where("base_failed").select("doc_id", *COUNTS, "base_failed", F.lit(None).cast("double"), F.lit(False)))
 
 

@@ -157,15 +157,16 @@ def test_least_determinant_against_all_subsets(spark):
     rng = np.random.default_rng(6)
     names = list(outliers.FLOORS)
     floor2 = np.diag([outliers.FLOORS[n] ** 2 for n in names])
-    groups = {f"g{k}": np.vstack([rng.normal(0, 1, (9, 7)), rng.normal(rng.choice([0, 6]), 1, (3, 7))]) for k in range(6)}
-    df = spark.createDataFrame([(g, *map(float, r)) for g, x in groups.items() for r in x], "gid string, " + ", ".join(f"{n} double" for n in names))
-    got = {r.gid: r for r in outliers.estimate(df.repartition(5), names, len(groups)).collect()}
+    groups = {k: np.vstack([rng.normal(0, 1, (9, 7)), rng.normal(rng.choice([0, 6]), 1, (3, 7))]) for k in range(6)}
+    df = spark.createDataFrame([(g, *map(float, r)) for g, x in groups.items() for r in x], "gid long, " + ", ".join(f"{n} double" for n in names))
+    got = {r.gid: r for r in outliers.estimate(df.repartition(5), names).collect()}
+    few = {r.gid: r for r in outliers.estimate(df.repartition(3), names, groups_at_once=2).collect()}
     hits = 0
     for g, x in groups.items():
         least = slow_least(x, outliers.SHARE, floor2)
         assert least - 1e-3 <= got[g].logdet <= least + 0.3, (g, least, got[g].logdet)
         hits += got[g].logdet <= least + 1e-3
-        assert got[g].n == len(x)
+        assert got[g].n == few[g].n == len(x) and got[g].logdet == pytest.approx(few[g].logdet)
     assert hits >= 4
 
 
@@ -174,14 +175,14 @@ def test_concentration_ignores_a_third_of_bad_rows(spark):
     names = list(outliers.FLOORS)
     good, bad = rng.normal(0, 2, (700, len(names))), rng.normal(60, 1, (200, len(names)))
     same = np.repeat(rng.normal(0, 1, (1, len(names))), 3000, axis=0)  # a row that repeats
-    rows = [("g", *map(float, x)) for x in np.vstack([good, bad])] + [("one", *map(float, x)) for x in same]
-    df = spark.createDataFrame(rows, "gid string, " + ", ".join(f"{n} double" for n in names))
+    rows = [(1, *map(float, x)) for x in np.vstack([good, bad])] + [(2, *map(float, x)) for x in same]
+    df = spark.createDataFrame(rows, "gid long, " + ", ".join(f"{n} double" for n in names))
     found = {}
     for n in (1, 8, 64):
-        got = {r.gid: r for r in outliers.estimate(df.repartition(n), names, 2).collect()}
-        assert np.abs(np.array(got["g"].mean)).max() < 0.6
-        assert np.allclose(got["one"].mean, same[0])
-        found[n] = np.array(got["g"].mean + got["g"].scatter)
+        got = {r.gid: r for r in outliers.estimate(df.repartition(n), names).collect()}
+        assert np.abs(np.array(got[1].mean)).max() < 0.6
+        assert np.allclose(got[2].mean, same[0])
+        found[n] = np.array(got[1].mean + got[1].scatter)
     assert np.allclose(found[1], found[8]) and np.allclose(found[1], found[64])
 
 
@@ -194,13 +195,12 @@ def test_distances_against_numpy(spark, make_docs):
     names = list(outliers.FLOORS)
     stats = outliers.counted(docs).select("doc_id", "source", *[x.alias(n) for n, x in outliers.statistics().items()]).collect()
     x = {r.doc_id: np.array([r[n] for n in names]) for r in stats}
-    member = {"all": list(x), "a": [r.doc_id for r in stats if r.source == "a"], "b": [r.doc_id for r in stats if r.source == "b"]}
-    df = spark.createDataFrame([(g, *map(float, x[i])) for g, ids in member.items() for i in ids], "gid string, " + ", ".join(f"{n} double" for n in names))
-    found = {r.gid: (r.n, (np.array(r.mean), np.array(r.scatter).reshape(7, 7), r.scale)) for r in outliers.estimate(df, names, 3).collect()}
-    whole = found["all"][1]
+    df = spark.createDataFrame([(0, "ab".index(r.source) + 1, *map(float, x[r.doc_id])) for r in stats], "whole long, own long, " + ", ".join(f"{n} double" for n in names))
+    found = {r.gid: (r.n, (np.array(r.mean), np.array(r.scatter).reshape(7, 7), r.scale)) for r in outliers.estimate(df, names, ("whole", "own")).collect()}
+    whole = found[0][1]
     lang = outliers.drawn_to(300, whole, whole)
     for r in stats:
-        n, own = found[r.source]
+        n, own = found["ab".index(r.source) + 1]
         mean, scatter, scale = outliers.drawn_to(n, own, lang)
         gap = x[r.doc_id] - mean
         if not got[r.doc_id].base_failed:
