@@ -135,8 +135,9 @@ def compare_with_next(docs: DataFrame) -> DataFrame:
     """
     kind = docs.schema["doc_id"].dataType.simpleString()
     width = shuffle_width(docs.sparkSession)
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    ordered = rows.repartitionByRange(width, F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).withColumn("part", F.spark_partition_id())
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), F.monotonically_increasing_id().alias("seq"))
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), F.col("seq")]  # the last splits rows that repeat
+    ordered = rows.repartitionByRange(width, *order).sortWithinPartitions(*order).select("doc_id", "text", F.spark_partition_id().alias("part"))
     schema = _OUT.format(kind=kind) + ", part int, first_text string, last_text string"
 
     def within(batches):

@@ -13,6 +13,8 @@ Ties go to the path whose last piece starts first.
 from __future__ import annotations
 
 import hashlib
+import os
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -61,12 +63,17 @@ class DoubleArray:
                     continue
                 codes = sorted(kids)
                 at = tried.get((len(codes), codes[0]), 1)
-                while any(used[at + c] for c in codes):
-                    at += 1
-                    if at + 300 > len(used):
+                while True:
+                    free = used.find(0, at + codes[0])
+                    if free < 0 or free + 300 > len(used):
                         grow = len(used)
                         used.extend(bytearray(grow))
                         base, check, value = np.append(base, np.zeros(grow, np.int32)), np.append(check, np.full(grow, -1, np.int32)), np.append(value, np.full(grow, -1, np.int32))
+                        continue
+                    at = free - codes[0]
+                    if not any(used[at + c] for c in codes[1:]):
+                        break
+                    at += 1
                 base[place[node]] = tried[len(codes), codes[0]] = at
                 for c in codes:
                     spot, kid = at + c, kids[c]
@@ -291,7 +298,13 @@ class Pieces:
 
 
 def load(spark: SparkSession, model: str = MODEL) -> Pieces:
-    """Reads a model file of bounded size on the driver; tasks get it with their code."""
+    """Reads a model file of bounded size on the driver, once for each file and process; tasks get it with their code."""
+    facts = os.stat(model)
+    return _loaded(model, facts.st_size, facts.st_mtime_ns)
+
+
+@lru_cache(maxsize=4)
+def _loaded(model: str, size: int, changed: int) -> Pieces:
     with open(model, "rb") as f:
         return Pieces(f.read())
 
@@ -331,7 +344,11 @@ def decode(encoded: DataFrame, pieces: Pieces, id_col: str = "doc_id", ids_col:
 
 
 def encode_checked(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """encode() of (doc_id, text), each row with the digest of its decoded text and whether that is the text."""
+    """encode() of (doc_id, text), each row with the digest of its decoded text and whether that is the text.
+
+    Null texts count as empty and have no piece; null ids and repeated rows are carried; a text of any length is encoded
+    whole; of paths with equal scores that whose last piece starts first is taken; other columns of any name change nothing.
+    """
     kind = docs.schema["doc_id"].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(pieces)
 

@@ -15,18 +15,19 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fadegossip.llm import shingles
 from fadegossip.llm.components import components
 from fadegossip.llm.frames import cut, shuffle_width, table
-from fadegossip.llm.words import Words, chunked, strings
+from fadegossip.llm.words import Words, chunked, strings, xxh64
 
 SHINGLE_WORDS, RADIUS, SEED = 4, 4, 42
 #: Fingerprints of a bucket that one task compares with each other.
 BLOCK = 4096
+#: Tasks over which the fingerprints of a class are dealt.
+SALTS = 16
 
 
 def bit_vectors(radius: int = RADIUS, bits: int = 64, seed: int = 7) -> list[int]:
@@ -61,8 +62,7 @@ def fingerprints_of(texts: pa.Array, k: int = SHINGLE_WORDS) -> np.ndarray:
     out = np.zeros(n_docs, np.uint64)
     if not len(begin):
         return out
-    data, digest = body.tobytes(), xxhash.xxh64_intdigest
-    hashed = np.fromiter((digest(data[s:e], SEED) for s, e in zip(begin.tolist(), until.tolist())), np.uint64, len(begin))
+    hashed = xxh64(body, begin, until, SEED)
     order = np.argsort(doc, kind="stable")
     hashed, doc = hashed[order], doc[order]
     bits = np.unpackbits(hashed.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
@@ -191,9 +191,12 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, block: int = BLOCK) -
     marked = cut(fingerprint(docs.select("doc_id", "text")))
     fps = cut(marked.groupBy("fp").agg(F.min("doc_id").alias("least")))
     roots = components(links(fps.select("fp"), radius, block))
-    named = fps.join(roots, fps.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    classes = cut(named.join(named.groupBy(F.col("root").alias("r")).agg(F.min("least").alias("component_id")), F.col("root") == F.col("r")).select(F.col("fp").alias("f"), "component_id"))
-    return marked.join(classes, marked.fp == classes.f).select("doc_id", "fp", "component_id")
+    linked = cut(fps.join(roots, fps.fp == roots.node).select("fp", "least", "root"))
+    # a class of many fingerprints is dealt to several tasks
+    named = linked.groupBy("root").agg(F.min("least").alias("component_id")).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    own = linked.withColumn("salt", F.pmod(F.xxhash64("fp"), F.lit(SALTS)).cast("int")).join(named, ["root", "salt"]).select("fp", "component_id")
+    alone = fps.join(linked.select("fp"), "fp", "left_anti").select("fp", F.col("least").alias("component_id"))
+    return marked.join(cut(own.union(alone)), "fp").select("doc_id", "fp", "component_id")
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -59,6 +59,54 @@ def chunked(batch, column: str, limit: int = CHUNK_BYTES, most: int = 1 << 16) -
         at = end
 
 
+# fixed values: the multipliers of XXH64
+_P1, _P2, _P3, _P4, _P5 = (np.uint64(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+
+
+def _turned(x: np.ndarray, n: int) -> np.ndarray:
+    return x << np.uint64(n) | x >> np.uint64(64 - n)
+
+
+def xxh64(body: np.ndarray, start: np.ndarray, end: np.ndarray, seed: int) -> np.ndarray:
+    """XXH64 of body[start:end] for any spans at once: stripes, lanes and tails are steps over all spans that have them."""
+    data = np.concatenate((np.ascontiguousarray(body), np.zeros(8, np.uint8)))
+    eight = np.ndarray(len(body) + 1, "<u8", data, strides=(1,))
+    four = np.ndarray(len(body) + 1, "<u4", data, strides=(1,))
+    size = end - start
+    lane = lambda acc, x: _turned(acc + x * _P2, 31) * _P1
+    out = np.full(len(start), np.uint64(seed) + _P5, np.uint64)
+    at = start.copy()
+    wide = np.flatnonzero(size >= 32)
+    if len(wide):
+        seeds = np.array([seed], np.uint64)
+        accs = [np.repeat(x, len(wide)) for x in (seeds + _P1 + _P2, seeds + _P2, seeds, seeds - _P1)]
+        left = size[wide].copy()
+        on = np.arange(len(wide))
+        while len(on):
+            for i in range(4):
+                accs[i][on] = lane(accs[i][on], eight[at[wide[on]] + 8 * i])
+            at[wide[on]] += 32
+            left[on] -= 32
+            on = on[left[on] >= 32]
+        acc = sum((_turned(x, n) for x, n in zip(accs[1:], (7, 12, 18))), _turned(accs[0], 1))
+        for x in accs:
+            acc = (acc ^ lane(np.uint64(0), x)) * _P1 + _P4
+        out[wide] = acc
+    out += size.astype(np.uint64)
+    while len(on := np.flatnonzero(end - at >= 8)):
+        out[on] = _turned(out[on] ^ lane(np.uint64(0), eight[at[on]]), 27) * _P1 + _P4
+        at[on] += 8
+    on = np.flatnonzero(end - at >= 4)
+    out[on] = _turned(out[on] ^ four[at[on]].astype(np.uint64) * _P1, 23) * _P2 + _P3
+    at[on] += 4
+    while len(on := np.flatnonzero(end > at)):
+        out[on] = _turned(out[on] ^ data[at[on]].astype(np.uint64) * _P5, 11) * _P1
+        at[on] += 1
+    out = (out ^ out >> np.uint64(33)) * _P2
+    out = (out ^ out >> np.uint64(29)) * _P3
+    return out ^ out >> np.uint64(32)
+
+
 def powers(base: np.uint64, n: int) -> np.ndarray:
     out = np.full(n + 1, base, np.uint64)
     out[0] = 1
