@@ -7,10 +7,11 @@ import re
 import numpy as np
 import pyarrow as pa
 import xxhash
+from test_shingles import slow_roots
 
 from fadegossip.llm import digest, simhash
 from fadegossip.llm.components import components
-from fadegossip.llm.words import strings
+from fadegossip.llm.words import strings, xxh64
 
 
 def slow_fingerprint(text):
@@ -96,12 +97,56 @@ def test_components_of_a_chain_and_a_hub(spark):
 
 
 def test_keep_one(spark, make_docs, odd_rows):
+    """Two texts under one id both stay unless one is a near copy; the row kept is the same in every layout."""
     docs = make_docs(odd_rows, extra=True)
     kept = simhash.keep_one(docs)
     assert kept.columns == docs.columns
-    ids = [r.doc_id for r in kept.select("doc_id").collect()]
-    assert sorted(i for i in ids if i is not None) == sorted({c for i, c in slow_classes([(i, slow_fingerprint(t)) for i, t, *_ in odd_rows if i is not None])})
-    assert ids.count(None) == 1
+    rows = [(r.doc_id, r.text) for r in kept.collect()]
+    texts = [r[1] for r in odd_rows if r[0] is not None]
+    roots = slow_roots(texts)
+    ids = [r[0] for r in odd_rows if r[0] is not None]
+    assert sorted(i for i, _ in rows if i is not None) == sorted(min(ids[k] for k in range(len(ids)) if roots[k] == r) for r in set(roots))
+    assert [i for i, _ in rows].count(None) == 1
+    again = sorted((str(r.doc_id), str(r.text)) for r in simhash.keep_one(docs.repartition(11)).collect())
+    assert again == sorted((str(i), str(t)) for i, t in rows)
+
+
+def test_xxh64_of_spans():
+    rng = np.random.default_rng(3)
+    body = rng.integers(0, 256, 5000).astype(np.uint8)
+    start = rng.integers(0, 4800, 3000)
+    end = np.minimum(start + rng.integers(0, 150, 3000), 5000)
+    assert xxh64(body, start, end, 42).tolist() == [xxhash.xxh64_intdigest(body[a:b].tobytes(), 42) for a, b in zip(start, end)]
+    assert xxh64(body[:0], start[:0], end[:0], 42).tolist() == []
+
+
+def test_digest_against_sql(spark, small):
+    """The edit, its digest and the lengths by DuckDB over the whole table."""
+    import duckdb
+
+    from fadegossip.llm.queries import QUERIES
+
+    want = duckdb.sql(f"""WITH d AS (SELECT doc_id, coalesce(text, '') AS t, row_number() OVER (ORDER BY doc_id) AS n, count(*) OVER () AS all_ FROM '{small}/documents.parquet')
+        SELECT a.doc_id, length(a.t), sha256(left(a.t, length(a.t) - length(a.t) // 2) || left(b.t, length(a.t) // 2)) FROM d a JOIN d b ON b.n = a.n % a.all_ + 1""").fetchall()
+    assert sorted((r.doc_id, r.n_chars, r.edited_sha256) for r in QUERIES["op5_digest"](spark, small).collect()) == sorted(want)
+
+
+def slow_digest(text):
+    """The digest by loops over one text, from the description alone: hashed triplets, quartiles, codes."""
+    data = text.encode()
+    count = [0] * digest.BUCKETS
+    for (i, j), pairs, bytes_ in zip(digest.TRIPLETS, digest._PAIRS, digest._BYTES):
+        for k in range(len(data) - 4):
+            count[int(pairs[data[k + i] << 8 | data[k + j]] ^ bytes_[data[k]])] += 1
+    ordered = sorted(count)
+    q = [ordered[len(count) * x // 4 - 1] for x in (1, 2, 3)]
+    return [sum(c > x for x in q) for c in count]
+
+
+def test_digest_codes_against_loops():
+    texts = ["", "abcd", "the same text " * 9, "é ñ 漢字 🙂 " * 20, "a" * 300]
+    for text, row in zip(texts, digest.digests(strings(pa.array(texts)))):
+        assert row[4:].tolist() == slow_digest(text)
 
 
 def test_empty_table(spark, make_docs):

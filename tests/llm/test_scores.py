@@ -53,6 +53,78 @@ def test_scores_of_odd_rows(spark, make_docs, odd_rows):
     assert quality.score(make_docs([]), None).count() == 0 and toxicity.score(make_docs([]), toxicity.Lexicon([], [])).count() == 0
 
 
+def test_votes_against_brute_force(spark, small):
+    """Scores of the nearest labelled vectors, one document and one neighbour at a time."""
+    docs, labels = table(spark, small, "documents"), table(spark, small, "labels")
+    space = quality.fit(docs, labels)
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    got = {r.doc_id: r.score for r in quality.score(docs, space).collect()}
+    import pyarrow as pa
+
+    from fadegossip.llm.words import strings
+
+    for i, text in texts.items():
+        counts = quality.rows_of(strings(pa.array([text])))
+        x = (space._weigh(counts) @ space.axes)[0].astype(float)
+        near = sorted(((float(x @ v) / max(float(np.sqrt(x @ x)), 1e-9), float(y)) for v, y in zip(space.vectors.astype(float), space.labels)), reverse=True)[: quality.NEIGHBOURS]
+        weight = [max(c, 0.0) ** 4 for c, _ in near]
+        want = sum(w * y for w, (_, y) in zip(weight, near)) / sum(weight) if sum(weight) > 1e-12 else float(space.labels.mean())
+        assert got[i] == pytest.approx(want, abs=2e-3), i
+
+
+def test_counts_of_words_against_loops():
+    import pyarrow as pa
+
+    from fadegossip.llm.words import strings
+
+    texts = ["aa bb aa\ncc aa", "", "one two three two", "x\n\ny x"]
+    got = quality.rows_of(strings(pa.array(texts)))
+    for text, row in zip(texts, got):
+        w = WORD.findall(text)
+        assert row[: quality.WORD_DIMS].sum() == row[quality.WORD_DIMS : -8].sum() == len(w)
+        assert row[-8:-2].tolist() == [sum(w[k] == w[k - gap] for k in range(gap, len(w))) for gap in quality._NEAR]
+        assert row[-1] == text.count("\n")
+
+
+def test_labels_of_repeated_rows(spark, make_docs):
+    """Repeated labels and ids teach once, conflicting labels count as the larger, in every layout."""
+    rows = [(i, f"good words {i} here today", "en", "a") for i in range(60)]
+    labels = [(i, i % 2, i % 2) for i in range(60)]
+    plain = quality.labelled(make_docs(rows), spark.createDataFrame(labels, "doc_id long, quality int, toxic int"), "quality", 40)
+    twice = quality.labelled(make_docs(rows * 3).repartition(7), spark.createDataFrame(labels * 3 + [(1, 0, 0)], "doc_id long, quality int, toxic int"), "quality", 40)
+    assert sorted(plain.collect()) == sorted(twice.collect()) and plain.count() <= 40
+
+
+def test_toxicity_score_against_brute_force():
+    """The score by its formula from hits that are found token by token with edit distance."""
+    import pyarrow as pa
+
+    from fadegossip.llm.words import strings
+
+    words = ["idiot", "moron", "worthless"]
+    lexicon = toxicity.Lexicon(words, ["lowei"])
+    rng = random.Random(12)
+    pool = [*words, "idjot", "mron", "worthles", "loweis", "fine", "day", "tree", "moronic", "said", "a", "worth"]
+    texts = [" ".join(rng.choice(pool) for _ in range(rng.randrange(0, 30))) for _ in range(200)]
+    for text, score in zip(texts, lexicon.scores(strings(pa.array(texts)))):
+        plain = wrong = quoted = 0
+        tokens = text.split()
+        for i, t in enumerate(tokens):
+            kind = 1 if t in words or t.startswith("lowei") else 2 if len(t) >= toxicity.FUZZY - 1 and any(edits(t, w) <= 1 for w in words) else 0
+            if kind and "said" in tokens[max(0, i - toxicity.WINDOW) : i]:
+                quoted += 1
+            else:
+                plain, wrong = plain + (kind == 1), wrong + (kind == 2)
+        z = lexicon.bias + np.log1p(plain + toxicity.MISSPELLED * wrong) * lexicon.weight[0] + np.log1p(quoted) * lexicon.weight[1]
+        assert score == pytest.approx(1 / (1 + np.exp(-z))), text
+
+
+def test_fit_in_every_layout(spark, small):
+    docs, labels = table(spark, small, "documents"), table(spark, small, "labels")
+    found = [toxicity.fit(d, lab) for d, lab in ((docs, labels), (docs.repartition(64), labels.union(labels).union(labels)), (docs.union(docs).repartition(3), labels))]
+    assert len({(x.words, x.stems, x.ordinary, x.bias, tuple(x.weight)) for x in found}) == 1
+
+
 def edits(a, b):
     row = list(range(len(b) + 1))
     for i, x in enumerate(a, 1):
@@ -265,6 +337,49 @@ def test_a_source_of_equal_rows_meets_its_target(spark, make_docs):
     assert kept == collections.Counter(d for d, _, c in found[1] for _ in range(c))
 
 
+def test_sizes_and_targets_against_sql(spark, small):
+    """Sizes, source sizes and targets (weights 3, 1, 2, capped at twice a source, reshared until none is above) by DuckDB."""
+    import duckdb
+
+    sizes = duckdb.sql(f"SELECT doc_id, len(regexp_extract_all(coalesce(text, ''), '[^ \\t\\n\\x0b\\f\\r]+')) AS size, source FROM '{small}/documents.parquet'").fetchall()
+    own = collections.Counter()
+    for _, n, s in sizes:
+        own[s] += n
+    order = sorted(own, key=lambda s: (s is None, (s or "").encode()))
+    weight = {s: (3, 1, 2)[i % 3] for i, s in enumerate(order)}
+    capped: set = set()
+    while True:
+        room = 1.5 * sum(own.values()) - sum(2 * own[s] for s in capped)
+        share = {s: room * weight[s] / sum(weight[x] for x in order if x not in capped) for s in order if s not in capped}
+        over = {s for s in share if share[s] > 2 * own[s]}
+        if not over:
+            break
+        capped |= over
+    target = {s: 2 * own[s] if s in capped else share[s] for s in order}
+    got = QUERIES["op10_mixing"](spark, small).collect()
+    by = {i: (n, s) for i, n, s in sizes}
+    assert len(got) == len(sizes)
+    taken = collections.Counter()
+    for r in got:
+        n, s = by[r.doc_id]
+        assert (r.size, r.source_size) == (n, own[s]) and r.target == pytest.approx(target[s])
+        assert r.taken in (0, n, 2 * n)
+        taken[s] += r.taken
+    largest = {s: max(n for n, x in by.values() if x == s) for s in order}  # ten documents a source: a whole one more or less
+    assert all(abs(taken[s] - target[s]) <= largest[s] for s in order)
+
+
+def test_counts_against_sql(spark, small):
+    """Word, character, symbol and repeated-line counts of op9 by DuckDB over the whole table."""
+    import duckdb
+
+    want = duckdb.sql(f"""WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM '{small}/documents.parquet'),
+        l AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM d), m AS (SELECT doc_id, line, count(*) AS n FROM l WHERE regexp_matches(line, '[^ \\t\\n\\x0b\\f\\r]') GROUP BY 1, 2), dup AS (SELECT doc_id, sum(n - 1) AS n FROM m GROUP BY 1)
+        SELECT d.doc_id, len(regexp_extract_all(t, '[^ \\t\\n\\x0b\\f\\r]+')), length(regexp_replace(t, '[ \\t\\n\\x0b\\f\\r]', '', 'g')), len(regexp_extract_all(t, '[#*$%&|<>]')), coalesce(dup.n, 0)::BIGINT FROM d LEFT JOIN dup USING (doc_id)""").fetchall()
+    got = [(r.doc_id, r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines) for r in QUERIES["op9_outliers"](spark, small).collect()]
+    assert sorted(got) == sorted(want)
+
+
 def test_multipliers_meet_the_targets(spark, make_docs):
     rng = random.Random(6)
     docs = make_docs([(i, "w " * rng.randrange(1, 400), "en", rng.choice("abc")) for i in range(400)])

@@ -279,6 +279,14 @@ def test_chats(spark):
     assert chats.collapse(df.limit(0)).count() == 0
 
 
+def test_repeated_turns(spark):
+    """A turn row that is logged twice is two turns, alike in every order of the rows."""
+    rows = [(1, 0, "user", "hi"), (1, 0, "user", "hi"), (1, 1, "assistant", "yes"), (2, 0, "user", "hi"), (2, 0, "user", "hi"), (3, 0, "user", "hi")]
+    for order in (rows, rows[::-1]):
+        df = spark.createDataFrame(order, "conv_id long, turn long, role string, text string")
+        assert {(r.conv_id, r.n_turns, r.n_copies) for r in chats.maximal(df).collect()} == {(1, 3, 1)}
+
+
 def test_long_chat_over_partitions(spark):
     """A conversation over many range partitions has the prefixes of its shorter copy."""
     rows = [(i, t, "user", f"turn {t}") for i, n in ((1, 400), (2, 399), (3, 10)) for t in range(n)] + [(4, 0, "user", "turn 1")]
