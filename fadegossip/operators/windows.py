@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from fadegossip.operators.registry import registry
@@ -11,6 +11,26 @@ from fadegossip.sources.streams import days_since
 
 QUERIES, ORACLES, op = registry()
 _SUPPLIERS = "SELECT l_suppkey AS s, sum(date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE)))::BIGINT AS mass, any_value(s_nationkey) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1"
+#: Seconds of a slot: running sums are made within a slot, and over the totals of the slots.
+SLOT = 3600
+
+
+def range_counts(events: DataFrame, span: int) -> DataFrame:
+    """(event_id, n): events of the type in the last `span` seconds up to the event's own second, those after it in that second included.
+
+    Spark adds a sliding frame up anew for every row. So a second's events count from that second on and are taken off
+    again after `span`, and n is a running sum. Events without a time count each other, those without a type are a type.
+    """
+    rows = events.select("event_id", "event_type", F.unix_seconds(F.col("ts").cast("timestamp")).alias("s"))
+    own = rows.groupBy("event_type", "s").agg(F.count(F.lit(1)).alias("m"))
+    both = F.array(F.struct(F.col("s").alias("at"), F.col("m").alias("x")), F.struct((F.col("s") + span + 1).alias("at"), (-F.col("m")).alias("x")))
+    moves = own.where("s IS NOT NULL").select("event_type", F.explode(both).alias("e")).groupBy("event_type", F.col("e.at").alias("at")).agg(F.sum("e.x").alias("x")).withColumn("slot", F.floor(F.col("at") / SLOT))
+    within = moves.withColumn("within", F.sum("x").over(Window.partitionBy("event_type", "slot").orderBy("at")))
+    earlier = Window.partitionBy("event_type").orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
+    before = moves.groupBy("event_type", "slot").agg(F.sum("x").alias("x")).select(F.col("event_type").alias("t"), F.col("slot").alias("k"), F.coalesce(F.sum("x").over(earlier), F.lit(0)).alias("before"))
+    upto = within.join(before, F.col("event_type").eqNullSafe(F.col("t")) & (F.col("slot") == F.col("k"))).select(F.col("event_type").alias("t"), "at", (F.col("within") + F.col("before")).alias("n"))
+    counts = own.join(upto, F.col("event_type").eqNullSafe(F.col("t")) & (F.col("s") == F.col("at")), "left").select(F.col("event_type").alias("t"), F.col("s").alias("at"), F.coalesce("n", "m").alias("n"))
+    return rows.join(counts, F.col("event_type").eqNullSafe(F.col("t")) & F.col("s").eqNullSafe(F.col("at"))).select("event_id", "n")
 
 
 @op("ranking", f"WITH m AS ({_SUPPLIERS}) SELECT s, row_number() OVER w AS rn, rank() OVER (PARTITION BY n ORDER BY mass DESC) AS rk, dense_rank() OVER (PARTITION BY n ORDER BY mass DESC) AS dr, ntile(3) OVER w AS nt, round(percent_rank() OVER (PARTITION BY n ORDER BY mass DESC), 9) AS pr, round(cume_dist() OVER (PARTITION BY n ORDER BY mass DESC), 9) AS cd FROM m WINDOW w AS (PARTITION BY n ORDER BY mass DESC, s)")
@@ -37,9 +57,7 @@ def _(spark, d):
 
 @op("range_frame", "SELECT event_id, count(*) OVER (PARTITION BY event_type ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM events")
 def _(spark, d):
-    seconds = F.unix_seconds(F.col("ts").cast("timestamp"))
-    w = Window.partitionBy("event_type").orderBy(seconds).rangeBetween(-604800, 0)
-    return read_table(spark, d, "events").select("event_id", F.count(F.lit(1)).over(w).alias("n"))
+    return range_counts(read_table(spark, d, "events"), 604800)
 
 
 @op("first_last_nth", "SELECT DISTINCT user_id, first_value(event_id) OVER w AS a, nth_value(event_id, 2) OVER w AS b, last_value(event_id) OVER w AS z FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
