@@ -3,13 +3,27 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 
 from fadegossip.llm import mixing, pieces, simhash, substrings, toxicity
-from fadegossip.llm.frames import ensure_checkpoint_dir, remove, table
+from fadegossip.llm.frames import bound_batches, ensure_checkpoint_dir, remove, table
 
 
+def _bounded(stage: Callable) -> Callable:
+    """A stage whose batches for Python are bounded; each stage may run by itself."""
+
+    @wraps(stage)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        bound_batches(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run_stage
+
+
+@_bounded
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity score rejects go; the score is learnt from the labels of `sf_dir`.
 
@@ -19,6 +33,7 @@ def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     return toxicity.keep_clean(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
+@_bounded
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each class of near copies stays (five-word shingles, similarity 0.8 or more, and what is reachable).
 
@@ -28,6 +43,7 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
     return simhash.keep_one(docs)
 
 
+@_bounded
 def remove_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Words under a passage of 35 words that starts elsewhere too go, in every place; other texts stay as they are.
 
@@ -36,11 +52,13 @@ def remove_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str)
     return substrings.without_repeats(docs)
 
 
+@_bounded
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each row as often as the mix takes it: null and empty texts never, a null source as a source of its own, the last."""
     return mixing.mixed(docs)
 
 
+@_bounded
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece ids of every row's whole text, and whether they decode to it; null texts as empty, repeated rows each."""
     return pieces.encode_checked(docs, pieces.load(spark))

@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 #: Bytes of text that a kernel works on at once; bounds its arrays to some tens of MB.
 CHUNK_BYTES = 1 << 20
+#: Bytes of a batch that a task hands to Python at once; kernels cut it into chunks.
+BATCH_BYTES = 8 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,6 +29,11 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(named or os.path.join(tempfile.gettempdir(), "llm-checkpoints"))
 
 
+def bound_batches(spark: SparkSession) -> None:
+    """Batches for Python go by bytes too, not by 10,000 rows of any length (or 64 MB): both sides of a task hold a batch several times."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+
 def remove(spark: SparkSession, folder: str) -> None:
     """Deletes a folder that was written for one run, in whatever store it is."""
     jvm = spark.sparkContext._jvm

@@ -4,7 +4,10 @@ Two sets of similarity 4/5 share at least four fifths of the larger, so in any c
 first fifths (`prefix`) meet. Frequent shingles, as a bounded sample of texts counts them, come last in that order;
 the sample decides the cost, never the result. Texts of equal sets are one node, and prefixes are dealt by shingle.
 
-A bucket first links its members to the one with the fewest shingles before the bucket's (a star around the text
+Links come first from SimHash: fingerprints of the same shingles meet in the covering tables of `simhash`, which miss no
+pair within its radius, and each text is settled with the likeliest of those it is linked to. Pairs of the least
+similarity are about ten bits apart, so the rest comes from the prefixes. A bucket
+links its members to the one with the fewest shingles before the bucket's (a star around the text
 that the others are edits of), and each member is settled with the likeliest of its centres, so large groups are
 joined by a pair for each member. Then all pairs of a bucket whose ends are still in different components are looked
 at: sizes, places of the shingle and parity sketches rule out nearly all that don't reach the threshold, and never one
@@ -23,6 +26,7 @@ from pyspark.sql import functions as F
 
 from fadegossip.llm.components import components
 from fadegossip.llm.frames import cut, shuffle_width
+from fadegossip.llm.simhash import RADIUS, fingerprints_of, links
 from fadegossip.llm.words import BYTE_BASE, BYTE_CODE, Words, chunked, span_hashes, strings
 
 #: Words of a shingle; the least similarity is PART / WHOLE.
@@ -326,6 +330,15 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return rows.repartition(width, "a", "part").sortWithinPartitions("a", "part", "kind").mapInArrow(run, "a long, b long")
 
 
+def alike(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """Pairs (a, b) of the texts of `nodes` (sid, fp) that SimHash links; a fingerprint of several texts has its least one as centre."""
+    least = cut(nodes.groupBy("fp").agg(F.min("sid").alias("sid")))
+    ends = lambda x, y: least.select(F.col("fp").alias(x), F.col("sid").alias(y))
+    near = links(least.select("fp"), radius).withColumnsRenamed({"a": "fa", "b": "fb"}).join(ends("fa", "x"), "fa").join(ends("fb", "y"), "fb")
+    same = nodes.join(least.withColumnRenamed("sid", "a"), "fp").where("a <> sid").select("a", F.col("sid").alias("b"))
+    return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).union(same)
+
+
 def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """(id, row, root): docs (id, row, text), where row tells texts of an id apart, with the component of each.
 
@@ -345,10 +358,11 @@ def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
                 data = values.tobytes()
                 sid = np.array([xxhash.xxh64_intdigest(data[8 * s : 8 * e]) if e > s else 0 for s, e in zip(offsets[:-1].tolist(), offsets[1:].tolist())], np.uint64)
                 drawn = pa.array([sketch(values[s:e]) for s, e in zip(offsets[:-1].tolist(), offsets[1:].tolist())], pa.binary())
+                fp = pa.array(fingerprints_of(strings(part.column("text")), SHINGLE_WORDS).view(np.int64))
                 listed = pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(first.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("row"), pa.array(sid.view(np.int64)), pa.array(n, pa.int64()), listed, drawn], ["id", "row", "sid", "n", "prefix", "sketch"])
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("row"), pa.array(sid.view(np.int64)), pa.array(n, pa.int64()), fp, listed, drawn], ["id", "row", "sid", "n", "fp", "prefix", "sketch"])
 
-    marked = cut(docs.select("id", "row", "text").mapInArrow(run, f"id {kind}, row long, sid long, n long, prefix array<long>, sketch binary"))
+    marked = cut(docs.select("id", "row", "text").mapInArrow(run, f"id {kind}, row long, sid long, n long, fp long, prefix array<long>, sketch binary"))
     nodes = marked.groupBy("sid").agg(F.min("row").alias("row"), F.first("n").alias("n"), F.first("prefix").alias("prefix"))
     sketches = marked.dropDuplicates(["sid"]).select("sid", "n", "sketch")
 
@@ -365,8 +379,10 @@ def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     found = cut(every.repartition(width, "h").sortWithinPartitions("h", "pos", "n", "sid").mapInArrow(_shared, "kind int, h long, sid long, pos int, n int"))
     rows = found.where("kind = 1").drop("kind")
     stars = found.where("kind = 0").select(F.col("h").alias("a"), F.col("sid").alias("b"))
-    links = settled(_likeliest(stars.distinct(), sketches))
-    roots = cut(components(links))
+    # texts of equal sets may repeat shingles, and so differ in their fingerprints; one of them will do
+    alikes = alike(marked.groupBy("sid").agg(F.min("fp").alias("fp")))
+    joined = settled(_likeliest(alikes, sketches).union(_likeliest(stars.distinct(), sketches)).distinct())
+    roots = cut(components(joined))
     rooted = roots.select(F.col("node").alias("sid"), "root")
     root = F.coalesce("root", "sid")
     buckets = rows.select("h", "sid").join(rooted, "sid", "left").groupBy("h").agg(F.min(root).alias("low"), F.max(root).alias("high"), F.count(F.lit(1)).alias("size"))
@@ -379,7 +395,7 @@ def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     split = members.join(ends, "sid").select("h", "sid", "pos", "n", "root", "sketch", own.alias("own"), F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)).alias("other"))
     dealt = split.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "sid", "pos", "n", "root", "sketch")
     met = dealt.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(_met, "a long, b long")
-    roots = cut(components(links.union(settled(met.distinct()))))
+    roots = cut(components(joined.union(settled(met.distinct()))))
     # a set that many rows have is dealt to several tasks
     copies = roots.select(F.col("node").alias("sid"), "root", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     own = F.pmod(F.xxhash64("row", "id"), F.lit(SALTS)).cast("int")

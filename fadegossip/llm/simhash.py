@@ -18,7 +18,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fadegossip.llm import shingles
 from fadegossip.llm.components import components
 from fadegossip.llm.frames import cut, shuffle_width, table
 from fadegossip.llm.words import Words, chunked, strings, xxh64
@@ -207,9 +206,12 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_one(docs: DataFrame) -> DataFrame:
     """The rows of `docs` of which each class of near copies keeps one: that with the least id, then the least hash.
 
-    Near copies are settled on shingles of five words (`shingles`), not by the fingerprints of `near_duplicates`.
+    Texts are fingerprinted on shingles of five words and linked by the same tables as in `near_duplicates`; links are
+    then checked on the shingles, which also find what is similar enough but further apart than the radius (`shingles`).
     A row without an id can't stand for a class and stays as it is.
     """
+    from fadegossip.llm import shingles
+
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("whole"))  # one name, whatever docs has
     hashed = rows.select("whole", F.xxhash64("whole").alias("row"))
     found = shingles.near_copies(hashed.select(F.col("whole.doc_id").alias("id"), "row", F.col("whole.text").alias("text")))

@@ -4,6 +4,7 @@ import collections
 import hashlib
 
 import duckdb
+import pyarrow as pa
 import pytest
 from test_shingles import slow_roots
 
@@ -40,6 +41,19 @@ def test_stages_take_effect(spark, small, tmp_path):
     assert collections.Counter((r.doc_id, r.decoded_sha256) for r in got.collect()) == texts
 
 
+def test_batches_for_python_are_bounded(spark, small, make_docs):
+    """Ten texts of 4 MB are no single batch once a stage has been called."""
+    spark.conf.unset("spark.sql.execution.arrow.maxBytesPerBatch")
+    docs = make_docs([(i, "word " * 800_000, "en", "a") for i in range(10)]).coalesce(1)
+    corpus_pipeline.encode(spark, docs, small)
+
+    def sizes(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([batch.nbytes])], ["n"])
+
+    assert max(r.n for r in docs.select("text").mapInArrow(sizes, "n long").collect()) < 16 << 20
+
+
 def test_run(spark, small):
     assert corpus_pipeline.run(spark, small).where("round_trip").count() > 0
 

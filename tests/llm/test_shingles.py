@@ -102,3 +102,23 @@ def test_rows_that_repeat_an_id_keep_their_own_class(spark, make_docs):
     for order in (rows, rows[::-1]):
         got = sorted((r.doc_id, r.text) for r in simhash.keep_one(make_docs(order)).collect())
         assert got == sorted([(1, one), (2, two), (2, three)])
+
+
+def test_the_stage_settles_what_simhash_links(spark, make_docs, monkeypatch):
+    """A bucket's star never sees these pairs; the covering tables alone bring them to the check, which passes near copies only."""
+    rng = random.Random(31)
+    base = words(400, 90, 10**6)
+    rows = [(0, " ".join(base), "en", "a"), (1, edited(base, 1, rng), "en", "a"), (2, " ".join(words(80, 91)), "en", "a")]
+    rows += [(3 + i, " ".join(base[:100] * i), "en", "a") for i in (1, 2)]  # other sets, whose fingerprints are a few bits apart
+    monkeypatch.setattr(shingles, "_stars", lambda pairs, batch_of: batch_of(0, [shingles.np.zeros(0, int)] * 4))
+    pairs, verified = [], shingles.verified
+    monkeypatch.setattr(shingles, "verified", lambda p, t: pairs.append(p.count()) or verified(p, t))
+    got = sorted(r.doc_id for r in simhash.keep_one(make_docs(rows)).collect())
+    assert got == sorted({rows[i][0] for i in slow_roots([r[1] for r in rows])})
+    assert pairs[0] > 0 and pairs[1] == 0  # nothing is left to the pairs of the buckets
+
+
+def test_simhash_links_are_those_within_the_radius(spark):
+    """Texts of one fingerprint are a star, others are linked by the tables."""
+    got = shingles.alike(spark.createDataFrame([(1, 0), (2, 0), (3, 15), (4, 31 << 20), (5, 0)], "sid long, fp long"))
+    assert sorted(map(tuple, got.collect())) == [(1, 2), (1, 3), (1, 5)]
