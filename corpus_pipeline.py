@@ -9,15 +9,16 @@ from functools import wraps
 from pyspark.sql import DataFrame, SparkSession
 
 from fadegossip.llm import mixing, pieces, simhash, substrings, toxicity
-from fadegossip.llm.frames import bound_batches, ensure_checkpoint_dir, remove, table
+from fadegossip.llm.frames import bound_batches, drop_shuffles, ensure_checkpoint_dir, remove, table
 
 
 def _bounded(stage: Callable) -> Callable:
-    """A stage whose batches for Python are bounded; each stage may run by itself."""
+    """A stage whose batches for Python are bounded and whose shuffles go when they are read; each stage may run by itself."""
 
     @wraps(stage)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
         bound_batches(spark)
+        drop_shuffles(spark)
         return stage(spark, docs, sf_dir)
 
     return run_stage

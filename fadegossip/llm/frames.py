@@ -34,6 +34,14 @@ def bound_batches(spark: SparkSession) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
+def drop_shuffles(spark: SparkSession) -> None:
+    """Shuffle files go when their query ends. Else they stay until the driver happens to collect its garbage.
+
+    Rows that a later query needs are in `cut` tables; a query that is run again writes its shuffles again.
+    """
+    spark.conf.set("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true")
+
+
 def remove(spark: SparkSession, folder: str) -> None:
     """Deletes a folder that was written for one run, in whatever store it is."""
     jvm = spark.sparkContext._jvm

@@ -37,6 +37,8 @@ SAMPLE, FREQUENT, LAST = 10_000, 5, 1 << 16
 BLOCK, FOLLOWERS = 2048, 512
 #: Rows that name wanted texts are broadcast up to this number.
 WANTED = 200_000
+#: Links of which a round of their components runs in one task.
+FEW = 50_000
 #: Rows that wait for a batch, and tasks over which the rows of one set are dealt.
 HELD, SALTS = 16_384, 16
 
@@ -382,7 +384,7 @@ def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     # texts of equal sets may repeat shingles, and so differ in their fingerprints; one of them will do
     alikes = alike(marked.groupBy("sid").agg(F.min("fp").alias("fp")))
     joined = settled(_likeliest(alikes, sketches).union(_likeliest(stars.distinct(), sketches)).distinct())
-    roots = cut(components(joined))
+    roots = cut(components(joined, FEW))
     rooted = roots.select(F.col("node").alias("sid"), "root")
     root = F.coalesce("root", "sid")
     buckets = rows.select("h", "sid").join(rooted, "sid", "left").groupBy("h").agg(F.min(root).alias("low"), F.max(root).alias("high"), F.count(F.lit(1)).alias("size"))
@@ -395,7 +397,7 @@ def near_copies(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     split = members.join(ends, "sid").select("h", "sid", "pos", "n", "root", "sketch", own.alias("own"), F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)).alias("other"))
     dealt = split.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "sid", "pos", "n", "root", "sketch")
     met = dealt.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(_met, "a long, b long")
-    roots = cut(components(joined.union(settled(met.distinct()))))
+    roots = cut(components(joined.union(settled(met.distinct())), FEW))
     # a set that many rows have is dealt to several tasks
     copies = roots.select(F.col("node").alias("sid"), "root", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     own = F.pmod(F.xxhash64("row", "id"), F.lit(SALTS)).cast("int")

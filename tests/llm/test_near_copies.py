@@ -1,6 +1,7 @@
 """SimHash by covering hashing, components, and the digest comparison, against brute force."""
 
 import hashlib
+import importlib
 import random
 import re
 
@@ -96,6 +97,27 @@ def test_components_of_a_chain_and_a_hub(spark):
     assert all(got[i] == (0 if i < 50 else 100) for i in got)
 
 
+def test_rounds_of_few_links_run_in_one_task(spark, monkeypatch):
+    """The same classes whether a round's links are dealt out, in one task, or first one and then the other."""
+    rng = random.Random(5)
+    edges = spark.createDataFrame([(rng.randrange(300), rng.randrange(300)) for _ in range(160)] + [(i, i + 1) for i in range(400, 460)], "a long, b long").repartition(7)
+    module, tasks = importlib.import_module("fadegossip.llm.components"), []
+    real = module.cut
+
+    def cut(df):
+        out = real(df)
+        tasks.append(out.rdd.getNumPartitions())
+        return out
+
+    monkeypatch.setattr(module, "cut", cut)
+    found = []
+    for few in (0, 10**6, 215):
+        tasks.clear()
+        found.append(sorted(components(edges, few).collect()))
+        assert few < 10**6 or set(tasks[1:]) == {1}
+    assert found[0] == found[1] == found[2] and len(found[0]) > 200
+
+
 def test_keep_one(spark, make_docs, odd_rows):
     """Two texts under one id both stay unless one is a near copy; the row kept is the same in every layout."""
     docs = make_docs(odd_rows, extra=True)

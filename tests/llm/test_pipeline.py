@@ -1,7 +1,9 @@
 """The pipeline on whole documents, and every registered query's columns."""
 
 import collections
+import glob
 import hashlib
+import time
 
 import duckdb
 import pyarrow as pa
@@ -54,6 +56,23 @@ def test_batches_for_python_are_bounded(spark, small, make_docs):
     assert max(r.n for r in docs.select("text").mapInArrow(sizes, "n long").collect()) < 16 << 20
 
 
+def test_shuffle_files_go_with_their_query(spark, make_docs):
+    """A stage leaves none behind, however long the driver's garbage waits."""
+    folder = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString()[0]
+    files = lambda: {*glob.glob(f"{folder}/*/shuffle_*.data")}
+    spark.conf.unset("spark.sql.classic.shuffleDependency.fileCleanup.enabled")
+    before = files()
+    docs = make_docs([(i, " ".join(f"w{j}" for j in range(60)) + f" {i % 7}", "en", "a") for i in range(40)])
+    assert corpus_pipeline.keep_one_of_near_copies(spark, docs, "").count() == 1
+    left = files() - before
+    for _ in range(50):  # files go a moment after the query's end
+        if not left:
+            break
+        time.sleep(0.2)
+        left &= files()
+    assert not left
+
+
 def test_run(spark, small):
     assert corpus_pipeline.run(spark, small).where("round_trip").count() > 0
 
