@@ -16,8 +16,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 ENTRY = np.dtype([("h", "<u8"), ("v", "<u8"), ("src", "<u8")])
-#: What comes back for an entry: `again` (another place has the content), `other` (the same h stands with another v), and the least other place.
-ANSWER = np.dtype([("again", "?"), ("other", "?"), ("src", "<u8")])
+#: What comes back for an entry: `again` (another place has the content), `other` (the same h stands with another v), the least other place, and
+#: the number of v the h stands with (only if it is asked for, else 0).
+ANSWER = np.dtype([("again", "?"), ("other", "?"), ("src", "<u8"), ("kinds", "<u4")])
 NOWHERE = np.uint64(2**64 - 1)
 COARSE, CLUSTER, FINE = 64, 1024, 16
 FLAG, REST = np.uint64(1), np.uint64(2**64 - 2)
@@ -49,18 +50,21 @@ class Merged:
         self.distinct["v"] = v[first] | ((count > 1) | flagged).astype(np.uint64)
         self.second = np.where(count > 1, src[np.minimum(first + 1, max(len(h) - 1, 0))] if len(h) else NOWHERE, NOWHERE)
         kinds = np.bincount(np.cumsum(new_h[first]) - 1, minlength=0) if len(first) else np.zeros(0, np.int64)
-        self.other = (kinds > 1)[np.cumsum(new_h[first]) - 1] if len(first) else np.zeros(0, bool)
+        self.kinds = kinds[np.cumsum(new_h[first]) - 1] if len(first) else kinds
+        self.other = self.kinds > 1
 
     def answers(self, entries: np.ndarray, above: np.ndarray | None = None) -> np.ndarray:
         """For each entry what these entries, and the answers from above to the distinct ones, tell of its content."""
         out = np.zeros(len(entries), ANSWER)
         out["again"] = (self.distinct["v"] & FLAG).astype(bool)[self.which]
         out["other"] = self.other[self.which]
+        out["kinds"] = self.kinds[self.which]
         least = self.distinct["src"][self.which]
         out["src"] = np.where(least == entries["src"], self.second[self.which], least)
         if above is not None:
             out["again"] |= above["again"][self.which]
             out["other"] |= above["other"][self.which]
+            out["kinds"] = np.maximum(out["kinds"], above["kinds"][self.which])
             out["src"] = np.minimum(out["src"], above["src"][self.which])
         return out
 
@@ -94,19 +98,24 @@ def _pack(parts: list[np.ndarray]) -> pa.Array:
     return pa.array([_packed(x) for x in parts], pa.binary())
 
 
-def packed_answers(answers: np.ndarray) -> bytes:
-    """Bits of again and other, and the places of those that have one."""
+def packed_answers(answers: np.ndarray, counted: bool = False) -> bytes:
+    """Bits of again and other, and the places of those that have one; counted: also the kinds of those with others, low bytes first."""
     has = answers["src"] != NOWHERE
-    return b"".join(np.packbits(x).tobytes() for x in (answers["again"], answers["other"], has)) + answers["src"][has].tobytes()
+    kinds = answers["kinds"][answers["other"]].view(np.uint8).reshape(-1, 4).T.tobytes() if counted else b""
+    return b"".join(np.packbits(x).tobytes() for x in (answers["again"], answers["other"], has)) + answers["src"][has].tobytes() + kinds
 
 
-def unpacked_answers(data: bytes, n: int) -> np.ndarray:
+def unpacked_answers(data: bytes, n: int, counted: bool = False) -> np.ndarray:
     out = np.zeros(n, ANSWER)
     wide = (n + 7) // 8
     bits = [np.unpackbits(np.frombuffer(data, np.uint8, wide, i * wide), count=n).astype(bool) for i in range(3)] if n else [np.zeros(0, bool)] * 3
     out["again"], out["other"] = bits[:2]
     out["src"] = NOWHERE
-    out["src"][bits[2]] = np.frombuffer(data, np.uint64, int(bits[2].sum()), 3 * wide)
+    places, others = int(bits[2].sum()), int(bits[1].sum())
+    out["src"][bits[2]] = np.frombuffer(data, np.uint64, places, 3 * wide)
+    if counted:
+        out["kinds"] = 1
+        out["kinds"][bits[1]] = np.ascontiguousarray(np.frombuffer(data, np.uint8, 4 * others, 3 * wide + 8 * places).reshape(4, others).T).view("<u4")[:, 0]
     return out
 
 
@@ -122,15 +131,15 @@ def _read(column) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([np.zeros(0, ENTRY), *parts]), np.cumsum([len(x) for x in parts], dtype=np.int64)
 
 
-def told_to(distinct: np.ndarray, told) -> np.ndarray:
+def told_to(distinct: np.ndarray, told, counted: bool = False) -> np.ndarray:
     """The answers to a group's distinct entries, in their order; told: its rows (c, items)."""
     by = dict(zip(told.column("c").to_pylist(), told.column("items").to_pylist()))
     full, parts = _split(distinct, COARSE)
-    return np.concatenate([np.zeros(0, ANSWER), *[unpacked_answers(by[c], len(x)) for c, x in zip(full, parts)]])
+    return np.concatenate([np.zeros(0, ANSWER), *[unpacked_answers(by[c], len(x), counted) for c, x in zip(full, parts)]])
 
 
-def ask(send: Callable[[Callable], DataFrame], groups: int, cluster: int = CLUSTER, fine: int = FINE) -> DataFrame:
-    """(g, c, items): answers to the entries of each group, for told_to().
+def ask(send: Callable[[Callable], DataFrame], groups: int, cluster: int = CLUSTER, fine: int = FINE, counted: bool = False) -> DataFrame:
+    """(g, c, items): answers to the entries of each group, for told_to(); counted: with the number of v of each h.
 
     send(rows) gives the DataFrame (c, s, g, items) of a grouped frame, where rows(g, entries) makes a group's rows.
     """
@@ -150,10 +159,10 @@ def ask(send: Callable[[Callable], DataFrame], groups: int, cluster: int = CLUST
         if above is not None:
             by = dict(zip(above.column("f").to_pylist(), above.column("items").to_pylist()))
             full, parts = _split(merged.distinct, shards)
-            above = np.concatenate([np.zeros(0, ANSWER), *[unpacked_answers(by[f], len(x)) for f, x in zip(full, parts)]])
+            above = np.concatenate([np.zeros(0, ANSWER), *[unpacked_answers(by[f], len(x), counted) for f, x in zip(full, parts)]])
         found = merged.answers(entries, above)
         starts = np.concatenate(([0], ends))
-        return pa.table({"g": members.column("g"), "c": members.column("c"), "items": pa.array([packed_answers(found[a:b]) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist())], pa.binary())})
+        return pa.table({"g": members.column("g"), "c": members.column("c"), "items": pa.array([packed_answers(found[a:b], counted) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist())], pa.binary())})
 
     schema = "g long, c int, items binary"
     if clusters == 1:
@@ -169,7 +178,7 @@ def ask(send: Callable[[Callable], DataFrame], groups: int, cluster: int = CLUST
         entries, ends = _read(members.column("items"))
         found = Merged(entries).answers(entries)
         starts = np.concatenate(([0], ends))
-        return pa.table({"c": members.column("c"), "s": members.column("s"), "f": members.column("f"), "items": pa.array([packed_answers(found[a:b]) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist())], pa.binary())})
+        return pa.table({"c": members.column("c"), "s": members.column("s"), "f": members.column("f"), "items": pa.array([packed_answers(found[a:b], counted) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist())], pa.binary())})
 
     above = sent.groupBy("c", "s").applyInArrow(up, "f int, c int, s int, items binary").groupBy("f").applyInArrow(down, "c int, s int, f int, items binary")
     return sent.groupBy("c", "s").cogroup(above.groupBy("c", "s")).applyInArrow(reply, schema)

@@ -5,11 +5,12 @@ import hashlib
 import re
 
 import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 import sentencepiece
 
 from fadegossip.llm import chats, pages, pieces, substrings
-from fadegossip.llm.words import Words, strings, to_strings
+from fadegossip.llm.words import Words, mix, strings, to_strings
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -179,6 +180,63 @@ def test_main_text(spark):
     assert pages.main_text(df.limit(0)).count() == 0
 
 
+def test_template_of_a_host_in_declared_articles(spark):
+    """A block in most distinct streams of a host goes from a declared article, wherever it stands; what fewer articles share stays."""
+    say = lambda name, i, n=20: " ".join(f"{name}{i}x{j}" for j in range(n))
+    notice, short, some, law = say("notice", 0), "Subscribe now", say("some", 0), say("law", 0, 200)
+    rows, want = [], {}
+
+    def page(host, i, blocks, kept, copies=1):
+        for _ in range(copies):
+            rows.append((i, f"http://{host}.example.com/{i}", "<nav>menu</nav><article>" + "".join(f"<p>{b}</p>" for b in blocks) + "</article>"))
+        want[i] = "\n\n".join(kept)
+
+    for i in range(8):
+        own, more = say("own", i, 3 if i == 3 else 20), say("more", i)
+        shared = [some] if i < 5 else []
+        page("most", i, [short, own, notice, more, *shared, law], [own, more, *shared, law])
+        page("few", 10 + i, [own, more] + [notice, short] * (i < 5), [own, more] + [notice, short] * (i < 5))  # 5 of 8
+        page("copies", 20 + i, [own, notice] if i == 0 else [own], [own, notice] if i == 0 else [own], 30 if i == 0 else 1)
+        if i < 4:
+            page("small", 30 + i, [own, notice], [own, notice])
+    page("most", 8, [notice, short], [notice, short])  # nothing else is left of it
+    page("most", 9, [f"{notice} {say('own', 9)}"], [f"{notice} {say('own', 9)}"])
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for groups in (256, 2):
+        got = pages.main_text(df, group_rows=groups).collect()
+        assert collections.Counter((r.page_id, r.text) for r in got) == collections.Counter((i, want[i]) for i, _, _ in rows)
+        assert {r.page_id: r.n_common for r in got if r.page_id < 10} == {**dict.fromkeys(range(9), 22), 9: 0}
+
+
+def test_counts_of_the_exchange(spark):
+    """Every group is told with how many contents each hash stands, in one step and in two."""
+    import random
+
+    import numpy as np
+
+    from fadegossip.llm import exchange
+
+    rng = random.Random(5)
+    pairs = {g: [(rng.randrange(40), rng.randrange(300 if g % 2 else 3)) for _ in range(60)] for g in range(9)}
+    kinds = collections.Counter(h for h, _ in {p for ps in pairs.values() for p in ps})
+
+    def merged(g):
+        entries = np.zeros(len(pairs[g]), exchange.ENTRY)
+        entries["h"] = mix(np.array([h for h, _ in pairs[g]], np.uint64) + np.uint64(1))
+        entries["v"] = np.array([v for _, v in pairs[g]], np.uint64) * np.uint64(2)
+        entries["src"] = exchange.NOWHERE
+        return exchange.Merged(entries)
+
+    by_group = spark.createDataFrame([(g,) for g in pairs], "g long").groupBy("g")
+    for cluster in (2, 1024):
+        told = exchange.ask(lambda rows: by_group.applyInArrow(lambda key, members: rows(key[0].as_py(), merged(key[0].as_py()).distinct), "c int, s int, g long, items binary"), len(pairs), cluster, 1, counted=True)
+        table = told.toArrow()
+        for g, entries in pairs.items():
+            mine = merged(g)
+            got = exchange.told_to(mine.distinct, table.filter(pc.equal(table.column("g"), g)), True)["kinds"][mine.which]
+            assert got.tolist() == [kinds[h] for h, _ in entries]
+
+
 def test_pages_without_article_tags(spark, small):
     """The host's repeats alone, on the given pages with their article tags cut, leave the declared article on nearly all."""
     from fadegossip.llm.frames import table
