@@ -69,26 +69,36 @@ class Merged:
         return out
 
 
+def _planes(values: np.ndarray) -> bytes:
+    """All first bytes, then all second ones: the equal high bytes of sorted or small numbers lie side by side and compress."""
+    return np.ascontiguousarray(values).view(np.uint8).reshape(len(values), values.dtype.itemsize).T.tobytes()
+
+
+def _from_planes(data: bytes, dtype: str, n: int, at: int) -> np.ndarray:
+    wide = np.dtype(dtype).itemsize
+    return np.ascontiguousarray(np.frombuffer(data, np.uint8, wide * n, at).reshape(wide, n).T).view(dtype)[:, 0]
+
+
 def _packed(entries: np.ndarray) -> bytes:
-    """Column by column: h, then v (or the few values it has and a byte for each entry), and places only where there are any."""
+    """Column by column: h in planes, then v (or the few values it has and a byte for each entry), and places only where there are any."""
     n, places = len(entries), entries["src"]
     kinds, which = np.unique(entries["v"], return_inverse=True)
     few = len(kinds) <= 256 and 8 * len(kinds) + n < 8 * n
     v = kinds.tobytes() + which.astype(np.uint8).tobytes() if few else entries["v"].tobytes()
     has = bool((places != NOWHERE).any())
-    return np.array([n, len(kinds) if few else 0, has], "<u4").tobytes() + entries["h"].tobytes() + v + (places.tobytes() if has else b"")
+    return np.array([n, len(kinds) if few else 0, has], "<u4").tobytes() + _planes(entries["h"]) + v + (places.tobytes() if has else b"")
 
 
 def _unpacked(blob: bytes) -> np.ndarray:
     n, kinds, has = np.frombuffer(blob, "<u4", 3).tolist()
-    out, at = np.zeros(n, ENTRY), 12
+    out, at = np.zeros(n, ENTRY), 12 + 8 * n
 
     def column(size: int, dtype=np.uint64) -> np.ndarray:
         nonlocal at
         at += size * np.dtype(dtype).itemsize
         return np.frombuffer(blob, dtype, size, at - size * np.dtype(dtype).itemsize)
 
-    out["h"] = column(n)
+    out["h"] = _from_planes(blob, "<u8", n, 12)
     out["v"] = column(kinds)[column(n, np.uint8)] if kinds else column(n)
     out["src"] = column(n) if has else NOWHERE
     return out
@@ -101,7 +111,7 @@ def _pack(parts: list[np.ndarray]) -> pa.Array:
 def packed_answers(answers: np.ndarray, counted: bool = False) -> bytes:
     """Bits of again and other, and the places of those that have one; counted: also the kinds of those with others, low bytes first."""
     has = answers["src"] != NOWHERE
-    kinds = answers["kinds"][answers["other"]].view(np.uint8).reshape(-1, 4).T.tobytes() if counted else b""
+    kinds = _planes(answers["kinds"][answers["other"]]) if counted else b""
     return b"".join(np.packbits(x).tobytes() for x in (answers["again"], answers["other"], has)) + answers["src"][has].tobytes() + kinds
 
 
@@ -115,7 +125,7 @@ def unpacked_answers(data: bytes, n: int, counted: bool = False) -> np.ndarray:
     out["src"][bits[2]] = np.frombuffer(data, np.uint64, places, 3 * wide)
     if counted:
         out["kinds"] = 1
-        out["kinds"][bits[1]] = np.ascontiguousarray(np.frombuffer(data, np.uint8, 4 * others, 3 * wide + 8 * places).reshape(4, others).T).view("<u4")[:, 0]
+        out["kinds"][bits[1]] = _from_planes(data, "<u4", others, 3 * wide + 8 * places)
     return out
 
 
